@@ -30,7 +30,7 @@ GAMMA = 1.02
 REACH = 3
 MIN_GROUP = 100
 #: per million: symbols by word characters, repeated lines' share by words; characters a word
-GUARDS = {"symbols": 100_000, "repeats": 200_000, "dup_lines": 300_000, "word_length": 12_000_000}
+GUARDS = {"symbols": 50_000, "repeats": 300_000, "dup_lines": 600_000, "word_length": 12_000_000}
 
 FIELDS = [T.StructField(n, T.LongType()) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")]
 
