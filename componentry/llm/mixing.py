@@ -158,14 +158,14 @@ def mixed_documents(docs: DataFrame) -> DataFrame:
 
     Whole passes keep the text as it is; only the one document at which a source's target ends is shortened.
     """
-    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), F.xxhash64("doc_id", "text").alias("_key"), "doc_id", "source", size_column().alias("size"))
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), F.xxhash64("doc_id", "source", "text").alias("_key"), "doc_id", "source", size_column().alias("size"))
     # equal rows are interchangeable: they are numbered within their key
-    twin = Window.partitionBy("_key", "doc_id", "source").orderBy("size")
+    twin = Window.partitionBy("_key").orderBy("_key")
     sized = cut(keyed.select("_key", "doc_id", "source", "size").withColumn("_twin", F.row_number().over(twin)).withColumn("row_id", F.monotonically_increasing_id()), "sizes")
     pieces, _ = mix(sized.select("row_id", F.col("doc_id").cast("long").alias("doc_id"), "source", "size"))
     runs = pieces.groupBy("row_id", "_pass").agg(F.sum("length").alias("_words"))
     runs = cut(runs.join(sized.select("row_id", "_key", "_twin", "size"), "row_id").select("_key", "_twin", "_words", (F.col("_words") == F.col("size")).alias("_whole")), "runs")
-    rows = keyed.select("_row", "_key").withColumn("_twin", F.row_number().over(Window.partitionBy("_key").orderBy("_key")))
+    rows = keyed.select("_row", "_key").withColumn("_twin", F.row_number().over(twin))
     taken = rows.join(runs, ["_key", "_twin"])
     words = F.regexp_extract_all(F.col("_row.text"), F.lit(r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"), F.lit(0))
     head = F.array_join(F.slice(words, F.lit(1), F.col("_words").cast("int")), "")
