@@ -46,7 +46,13 @@ def vocabulary_path(name: str = "word_bpe_49k.json") -> str:
 
 
 class WordIds:
-    """Ids of texts as little-endian 32-bit bytes: white-space separated chunks through a bounded cache."""
+    """Ids of texts as little-endian 32-bit bytes, from a bounded cache of white-space separated chunks.
+
+    The cache has two generations of at most ``cache`` chunks: when the young one is full it becomes the old one,
+    and what is met again moves on, so frequent chunks are never encoded twice. New chunks are encoded
+    together, between separators; a comma or full stop behind a letter, and ASCII capitals, are taken off first, as the
+    vocabulary splits before such marks and lowers all letters.
+    """
 
     def __init__(self, path: str, cache: int = CACHE):
         import os
@@ -54,23 +60,58 @@ class WordIds:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.limit, self.known = Tokenizer.from_file(path), cache, {}
+        self.tokenizer, self.limit = Tokenizer.from_file(path), cache
+        self.known: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        (self.separator,) = self._ids("\x01")
+        self.marks = {m: np.array(self._ids(m), "<u4").tobytes() for m in ",."}
+
+    def _ids(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
+
+    def _core(self, chunk: str) -> tuple[str, bytes]:
+        """What is encoded for a chunk, and the ids behind that."""
+        tail = b""
+        if len(chunk) > 1 and chunk[-1] in self.marks and chunk[-2].lower().isalpha():
+            chunk, tail = chunk[:-1], self.marks[chunk[-1]]
+        return (chunk.lower() if chunk.isascii() and chunk.isalpha() else chunk), tail
+
+    def _learn(self, new: list[str]) -> None:
+        known, old = self.known, self.old
+        cores = [self._core(c) for c in new]
+        for c, _ in cores:
+            if c not in known and c in old:
+                known[c] = old[c]
+        lack = list({c for c, _ in cores if c not in known})
+        plain = [c for c in lack if "\x01" not in c and "<|" not in c]
+        for at in range(0, len(plain), 1000):
+            part = plain[at : at + 1000]
+            ids = np.array(self.tokenizer.encode_batch_fast([" \x01 ".join(part)], add_special_tokens=False)[0].ids, "<u4")
+            raw, start = ids.tobytes(), 0
+            for c, end in zip(part, [*np.flatnonzero(ids == self.separator).tolist(), len(ids)], strict=True):
+                known[c] = raw[4 * start : 4 * end]
+                start = end + 1
+        for c in lack:
+            if c not in known:
+                known[c] = np.array(self._ids(c), "<u4").tobytes()
+        for w, (c, tail) in zip(new, cores, strict=True):
+            known[w] = known[c] + tail
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        known = self.known
         split = [_SPACES.split(t) for t in texts]
-        new = set().union(*split).difference(known)
+        words = set().union(*split)
+        if len(self.known) > self.limit:
+            self.known, self.old = {}, self.known
+        new = words.difference(self.known)
         if new:
-            if len(known) + len(new) > self.limit:
-                known.clear()
-                new = set().union(*split)
-            new.discard("")
-            chunks = list(new)
-            # longer chunks alone; the others share calls, a chunk's ids being those whose offsets lie in it
-            made = self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)
-            known.update((c, np.array(e.ids, "<u4").tobytes()) for c, e in zip(chunks, made, strict=True))
-            known[""] = b""
-        get = known.__getitem__
+            again = new & self.old.keys()
+            self.known.update((w, self.old[w]) for w in again)
+            new -= again
+            if "" in new:
+                new.discard("")
+                self.known[""] = b""
+            self._learn(list(new))
+        get = self.known.__getitem__
         return [b"".join(map(get, x)) for x in split]
 
 

@@ -49,7 +49,7 @@ class PrefixCounter:
         self.longest = max(map(len, self.score), default=1)
         if any(MARK in p.lstrip(MARK) or "\n" in p for p in self.score):
             raise ValueError("pieces of this vocabulary cross segment starts")
-        self.limit, self.counts = cache, {}
+        self.limit, self.counts, self.older = cache, {}, {}
         self._joins: dict[tuple[str, str], bool] = {}
 
     def segments(self, text: str) -> list[str]:
@@ -58,12 +58,14 @@ class PrefixCounter:
 
     def count_all(self, segs: list[str]) -> list[int]:
         """Tokens of each segment; what the cache lacks is encoded in one call."""
-        known = self.counts
-        new = list({s for s in segs if s not in known})
+        if len(self.counts) > self.limit:  # the young generation is full: it becomes the old one
+            self.counts, self.older = {}, self.counts
+        known, older = self.counts, self.older
+        new = {s for s in segs if s not in known}
         if new:
-            if len(known) + len(new) > self.limit:
-                known.clear()
-                new = list(set(segs))
+            again = new & older.keys()
+            known.update((s, older[s]) for s in again)
+            new = list(new - again)
             # the library adds the leading space itself: segments that begin with one give it up here
             bare = [s for s in new if s[0] in (" ", MARK)]
             known.update(zip(bare, (len(x) for x in self.sp.encode([s[1:] for s in bare], num_threads=1)), strict=True))
