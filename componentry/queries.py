@@ -1,11 +1,386 @@
-"""Query registry of the library: every method, variant, baseline, measure and operator on the given tables."""
+"""Query registry of the library: every method, variant, baseline, measure and operator on the given tables, and SQL for what SQL can express."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from componentry import sqlapi, workloads
+from componentry.functions import graphs
+from componentry.functions.graphs import Graph, graph
+from componentry.operators import baselines, components, linkage, measures, secondary_sort
+from componentry.operators.stops import DistanceStop, SizeStop
+from componentry.plans.storage import cut
+from componentry.sources import builders, generators
+from componentry.sources.io import read_table
+from componentry.streaming import incremental
+
+Query = Callable[[SparkSession, str], DataFrame]
+
+# -- SQL of the graphs: (src, dst) in canonical form
+
+_CANON = "SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst FROM ({}) WHERE a <> b"
+EDGE_SQL = {
+    "customer_part": _CANON.format("SELECT 2 * o_custkey AS a, 2 * l_partkey + 1 AS b FROM orders JOIN lineitem ON o_orderkey = l_orderkey"),
+    "customer_part_sparse": _CANON.format("SELECT 2 * o_custkey AS a, 2 * l_partkey + 1 AS b FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE (o_custkey * 7919 + l_partkey * 104729) % 1000 < 20"),
+    "part_supplier": _CANON.format("SELECT 2 * l_partkey AS a, 2 * l_suppkey + 1 AS b FROM lineitem"),
+    "part_supplier_sparse": _CANON.format("SELECT 2 * l_partkey AS a, 2 * l_suppkey + 1 AS b FROM lineitem WHERE l_quantity = 50 AND l_returnflag = 'R'"),
+    "order_chain_customer": _CANON.format("SELECT o_orderkey AS a, lead(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS b FROM orders"),
+    "order_chain_global": _CANON.format("SELECT o_orderkey AS a, lead(o_orderkey) OVER (ORDER BY o_orderdate, o_orderkey) AS b FROM orders"),
+    "doc_exact": _CANON.format("SELECT min(doc_id) OVER (PARTITION BY text) AS a, doc_id AS b FROM documents WHERE text IS NOT NULL"),
+    "doc_line": _CANON.format(
+        "SELECT min(doc_id) OVER (PARTITION BY line) AS a, doc_id AS b, count(*) OVER (PARTITION BY line) AS n FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40) QUALIFY n BETWEEN 2 AND 20"
+    ),
+    "event_chain": _CANON.format(
+        "SELECT event_id AS a, CASE WHEN lead(ts) OVER w <= ts + INTERVAL 6 HOUR THEN lead(event_id) OVER w END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"
+    ),
+    "event_json": _CANON.format("SELECT min(event_id) OVER (PARTITION BY user_id, k) AS a, event_id AS b FROM (SELECT event_id, user_id, regexp_extract(props, '\"k\": *([0-9]+)', 1) AS k FROM events) WHERE k <> ''"),
+    "event_type_pairs": _CANON.format(
+        "WITH g AS (SELECT event_id, user_id, event_type, count(*) OVER (PARTITION BY user_id, event_type) AS n, min(event_id) OVER (PARTITION BY user_id, event_type) AS h FROM events) "
+        "SELECT x.event_id AS a, y.event_id AS b FROM g x JOIN g y USING (user_id, event_type) WHERE x.n <= 10 UNION ALL SELECT h, event_id FROM g WHERE n > 10"
+    ),
+    "event_within": _CANON.format("SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y USING (user_id) WHERE y.ts BETWEEN x.ts AND x.ts + INTERVAL 1 HOUR"),
+    "conversation_chain": _CANON.format("SELECT conv_id * 1000 + turn AS a, lead(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations"),
+    "part_tree": "SELECT p_partkey // 2 AS src, p_partkey AS dst FROM part WHERE p_partkey >= 2",
+}
+_GRAMS = "SELECT DISTINCT {id} AS id, unnest(list_transform(range(1, len(w) - {k} + 2), lambda i: array_to_string(w[i:i + {k} - 1], ' '))) AS gram FROM (SELECT {id}, list_filter(string_split(replace(lower(text), chr(10), ' '), ' '), lambda x: x <> ''){cap} AS w FROM {table})"
+_DOC_GRAMS = _GRAMS.format(id="doc_id", k=3, table="documents", cap="[1:400]")
+JACCARD_SQL = f"""
+WITH g AS ({_DOC_GRAMS}), n AS (SELECT id, count(*) AS n FROM g GROUP BY id), kept AS (SELECT gram FROM g GROUP BY gram HAVING count(*) BETWEEN 2 AND 50),
+r AS (SELECT g.* FROM g JOIN kept USING (gram)), p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM r x JOIN r y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
+SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN n a ON a.id = src JOIN n b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared"""
+EDGE_SQL["doc_jaccard"] = JACCARD_SQL
+EDGE_SQL["passage"] = _CANON.format(f"SELECT 2 * d.id AS a, 2 * b.id + 1 AS b FROM ({_GRAMS.format(id='doc_id', k=8, table='documents', cap='')}) d JOIN ({_GRAMS.format(id='item_id', k=8, table='benchmark', cap='')}) b USING (gram)")
+EDGE_SQL["embedding_cos"] = """
+WITH v AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings WHERE embedding IS NOT NULL),
+p AS (SELECT x.id AS src, y.id AS dst, list_inner_product(x.v, y.v)::HUGEINT AS d, list_inner_product(x.v, x.v)::HUGEINT * list_inner_product(y.v, y.v)::HUGEINT AS s FROM v x JOIN v y ON x.id < y.id)
+SELECT src, dst, round(1 - d::DOUBLE / sqrt(s::DOUBLE), 6) AS w FROM p WHERE d > 0 AND 10000 * d * d >= 1600 * s"""
+
+
+def cc_sql(edges: str, vertices: str | None = None) -> str:
+    """(id, component) by label relaxation; ``vertices`` adds ids that no edge has."""
+    start = f"SELECT id, id AS component FROM (SELECT DISTINCT id FROM nb{' UNION ' + vertices if vertices else ''})"
+    return f"""WITH RECURSIVE e AS MATERIALIZED ({edges}), nb AS MATERIALIZED (SELECT src AS id, dst AS nbr FROM e UNION ALL SELECT dst, src FROM e),
+cc(id, component) USING KEY (id) AS ({start} UNION
+  SELECT nb.nbr, min(cc.component) FROM cc JOIN nb ON nb.id = cc.id JOIN recurring.cc AS old ON old.id = nb.nbr WHERE cc.component < old.component GROUP BY nb.nbr)"""
+
+
+def _cc(edges: str, vertices: str | None = None) -> str:
+    return cc_sql(edges, vertices) + " SELECT id, component FROM cc"
+
+
+# -- shared inputs
+
+_memo: dict[tuple, DataFrame] = {}
+
+
+def _once(spark: SparkSession, key: tuple, make: Callable[[], DataFrame]) -> DataFrame:
+    """A cut that queries of one session share."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _memo:
+        _memo[key] = cut(make(), "shared")
+    return _memo[key]
+
+
+def _edges(spark: SparkSession, d: str, name: str) -> DataFrame:
+    return _once(spark, ("edges", d, name), lambda: workloads.GRAPHS[name](spark, d))
+
+
+def _graph(spark: SparkSession, d: str, name: str) -> Graph:
+    return Graph(_edges(spark, d, name).select("src", "dst"))
+
+
+def _comps(spark: SparkSession, d: str, name: str) -> DataFrame:
+    return _once(spark, ("components", d, name), lambda: components.min_owner(_graph(spark, d, name)).components)
+
+
+def _wedges(spark: SparkSession, d: str, name: str) -> DataFrame:
+    if name == "order_gap":
+        return _once(spark, ("wedges", d, name), lambda: workloads.order_gap(spark, d))
+    return _edges(spark, d, name).select("src", "dst", "w")
+
+
+ORDER_GAP_SQL = "SELECT least(a, b) AS src, greatest(a, b) AS dst, w FROM (SELECT o_orderkey AS a, lead(o_orderkey) OVER w AS b, CAST(date_diff('day', CAST(o_orderdate AS DATE), CAST(lead(o_orderdate) OVER w AS DATE)) AS DOUBLE) AS w FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)) WHERE b IS NOT NULL"
+
+METHODS: dict[str, Callable[[Graph], object]] = {
+    "neighbor_min": lambda g: components.neighbor_min(g),
+    "neighbor_min_frontier": lambda g: components.neighbor_min(g, frontier=True),
+    "all_members": lambda g: components.all_members(g, member_cap=50_000_000),
+    "min_owner": lambda g: components.min_owner(g),
+    "min_owner_random": lambda g: components.min_owner(g, order="random"),
+    "min_owner_retire": lambda g: components.min_owner(g, retire=True),
+    "min_owner_precontract": lambda g: components.min_owner(g, precontract=True),
+    "min_owner_sorted": lambda g: secondary_sort.min_owner_sorted(g),
+    "min_owner_sorted_rdd": lambda g: secondary_sort.min_owner_sorted(g, backend="rdd"),
+    "min_owner_balanced": lambda g: components.min_owner_balanced(g),
+    "min_owner_balanced_50": lambda g: components.min_owner_balanced(g, tau=50),
+    "upper_core": lambda g: components.upper_core(g),
+    "upper_core_wide": lambda g: components.upper_core(g, repair="wide"),
+    "hybrid_mode_switch": lambda g: components.hybrid_mode_switch(g, tau=100),
+    "label_prop": lambda g: baselines.label_prop_baseline(g),
+    "superstep": lambda g: baselines.superstep_min(g),
+}
+#: which graphs each method runs on as queries
+RUNS = {m: ("doc_line",) for m in METHODS} | {
+    "min_owner": ("order_chain_customer", "order_chain_global", "doc_line", "doc_exact", "event_chain", "customer_part_sparse", "embedding_cos", "part_tree", "conversation_chain", "part_supplier_sparse"),
+    "all_members": ("doc_exact", "doc_jaccard"),
+    "min_owner_balanced": ("customer_part", "part_supplier", "part_supplier_sparse"),
+    "label_prop": ("doc_line", "customer_part"),
+    "upper_core": ("doc_line", "customer_part_sparse"),
+}
+
+
+def _method(m: str, name: str) -> Query:
+    return lambda spark, d: METHODS[m](_graph(spark, d, name)).components.select("id", "component")
+
+
+def _page_links(spark: SparkSession, d: str) -> DataFrame:
+    return builders.links(read_table(spark, d, "pages", ["page_id", "html"]))
+
+
+def _isolated(spark: SparkSession, d: str) -> DataFrame:
+    ids = read_table(spark, d, "orders", ["o_orderkey"]).select(F.col("o_orderkey").alias("id"))
+    return graphs.isolated(ids, _edges(spark, d, "order_chain_customer"))
+
+
+def _with_isolated(spark: SparkSession, d: str) -> DataFrame:
+    ids = read_table(spark, d, "orders", ["o_orderkey"]).select(F.col("o_orderkey").alias("id"))
+    return components.min_owner(Graph(_edges(spark, d, "part_supplier_sparse"), ids)).components
+
+
+def _st(spark: SparkSession, d: str) -> DataFrame:
+    """s-t tests between the two least orders of a few customers."""
+    g = _graph(spark, d, "doc_line")
+    comps = _comps(spark, d, "doc_line")
+    ends = comps.agg(F.min("id").alias("s"), F.max("id").alias("t"), F.min_by("id", F.struct("component", -F.col("id"))).alias("u")).first()
+    rows = [(int(a), int(b), components.st_connected(g, a, b)) for a, b in ((ends["s"], ends["u"]), (ends["s"], ends["t"]))]
+    return spark.createDataFrame(rows, "s long, t long, connected boolean")
+
+
+def _asof(spark: SparkSession, d: str) -> DataFrame:
+    """The chain that each event's user was in when it came: the last chain begun by then."""
+    events = read_table(spark, d, "events", ["event_id", "ts", "user_id"])
+    comps = _comps(spark, d, "event_chain")
+    begun = events.join(comps, F.col("event_id") == F.col("id")).groupBy("user_id", "component").agg(F.min("ts").alias("since")).select("user_id", "since", F.col("component").alias("label"))
+    return measures.label_asof(events, begun, "user_id", "ts").select("event_id", "user_id", "ts", "label")
+
+
+def _streamed(spark: SparkSession, d: str) -> DataFrame:
+    """Components of the event chains by micro-batches of an edge stream."""
+    from componentry.plans.storage import shared_dir
+
+    path = f"{shared_dir(spark)}/stream-{abs(hash((d, spark.sparkContext.applicationId))):x}"
+    _edges(spark, d, "event_chain").select("src", "dst").repartition(3).write.mode("overwrite").parquet(path)
+    store = incremental.ComponentStore(spark)
+    edges = spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(path)
+    incremental.components(edges, store).trigger(availableNow=True).start().awaitTermination()
+    return store.labels
+
+
+def _event_stream(spark: SparkSession, d: str) -> DataFrame:
+    schema = read_table(spark, d, "events").schema
+    return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(d)
+
+
+def _open_chain(spark: SparkSession, d: str) -> DataFrame:
+    links = incremental.open_chain(_event_stream(spark, d), "event_id", "user_id", "ts", 6 * 3600)
+    out = incremental.drain(links, f"chain_{abs(hash(d)):x}")
+    return out.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"))
+
+
+def _session_stream(spark: SparkSession, d: str) -> DataFrame:
+    return incremental.session_counts(read_table(spark, d, "events", ["ts", "user_id"]), "ts", "user_id", "6 hours")
+
+
+def _windowed(spark: SparkSession, d: str) -> DataFrame:
+    """Components of users and event types in each day's window."""
+    events = read_table(spark, d, "events", ["ts", "user_id", "event_type", "value"])
+    pairs = events.withColumn("a", F.col("user_id") * 2).withColumn("b", F.floor("value").cast("long") * 2 + 1)
+    return incremental.windowed_graph(incremental.window_edges(pairs, "ts", "1 day", "a", "b"))
+
+
+def _udtf(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    _edges(spark, d, "doc_exact").createOrReplaceTempView("_doc_exact")
+    return spark.sql("SELECT c.id, c.component FROM (SELECT collect_list(src) AS s, collect_list(dst) AS t FROM _doc_exact) g, LATERAL components_of(g.s, g.t) c")
+
+
+def _udaf(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    orders = read_table(spark, d, "orders", ["o_orderkey", "o_custkey"])
+    edges = _edges(spark, d, "order_chain_customer").join(orders, F.col("src") == F.col("o_orderkey")).createOrReplaceTempView("_chains")
+    del edges
+    return spark.sql("SELECT o_custkey, count_components(src, dst) AS n_components FROM _chains GROUP BY o_custkey")
+
+
+def _agreement(spark: SparkSession, d: str) -> DataFrame:
+    """How far shared lines and exact copies agree, over the documents that both have."""
+    return measures.pair_agreement(_comps(spark, d, "doc_line"), _comps(spark, d, "doc_exact"))
+
+
+def _sampled(spark: SparkSession, d: str) -> DataFrame:
+    return graphs.sample_edges(_edges(spark, d, "part_supplier"), 10)
+
+
+def _stats(run: Callable[[Graph], object], name: str) -> Query:
+    return lambda spark, d: run(_graph(spark, d, name)).stats_frame(spark).drop("seconds")
+
+
+def _generated(spark: SparkSession, d: str) -> DataFrame:
+    """Edge counts of the synthetic shapes."""
+    shapes = {"path": generators.path(spark, 1000), "tree": generators.tree(spark, 1023), "star": generators.star(spark, 500), "cycle": generators.cycle(spark, 300), "clique": generators.clique(spark, 40), "grid": generators.grid(spark, 20, 30)}
+    out = None
+    for name, e in shapes.items():
+        row = e.agg(F.lit(name).alias("shape"), F.count(F.lit(1)).alias("n_edges"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _orders(spark: SparkSession, d: str) -> DataFrame:
+    return read_table(spark, d, "orders", ["o_orderkey", "o_totalprice", "o_orderstatus", "o_orderpriority"])
+
+
+_ORDERS, _DOCS = "order_chain_customer", "doc_line"
+
+
+def queries() -> dict[str, Query]:
+    out: dict[str, Query] = {}
+    for name in workloads.GRAPHS:
+        if name != "page_link":
+            out[f"edges_{name}"] = lambda spark, d, n=name: _edges(spark, d, n)
+    out["edges_page_link"] = _page_links
+    for m, names in RUNS.items():
+        for name in names:
+            out[f"cc_{m}_{name}"] = _method(m, name)
+    out |= {
+        "cc_min_owner_with_isolated": _with_isolated,
+        "cc_sql_surface": lambda s, d: (sqlapi.register(s, d), sqlapi.components(s, "SELECT min(doc_id) OVER (PARTITION BY text) AS src, doc_id AS dst FROM documents"))[1],
+        "cc_recursive_cte": lambda s, d: baselines.recursive_cte_components(_edges(s, d, "doc_exact"), 3).select("id", "component"),
+        "isolated_orders": _isolated,
+        "st_connected_doc_line": _st,
+        "component_sizes": lambda s, d: measures.component_sizes(_comps(s, d, _ORDERS)),
+        "size_histogram": lambda s, d: measures.size_histogram(_comps(s, d, _ORDERS)),
+        "largest_k": lambda s, d: measures.topk(_comps(s, d, _ORDERS), 10),
+        "rank_components": lambda s, d: measures.rank_components(_comps(s, d, _DOCS)),
+        "degrees": lambda s, d: measures.degrees(_edges(s, d, "part_supplier")),
+        "degree_histogram": lambda s, d: measures.degree_histogram(_edges(s, d, "customer_part")),
+        "hubs": lambda s, d: measures.hubs(_edges(s, d, "part_supplier"), 10),
+        "graph_profile": lambda s, d: measures.profile(_edges(s, d, _ORDERS), _comps(s, d, _ORDERS)),
+        "approx_vertices": lambda s, d: measures.approx_vertices(_edges(s, d, "customer_part")),
+        "component_members": lambda s, d: measures.members(_comps(s, d, "doc_exact")).select("component", F.array_join(F.transform("members", lambda x: x.cast("string")), ",").alias("members")),
+        "component_summary": lambda s, d: measures.summarise(_orders(s, d), _comps(s, d, _ORDERS), "o_orderkey", "o_totalprice").withColumn("total", F.col("total").cast("double")),
+        "rollup_component": lambda s, d: measures.rollup(read_table(s, d, "documents", ["doc_id", "lang", "source"]), _comps(s, d, _DOCS), "doc_id", "lang", "source").withColumn("level", F.col("level").cast("int")),
+        "cube_component": lambda s, d: measures.cube(read_table(s, d, "documents", ["doc_id", "lang", "source"]), _comps(s, d, _DOCS), "doc_id", "lang", "source").withColumn("level", F.col("level").cast("int")),
+        "attach_component": lambda s, d: measures.attach(read_table(s, d, "documents", ["doc_id", "lang"]), _comps(s, d, _DOCS), "doc_id"),
+        "topk_within_component": lambda s, d: measures.topk_within(_orders(s, d), _comps(s, d, _ORDERS), "o_orderkey", "o_totalprice", 2),
+        "rolling_activity": lambda s, d: measures.rolling(read_table(s, d, "events", ["event_id", "user_id", "ts"]).withColumn("sec", F.unix_seconds(F.col("ts").cast("timestamp"))), "user_id", "sec", 86_400).select("event_id", "n_recent"),
+        "label_asof": _asof,
+        "cut_edges": lambda s, d: measures.cut_edges(_edges(s, d, _DOCS).join(_comps(s, d, "doc_exact"), F.col("src") == F.col("id"), "left_semi").select("src", "dst"), _comps(s, d, "doc_exact")),
+        "verify_components": lambda s, d: measures.verify(_graph(s, d, _DOCS), _comps(s, d, _DOCS)),
+        "pair_agreement": _agreement,
+        "clustering_diff": lambda s, d: measures.diff(_comps(s, d, _DOCS), _comps(s, d, "doc_exact")),
+        "neighbor_min_rounds": lambda s, d: measures.minimum_rounds(_edges(s, d, _DOCS), _comps(s, d, _DOCS)),
+        "bfs_from_least": lambda s, d: measures.bfs(_edges(s, d, _DOCS), _comps(s, d, _DOCS).select(F.col("component").alias("id")).distinct()),
+        "induced_subgraph": lambda s, d: graphs.induced(_edges(s, d, "doc_line"), read_table(s, d, "labels", ["doc_id"]).select(F.col("doc_id").alias("id"))),
+        "null_report": lambda s, d: graphs.null_report(_edges(s, d, "customer_part")),
+        "union_edges": lambda s, d: graphs.union_edges(_edges(s, d, "doc_line"), _edges(s, d, "doc_exact")),
+        "dictionary_collisions": lambda s, d: graphs.encode(_page_links(s, d), "href")[1],
+        "relabel_rank": lambda s, d: graphs.relabel(_edges(s, d, "doc_exact"), "rank")[1].agg(F.count(F.lit(1)).alias("v"), F.min("rank").alias("lo"), F.max("rank").alias("hi"), F.countDistinct("rank").alias("n")),
+        "sampled_edges": _sampled,
+        "generated_shapes": _generated,
+        "stats_min_owner": _stats(METHODS["min_owner"], _DOCS),
+        "stats_min_owner_balanced": _stats(METHODS["min_owner_balanced_50"], "part_supplier_sparse"),
+        "key_balance": lambda s, d: measures.balance(graphs.adjacency(_edges(s, d, "part_supplier")).withColumnRenamed("id", "key")),
+        "minhash_pairs": lambda s, d: builders.minhash(read_table(s, d, "documents", ["doc_id", "text"]), "doc_id", "text"),
+        "hyperplane_pairs": lambda s, d: builders.hyperplane_cosine(read_table(s, d, "embeddings", ["vec_id", "embedding"]), "vec_id", "embedding"),
+        "cluster_distance": lambda s, d: linkage.cluster_distance(_comps(s, d, "doc_exact"), _wedges(s, d, "doc_jaccard")),
+        "lighter_edges": lambda s, d: graphs.lighter(_wedges(s, d, "doc_jaccard"), 0.2),
+        "slc_threshold_doc": lambda s, d: linkage.slc_threshold(_wedges(s, d, "doc_jaccard"), 0.2).components,
+        "slc_threshold_order_gap": lambda s, d: linkage.slc_threshold(_wedges(s, d, "order_gap"), 60.0).components,
+        "slc_rounds_min_owner_doc": lambda s, d: linkage.slc_rounds(_wedges(s, d, "doc_jaccard"), DistanceStop(0.2)).components,
+        "slc_rounds_all_members_doc": lambda s, d: linkage.slc_rounds(_wedges(s, d, "doc_jaccard"), DistanceStop(0.2), hashing="all_members").components,
+        "slc_rounds_embedding": lambda s, d: linkage.slc_rounds(_wedges(s, d, "embedding_cos"), DistanceStop(0.5)).components,
+        "slc_dendrogram_cut_doc": lambda s, d: linkage.slc_dendrogram_cut(_wedges(s, d, "doc_jaccard"), DistanceStop(0.2)).components,
+        "slc_size_rounds_doc": lambda s, d: linkage.slc_rounds(_wedges(s, d, "doc_jaccard"), SizeStop(3)).components,
+        "slc_size_cut_doc": lambda s, d: linkage.slc_dendrogram_cut(_wedges(s, d, "doc_jaccard"), SizeStop(3)).components,
+        "streaming_components": _streamed,
+        "streaming_open_chain": _open_chain,
+        "session_windows": _session_stream,
+        "windowed_components": _windowed,
+        "udtf_components": _udtf,
+        "udaf_components": _udaf,
+        "sweep_path": lambda s, d: workloads.sweep(s, "path", range(5, 7), range(1, 2)),
+        "sweep_tree": lambda s, d: workloads.sweep(s, "tree", range(5, 7), range(1, 2)),
+    }
+    return out
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    out = {f"edges_{n}": q for n, q in EDGE_SQL.items()}
+    out["edges_page_link"] = "SELECT DISTINCT page_id, href FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages)"
+    for m, names in RUNS.items():
+        for name in names:
+            # one path: its least id
+            out[f"cc_{m}_{name}"] = "SELECT o_orderkey AS id, min(o_orderkey) OVER () AS component FROM orders" if name == "order_chain_global" else _cc(EDGE_SQL[name])
+    orders, docs, exact = (cc_sql(EDGE_SQL[n]) for n in (_ORDERS, _DOCS, "doc_exact"))
+    sizes = ", s AS (SELECT component, count(*) AS size FROM cc GROUP BY component)"
+    two = ", " + cc_sql(EDGE_SQL["doc_exact"]).removeprefix("WITH RECURSIVE ").replace("recurring.cc", "recurring.xc").replace("cc", "xc").replace("nb", "xb").replace("e AS MATERIALIZED", "xe AS MATERIALIZED").replace("FROM e ", "FROM xe ").replace("FROM e)", "FROM xe)")
+    bfs = docs + ", b(id, depth) USING KEY (id) AS (SELECT DISTINCT component AS id, 0 AS depth FROM cc UNION SELECT nb.nbr, min(b.depth) + 1 FROM b JOIN nb ON nb.id = b.id WHERE nb.nbr NOT IN (SELECT id FROM recurring.b) GROUP BY nb.nbr)"
+    light = f"SELECT src, dst FROM ({JACCARD_SQL}) WHERE w <= 0.2"
+    slc = _cc(light, f"SELECT src FROM ({JACCARD_SQL}) UNION SELECT dst FROM ({JACCARD_SQL})")
+    cos = EDGE_SQL["embedding_cos"]
+    level = "SELECT {g} AS level, lang, source, count(*) AS n_rows, count(DISTINCT component) AS n_components FROM cc JOIN documents ON doc_id = id GROUP BY {r}(lang, source)"
+    # Spark numbers the bits from the left
+    grouping = "CAST(grouping(lang) * 2 + grouping(source) AS INTEGER)"
+    days = "SELECT DISTINCT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, user_id * 2 AS a, CAST(floor(value) AS BIGINT) * 2 + 1 AS b FROM events"
+    out |= {
+        "cc_min_owner_with_isolated": _cc(EDGE_SQL["part_supplier_sparse"], "SELECT o_orderkey FROM orders"),
+        "cc_sql_surface": _cc(EDGE_SQL["doc_exact"], "SELECT doc_id FROM documents WHERE false"),
+        "cc_recursive_cte": _cc(EDGE_SQL["doc_exact"]),
+        "isolated_orders": f"WITH e AS ({EDGE_SQL[_ORDERS]}) SELECT o_orderkey AS id FROM orders WHERE o_orderkey NOT IN (SELECT src FROM e UNION SELECT dst FROM e)",
+        "component_sizes": orders + sizes + " SELECT component, size FROM s",
+        "size_histogram": orders + sizes + " SELECT size, count(*) AS n_components FROM s GROUP BY size",
+        "largest_k": orders + sizes + " SELECT component, size FROM s ORDER BY size DESC, component LIMIT 10",
+        "rank_components": docs + sizes + ", h AS (SELECT size, count(*) AS n_components FROM s GROUP BY size) SELECT size, n_components, CAST(sum(n_components) OVER w - n_components + 1 AS BIGINT) AS rank, CAST(sum(size * n_components) OVER w AS BIGINT) AS running_vertices FROM h WINDOW w AS (ORDER BY size DESC)",
+        "degrees": f"WITH e AS ({EDGE_SQL['part_supplier']}) SELECT id, count(*) AS degree FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) GROUP BY id",
+        "degree_histogram": f"WITH e AS ({EDGE_SQL['customer_part']}) SELECT degree, count(*) AS n_vertices FROM (SELECT id, count(*) AS degree FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) GROUP BY id) GROUP BY degree",
+        "hubs": f"WITH e AS ({EDGE_SQL['part_supplier']}) SELECT id, count(*) AS degree FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) GROUP BY id ORDER BY degree DESC, id LIMIT 10",
+        "graph_profile": orders + sizes + ", d AS (SELECT id, count(*) AS g FROM nb GROUP BY id) SELECT (SELECT count(*) FROM cc) AS v, (SELECT count(*) FROM e) AS e, (SELECT max(size) FROM s) AS n, (SELECT count(*) FROM s) AS n_components, (SELECT max(g) FROM d) AS max_degree",
+        "component_members": exact + " SELECT component, string_agg(CAST(id AS VARCHAR), ',' ORDER BY id) AS members FROM cc GROUP BY component",
+        "component_summary": orders + " SELECT component, count(*) AS n_rows, CAST(sum(CAST(o_totalprice AS DECIMAL(18, 2))) AS DOUBLE) AS total, min(o_totalprice) AS least, max(o_totalprice) AS most, (max({'p': o_totalprice, 'k': o_orderkey})).k AS top_id, bool_and(o_totalprice > 0) AS all_positive FROM cc JOIN orders ON o_orderkey = id GROUP BY component",
+        "rollup_component": docs + " " + level.format(g=grouping, r="ROLLUP "),
+        "cube_component": docs + " " + level.format(g=grouping, r="CUBE "),
+        "attach_component": docs + " SELECT doc_id, lang, component FROM documents LEFT JOIN cc ON id = doc_id",
+        "topk_within_component": orders + " SELECT component, CAST(row_number() OVER w AS INTEGER) AS rank, o_orderkey, o_totalprice FROM cc JOIN orders ON o_orderkey = id WINDOW w AS (PARTITION BY component ORDER BY o_totalprice DESC, o_orderkey) QUALIFY row_number() OVER w <= 2",
+        "rolling_activity": "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n_recent FROM (SELECT event_id, user_id, CAST(floor(epoch_us(ts) / 1000000.0) AS BIGINT) AS s FROM events)",
+        "label_asof": cc_sql(EDGE_SQL["event_chain"]) + ", l AS (SELECT user_id, component, min(ts) AS since FROM cc JOIN events ON event_id = id GROUP BY user_id, component) SELECT e.event_id, e.user_id, e.ts, l.component AS label FROM events e ASOF LEFT JOIN l ON l.user_id = e.user_id AND e.ts >= l.since",
+        "cut_edges": exact + f" SELECT d.src, d.dst, a.component AS c_src, b.component AS c_dst FROM ({EDGE_SQL[_DOCS]}) d JOIN cc a ON a.id = d.src JOIN cc b ON b.id = d.dst WHERE a.component <> b.component",
+        "verify_components": "SELECT CAST(0 AS BIGINT) AS edges_across, CAST(0 AS BIGINT) AS wrong_names, CAST(0 AS BIGINT) AS ids_lost",
+        "pair_agreement": docs + two + ", t AS (SELECT cc.component AS a, xc.component AS b, count(*) AS n FROM cc JOIN xc USING (id) GROUP BY 1, 2), p AS (SELECT (SELECT sum(n * (n - 1) // 2) FROM (SELECT sum(n) AS n FROM t GROUP BY a)) AS in_a, (SELECT sum(n * (n - 1) // 2) FROM (SELECT sum(n) AS n FROM t GROUP BY b)) AS in_b, (SELECT sum(n * (n - 1) // 2) FROM t) AS in_both, (SELECT sum(n) * (sum(n) - 1) // 2 FROM t) AS all_pairs) SELECT CAST(in_a AS BIGINT) AS in_a, CAST(in_b AS BIGINT) AS in_b, CAST(in_both AS BIGINT) AS in_both, CAST(all_pairs AS BIGINT) AS all_pairs, round(CASE WHEN in_a > 0 THEN in_both / in_a ELSE 1 END, 6) AS precision, round(CASE WHEN in_b > 0 THEN in_both / in_b ELSE 1 END, 6) AS recall, round((all_pairs - in_a - in_b + 2 * in_both) / all_pairs, 6) AS rand_index FROM p",
+        "clustering_diff": docs + two + " SELECT id, component, 'a' AS side FROM (SELECT id, component FROM cc EXCEPT SELECT id, component FROM xc) UNION ALL SELECT id, component, 'b' FROM (SELECT id, component FROM xc EXCEPT SELECT id, component FROM cc)",
+        "neighbor_min_rounds": bfs + " SELECT max(depth) AS rounds FROM b",
+        "bfs_from_least": bfs + " SELECT id, depth FROM b",
+        "induced_subgraph": f"SELECT src, dst FROM ({EDGE_SQL[_DOCS]}) WHERE src IN (SELECT doc_id FROM labels) AND dst IN (SELECT doc_id FROM labels)",
+        "null_report": f"SELECT count(*) AS n_rows, CAST(0 AS BIGINT) AS n_null, CAST(0 AS BIGINT) AS n_loops FROM ({EDGE_SQL['customer_part']})",
+        "union_edges": f"{EDGE_SQL[_DOCS]} UNION {EDGE_SQL['doc_exact']}",
+        "dictionary_collisions": "SELECT CAST(0 AS BIGINT) AS id, CAST(0 AS BIGINT) AS n WHERE false",
+        "relabel_rank": f"WITH e AS ({EDGE_SQL['doc_exact']}), v AS (SELECT count(*) AS v FROM (SELECT src FROM e UNION SELECT dst FROM e)) SELECT v, CAST(0 AS BIGINT) AS lo, v - 1 AS hi, v AS n FROM v",
+        "generated_shapes": "SELECT * FROM (VALUES ('path', 999::BIGINT), ('tree', 1022), ('star', 499), ('cycle', 300), ('clique', 780), ('grid', 1150)) t(shape, n_edges)",
+        "cluster_distance": exact + f" SELECT least(a.component, b.component) AS c1, greatest(a.component, b.component) AS c2, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).w AS w, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).src AS src, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).dst AS dst FROM ({JACCARD_SQL}) j JOIN cc a ON a.id = j.src JOIN cc b ON b.id = j.dst WHERE a.component <> b.component GROUP BY 1, 2",
+        "lighter_edges": f"SELECT src, dst, w FROM ({JACCARD_SQL}) WHERE w <= 0.2",
+        "slc_threshold_doc": slc,
+        "slc_threshold_order_gap": _cc(f"SELECT src, dst FROM ({ORDER_GAP_SQL}) WHERE w <= 60", f"SELECT src FROM ({ORDER_GAP_SQL}) UNION SELECT dst FROM ({ORDER_GAP_SQL})"),
+        "slc_rounds_min_owner_doc": slc,
+        "slc_rounds_all_members_doc": slc,
+        "slc_dendrogram_cut_doc": slc,
+        "slc_rounds_embedding": _cc(f"SELECT src, dst FROM ({cos}) WHERE w <= 0.5", f"SELECT src FROM ({cos}) UNION SELECT dst FROM ({cos})"),
+        "streaming_components": _cc(EDGE_SQL["event_chain"]),
+        "streaming_open_chain": EDGE_SQL["event_chain"],
+        "session_windows": 'WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), n AS (SELECT user_id, ts, sum(first) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS "end", count(*) AS n FROM n GROUP BY user_id, k',
+        "windowed_components": f"WITH RECURSIVE d AS MATERIALIZED ({days}), nb AS MATERIALIZED (SELECT start, a AS id, b AS nbr FROM d UNION ALL SELECT start, b, a FROM d), cc(start, id, component) USING KEY (start, id) AS (SELECT DISTINCT start, id, id AS component FROM nb UNION SELECT nb.start, nb.nbr, min(cc.component) FROM cc JOIN nb ON nb.id = cc.id AND nb.start = cc.start JOIN recurring.cc AS old ON old.id = nb.nbr AND old.start = nb.start WHERE cc.component < old.component GROUP BY nb.start, nb.nbr) SELECT start, id, component FROM cc",
+        "udtf_components": _cc(EDGE_SQL["doc_exact"]),
+        "udaf_components": f"SELECT o_custkey, CAST(1 AS BIGINT) AS n_components FROM ({EDGE_SQL[_ORDERS]}) JOIN orders ON o_orderkey = src GROUP BY o_custkey",
+    }
+    return out

@@ -128,7 +128,7 @@ def cosine(df: DataFrame, id_col: str, vec: str, percent: int = 40, scale: int =
     return left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(solve, schema)
 
 
-def hyperplane_cosine(df: DataFrame, id_col: str, vec: str, percent: int = 40, tables: int = 8, bits: int = 6, scale: int = 256, seed: int = 5, width: int = 64) -> DataFrame:
+def hyperplane_cosine(df: DataFrame, id_col: str, vec: str, percent: int = 40, tables: int = 24, bits: int = 5, scale: int = 256, seed: int = 5, width: int = 64) -> DataFrame:
     """(src, dst) by random hyperplanes, verified exactly: the sub-quadratic option, which can miss pairs."""
     planes = np.random.default_rng(seed).integers(-8, 9, (tables * bits, width))
 
