@@ -73,6 +73,7 @@ class TemplateIndex:
         split = [_WORD.findall(_lower(t)) for t in templates.values()]
         vocabulary = {w: i for i, w in enumerate(sorted({w for t in split for w in t}), 1)}
         self.ids = vocabulary
+        self.bands = [min(BAND, max(1, len(t) // 4)) for t in split]  # short templates may follow one another closely
         self.words = [np.array([vocabulary[w] for w in t], np.int64) for t in split]
         index: dict[int, list[tuple[int, int]]] = {}
         for t, words in enumerate(self.words):
@@ -106,13 +107,14 @@ class TemplateIndex:
         for t, diagonals in hits.items():
             last = None
             for d in sorted(diagonals):
-                if last is None or d - last > BAND:
+                if last is None or d - last > self.bands[t]:
                     out.append((t, d))
                     last = d
         return out
 
-    def align(self, t: int, ids: np.ndarray, diagonal: int, band: int = BAND) -> tuple[int, int, int]:
-        """(matched words, first, last) of the best local alignment of template ``t`` within ``band`` of the diagonal."""
+    def align(self, t: int, ids: np.ndarray, diagonal: int) -> tuple[int, int, int]:
+        """(matched words, first, last) of the best local alignment of template ``t`` within its band of the diagonal."""
+        band = 2 * self.bands[t]
         want = self.words[t].tolist()
         text = ids[max(0, diagonal - band) : max(0, diagonal + len(want) + band + 1)].tolist()
         shift = max(0, diagonal - band)

@@ -143,11 +143,9 @@ def document_pieces(docs: DataFrame, path: str | None = None, *, length: int = L
     return keyed.mapInArrow(run, PIECES)
 
 
-def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """(bin, offset) of each length. Works on counts per length, so equal pieces are interchangeable."""
-    count = [0] * (size + 1)
-    for n, c in zip(*np.unique(lengths, return_counts=True), strict=True):
-        count[n] = int(c)
+def _fill(count: list[int], size: int, swap: bool) -> list[list[int]]:
+    """Bins of lengths: each filled with the longest that fits; with ``swap`` its last piece may give way to two."""
+    count = list(count)
     present = 0  # bit n: a piece of length n is left
     for n in range(1, size + 1):
         if count[n]:
@@ -165,16 +163,13 @@ def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, n
             count[n] -= 1
             if not count[n]:
                 present &= ~(1 << n)
-        if gap and present and len(own) > 1:
+        if swap and gap and present and len(own) > 1:
             least = own[-1]
             room = gap + least
             best, pair = least, None
             first = longest(room - 1)
             while first > 0 and first * 2 >= best:
-                if count[first] > 1 or 2 * first > room:
-                    second = longest(min(room - first, first))
-                else:
-                    second = longest(min(room - first, first - 1))
+                second = longest(min(room - first, first if count[first] > 1 else first - 1))
                 if second > 0 and best < first + second:
                     best, pair = first + second, (first, second)
                     if best == room:
@@ -190,6 +185,18 @@ def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, n
                     if not count[n]:
                         present &= ~(1 << n)
         bins.append(own)
+    return bins
+
+
+def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
+    """(bin, offset) of each length. Works on counts per length, so equal pieces are interchangeable.
+
+    Where the swaps cost a bin in the end, as they can with few short pieces, the fill without them stands.
+    """
+    count = [0] * (size + 1)
+    for n, c in zip(*np.unique(lengths, return_counts=True), strict=True):
+        count[n] = int(c)
+    bins = min((_fill(count, size, swap) for swap in (True, False)), key=len)
     # hand the places out to the pieces of each length
     places: dict[int, list[tuple[int, int]]] = {}
     for b, own in enumerate(bins):
