@@ -38,8 +38,8 @@ from componentry.operators.components import min_owner_balanced
 from componentry.plans.storage import cut, small_side
 
 SIZE = 5
-BUCKET_ENTRIES = 1_500_000
-BLOCK_BYTES = 6 << 20
+BUCKET_ENTRIES = 1_000_000
+BLOCK_BYTES = 3 << 20
 MAX_BLOCK_SETS = 4096
 MAX_BLOCK_SHINGLES = 3_000_000
 PAGE_SETS = 1024
@@ -323,3 +323,18 @@ def keep_one(docs: DataFrame) -> DataFrame:
 
 def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+
+
+_UPPER, _SMALL = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+OP4_SQL = rf"""
+WITH RECURSIVE d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, coalesce(regexp_extract_all(translate(text, '{_UPPER}', '{_SMALL}'), '[^\x20\x09-\x0D]+'), []) AS w FROM documents),
+s AS MATERIALIZED (SELECT DISTINCT rid, g FROM (SELECT rid, unnest(CASE WHEN len(w) >= 5 THEN list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS g FROM d)),
+n AS MATERIALIZED (SELECT rid, count(*) AS n FROM s GROUP BY rid),
+p AS (SELECT x.rid AS a, y.rid AS b, count(*) AS c FROM s x JOIN s y ON x.g = y.g AND x.rid < y.rid GROUP BY x.rid, y.rid),
+l AS MATERIALIZED (SELECT a, b FROM p JOIN n i ON i.rid = a JOIN n j ON j.rid = b WHERE 100 * c >= 75 * (i.n + j.n - c)),
+nb AS MATERIALIZED (SELECT a AS id, b AS nbr FROM l UNION ALL SELECT b, a FROM l),
+cc(id, label) USING KEY (id) AS (SELECT DISTINCT id, id AS label FROM nb UNION
+  SELECT nb.nbr, min(cc.label) FROM cc JOIN nb ON nb.id = cc.id JOIN recurring.cc AS o ON o.id = nb.nbr WHERE cc.label < o.label GROUP BY nb.nbr)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, CASE WHEN n.n IS NULL THEN d.doc_id ELSE min(d.doc_id) OVER (PARTITION BY coalesce(cc.label, d.rid)) END AS component_id
+FROM d LEFT JOIN n ON n.rid = d.rid LEFT JOIN cc ON cc.id = d.rid
+"""

@@ -28,7 +28,6 @@ BUDGET = 1.5
 MOST_PASSES = 2
 BLOCK_WORDS = 512
 SEED = 17
-_PARTS = 256
 _CHUNK_BITS = 15
 
 
@@ -59,8 +58,8 @@ def targets(totals: DataFrame, weights: tuple = WEIGHTS, budget: float = BUDGET,
 
 def streams(sized: DataFrame, seed: int = SEED) -> DataFrame:
     """``sized`` (row_id, doc_id, source, size) with ``at``, the words before it in its source's shuffled stream."""
-    h = F.xxhash64(F.lit(seed), "doc_id", "size")
-    rows = sized.withColumn("_h", h).withColumn("_part", F.shiftrightunsigned("_h", 64 - _PARTS.bit_length() + 1))
+    h = F.md5(F.concat_ws(":", F.lit(seed), "doc_id", "size"))
+    rows = sized.withColumn("_h", h).withColumn("_part", F.substring("_h", 1, 2))
     sums = rows.groupBy("source", "_part").agg(F.sum("size").alias("_s"))
     before = Window.partitionBy("source").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     base = sums.select(F.col("source").alias("_src"), F.col("_part").alias("_p"), F.coalesce(F.sum("_s").over(before), F.lit(0)).alias("_base"))
@@ -153,6 +152,17 @@ def op1_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "size", "source_size", "target", "taken")
 
 
+OP1_SQL = rf"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS size FROM documents),
+t AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source),
+w AS (SELECT *, list_extract([{', '.join(f'{float(x)}::DOUBLE' for x in WEIGHTS)}], CAST((row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % {len(WEIGHTS)} + 1 AS INTEGER)) AS weight, {float(MOST_PASSES)}::DOUBLE * source_size AS cap FROM t),
+v AS (SELECT *, cap / weight AS r, (sum(source_size) OVER () * {BUDGET}::DOUBLE - coalesce(sum(cap) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0)) / sum(weight) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM w),
+g AS (SELECT source, source_size, least(cap, coalesce(weight * (SELECT arg_min(level, r) FROM v WHERE level <= r), cap)) AS target FROM v),
+s AS (SELECT d.*, g.source_size, g.target, CAST(floor(g.target + 0.5) AS BIGINT) AS take, CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY md5(concat_ws(':', '{SEED}', CAST(d.doc_id AS VARCHAR), CAST(d.size AS VARCHAR))), d.doc_id, d.size, d.rid) - d.size AS BIGINT) AS pos FROM d JOIN g ON g.source IS NOT DISTINCT FROM d.source)
+SELECT doc_id, size, source_size, target, CAST(greatest(0, least(pos + size, take) - pos) + greatest(0, least(pos + source_size + size, take) - pos - source_size) AS BIGINT) AS taken FROM s
+"""
+
+
 def mixed_documents(docs: DataFrame) -> DataFrame:
     """``docs`` as the mix takes them: a row for each pass over a document, its text cut where the target ends.
 

@@ -154,3 +154,22 @@ def keep_good(docs: DataFrame) -> DataFrame:
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return quality_verdicts(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+_RATES = {"symbols": ("n_symbols", "word_chars"), "repeats": ("n_repeat_words", "n_words"), "dup_lines": ("n_dup_lines", "n_lines"), "word_length": ("word_chars", "n_words")}
+_FENCE = "min(CASE WHEN c >= 0.75 * t THEN pow({g}, bucket) END) + {k} * (min(CASE WHEN c >= 0.75 * t THEN pow({g}, bucket) END) - min(CASE WHEN c >= 0.25 * t THEN pow({g}, bucket) END))".format(g=GAMMA, k=REACH)
+OP8_SQL = rf"""
+WITH d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, lang, source, coalesce(text, '') AS text, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS w FROM documents),
+win AS MATERIALIZED (SELECT rid, i, array_to_string(w[i:i + {WINDOW - 1}], ' ') AS g FROM (SELECT rid, w, unnest(range(1, len(w) - {WINDOW - 2})) AS i FROM d)),
+rep AS (SELECT rid, count(DISTINCT i + k) AS n FROM (SELECT rid, i, count(*) OVER (PARTITION BY rid, g) AS c FROM win), range({WINDOW}) o(k) WHERE c > 1 GROUP BY rid),
+ln AS (SELECT rid, count(*) AS n_lines, count(*) - count(DISTINCT line) AS dup FROM (SELECT rid, unnest(string_split(text, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY rid),
+s AS MATERIALIZED (SELECT d.rid, doc_id, lang, source, len(w) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS BIGINT) AS word_chars, CAST(length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, coalesce(ln.dup, 0) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines FROM d LEFT JOIN rep USING (rid) LEFT JOIN ln USING (rid)),
+f AS MATERIALIZED (SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words AS base_failed FROM s),
+x AS MATERIALIZED ({' UNION ALL '.join(f"SELECT rid, lang, source, base_failed, '{n}' AS rule, {float(GUARDS[n])} AS guard, {a} * 1000000 // greatest({b}, 1) AS rate FROM f" for n, (a, b) in _RATES.items())}),
+sk AS (SELECT lang, source, rule, guard, CAST(ceil(ln(CAST(greatest(rate, 1) AS DOUBLE)) / {math.log(GAMMA)!r}) AS INTEGER) AS bucket, count(*) AS n FROM x WHERE NOT base_failed GROUP BY ALL),
+own AS (SELECT lang, source, rule, guard, max(t) AS docs, {_FENCE} AS fence FROM (SELECT *, sum(n) OVER (PARTITION BY lang, source, rule ORDER BY bucket) AS c, sum(n) OVER (PARTITION BY lang, source, rule) AS t FROM sk) GROUP BY ALL),
+every AS (SELECT rule, {_FENCE} AS fence FROM (SELECT *, sum(n) OVER (PARTITION BY rule ORDER BY bucket) AS c, sum(n) OVER (PARTITION BY rule) AS t FROM (SELECT rule, bucket, sum(n) AS n FROM sk GROUP BY rule, bucket)) GROUP BY rule),
+lim AS (SELECT lang, source, rule, greatest(CASE WHEN docs >= {MIN_GROUP} THEN own.fence ELSE every.fence END, guard) AS at_most FROM own JOIN every USING (rule)),
+v AS (SELECT rid, bool_and(coalesce(rate <= at_most * {GAMMA}, true)) AS ok FROM x LEFT JOIN lim ON lim.rule = x.rule AND lim.lang IS NOT DISTINCT FROM x.lang AND lim.source IS NOT DISTINCT FROM x.source GROUP BY rid)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND ok AS kept FROM f JOIN v USING (rid)
+"""

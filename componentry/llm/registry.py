@@ -16,4 +16,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_voronoi_knn": knn.OP3_SQL, "op7_url_filters": urls.OP7_SQL, "op10_line_dedup": lines.OP10_SQL}
+    return {"op1_source_mix": mixing.OP1_SQL, "op3_voronoi_knn": knn.OP3_SQL, "op4_jaccard_join": jaccard.OP4_SQL, "op7_url_filters": urls.OP7_SQL, "op8_quality_rules": quality.OP8_SQL, "op10_line_dedup": lines.OP10_SQL}

@@ -32,7 +32,7 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def text_blocks(batch: pa.RecordBatch, column: str = "text", most: int = 4 << 20, rows: int = 30_000) -> Iterator[tuple[int, int]]:
+def text_blocks(batch: pa.RecordBatch, column: str = "text", most: int = 2 << 20, rows: int = 30_000) -> Iterator[tuple[int, int]]:
     """Row ranges of a batch with at most ``most`` bytes of text (a longer text is alone in its range)."""
     sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
     start = total = 0
@@ -128,7 +128,7 @@ def set_key(sorted_hashes: np.ndarray) -> bytes:
     return hashlib.blake2b(sorted_hashes.tobytes(), digest_size=16).digest()
 
 
-def text_map(df: DataFrame, text: str, keep: list[str], fields: list[T.StructField], fn: Callable[[pa.Array], list[pa.Array]], most: int = 4 << 20) -> DataFrame:
+def text_map(df: DataFrame, text: str, keep: list[str], fields: list[T.StructField], fn: Callable[[pa.Array], list[pa.Array]], most: int = 2 << 20) -> DataFrame:
     """``keep`` columns of ``df`` and one value per row for each of ``fields``, from ``fn`` over blocks of whole texts.
 
     A block has at most ``most`` bytes (or one text), so memory follows the longest text, not the batch.
