@@ -12,9 +12,11 @@ gives no rows.
 
 from __future__ import annotations
 
+import json
 import re
 import zlib
 from collections.abc import Iterator
+from pathlib import Path
 
 import numpy as np
 import pandas as pd
@@ -35,23 +37,87 @@ PIECES = T.StructType(
     [T.StructField("doc_id", T.LongType()), T.StructField("piece", T.IntegerType()), T.StructField("start", T.LongType()), T.StructField("length", T.LongType()), T.StructField("ids_crc32", T.LongType()), T.StructField("row_key", T.LongType())]
 )
 
-#: white space that the vocabulary's normaliser drops, so no token crosses it
-_SPACES = re.compile(r"[ \n\t\r]+")
-
-
 def vocabulary_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
 
 
+#: a chunk of Latin letters, perhaps with a comma or full stop behind it
+_SIMPLE = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,]?)").fullmatch
+#: a comma or full stop behind what is no letter, digit or space: part of a run of marks
+_RUN = re.compile(r"[,.](?<=[^A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff0-9 \n][,.])").search
+_END = b"\x01"
+
+
+def _latin(text: str) -> bool:
+    if text.isascii():
+        return True
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
+
+
+def chunks(text: str) -> list[str]:
+    """Space separated chunks that the vocabulary encodes apart.
+
+    In Latin-1 text letters can be lowered at once, and a comma or full stop behind a letter, digit or space
+    starts a chunk, as it does in the vocabulary: so words and marks repeat, and few chunks are new. Texts with runs of
+    marks, other letters or what may be a special token are cut at spaces only.
+    """
+    if "<|" not in text and _latin(text) and not _RUN(text):
+        text = text.lower().replace(",", " ,").replace(".", " .")
+    return text.replace("\n", " ").split(" ")
+
+
+def _byte_letters() -> dict[str, int]:
+    """The letters that byte-level vocabularies write bytes as: printable Latin-1 as itself, the rest from 256 on."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in own]
+    return {chr(b): b for b in own} | {chr(256 + k): b for k, b in enumerate(rest)}
+
+
+class WordMerger:
+    """Pair merging of lower-case words by the vocabulary's own merges, many words a call; the end of a word is a byte of its own."""
+
+    def __init__(self, path: str):
+        import tiktoken
+
+        model = json.loads(Path(path).read_text())["model"]
+        vocabulary, suffix, letters = model["vocab"], model["end_of_word_suffix"], _byte_letters()
+        merged = ["".join(m if isinstance(m, list) else m.split(" ")) for m in model["merges"]]
+        if not suffix or len(set(merged)) != len(merged):
+            raise ValueError("this vocabulary's merges are not told apart by their results")
+        pieces = [*letters, *(c + suffix for c in letters), *merged]
+
+        def raw(piece: str) -> bytes:
+            ends = piece.endswith(suffix)
+            return bytes(letters[c] for c in piece.removesuffix(suffix)) + (_END if ends else b"")
+
+        ranks: dict[bytes, int] = {}
+        for p in pieces:
+            ranks.setdefault(raw(p), len(ranks))
+        self.ids = np.zeros(len(ranks), "<u4")
+        self.ends = np.zeros(len(ranks), bool)
+        for p in pieces:
+            self.ids[ranks[raw(p)]], self.ends[ranks[raw(p)]] = vocabulary[p], p.endswith(suffix)
+        self.encode = tiktoken.Encoding("words", pat_str="[^ ]+", mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+
+    def __call__(self, words: list[str]) -> list[bytes]:
+        found = np.array(self.encode((_END.decode() + " ").join(words) + _END.decode()), np.int64)
+        ends = (4 * (np.flatnonzero(self.ends[found]) + 1)).tolist()
+        return list(map(self.ids[found].tobytes().__getitem__, map(slice, [0, *ends], ends)))
+
+
 class WordIds:
-    """Ids of texts as little-endian 32-bit bytes, from a bounded cache of white-space separated chunks.
+    """Ids of texts as little-endian 32-bit bytes, from a bounded cache of space separated chunks.
 
     The cache has two generations of at most ``cache`` chunks: when the young one is full it becomes the old one,
-    and what is met again moves on, so frequent chunks are never encoded twice. New chunks are encoded
-    together, between separators; a comma or full stop behind a letter, and ASCII capitals, are taken off first, as the
-    vocabulary splits before such marks and lowers all letters.
+    and what is met again moves on, so frequent chunks are not encoded again. Most new chunks are a word of Latin letters
+    with at most one mark behind: the vocabulary lowers the word, merges it apart from all else, and encodes the
+    mark alone. Those words go through WordMerger; any other chunk goes through the whole tokeniser.
     """
 
     def __init__(self, path: str, cache: int = CACHE):
@@ -60,57 +126,40 @@ class WordIds:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.limit = Tokenizer.from_file(path), cache
+        self.tokenizer, self.limit, self.merge = Tokenizer.from_file(path), cache, WordMerger(path)
         self.known: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
-        (self.separator,) = self._ids("\x01")
-        self.marks = {m: np.array(self._ids(m), "<u4").tobytes() for m in ",."}
+        self.marks = {m: np.array(self._ids(m), "<u4").tobytes() for m in ",."} | {"": b""}
 
     def _ids(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
-    def _core(self, chunk: str) -> tuple[str, bytes]:
-        """What is encoded for a chunk, and the ids behind that."""
-        tail = b""
-        if len(chunk) > 1 and chunk[-1] in self.marks and chunk[-2].lower().isalpha():
-            chunk, tail = chunk[:-1], self.marks[chunk[-1]]
-        return (chunk.lower() if chunk.isascii() and chunk.isalpha() else chunk), tail
-
-    def _learn(self, new: list[str]) -> None:
-        known, old = self.known, self.old
-        cores = [self._core(c) for c in new]
-        for c, _ in cores:
-            if c not in known and c in old:
-                known[c] = old[c]
-        lack = list({c for c, _ in cores if c not in known})
-        plain = [c for c in lack if "\x01" not in c and "<|" not in c]
-        for at in range(0, len(plain), 1000):
-            part = plain[at : at + 1000]
-            ids = np.array(self.tokenizer.encode_batch_fast([" \x01 ".join(part)], add_special_tokens=False)[0].ids, "<u4")
-            raw, start = ids.tobytes(), 0
-            for c, end in zip(part, [*np.flatnonzero(ids == self.separator).tolist(), len(ids)], strict=True):
-                known[c] = raw[4 * start : 4 * end]
-                start = end + 1
-        for c in lack:
-            if c not in known:
-                known[c] = np.array(self._ids(c), "<u4").tobytes()
-        for w, (c, tail) in zip(new, cores, strict=True):
-            known[w] = known[c] + tail
+    def _learn(self, new: set[str]) -> None:
+        known, old, marks = self.known, self.old, self.marks
+        lower = [w for w in new if w.islower() and w.isalpha() and (w.isascii() or _latin(w))]
+        forms = [(w, m[1].lower(), m[2]) for w in new.difference(lower) if (m := _SIMPLE(w))]
+        words = {c for _, c, _ in forms}.difference(known)
+        again = words & old.keys()
+        known.update((c, old[c]) for c in again)
+        lack = list((words - again).union(lower))
+        for at in range(0, len(lack), 5000):
+            part = lack[at : at + 5000]
+            known.update(zip(part, self.merge(part), strict=True))
+        known.update([(w, known[c] + marks[m]) for w, c, m in forms])
+        rest = [w for w in new if w not in known]
+        if rest:
+            made = self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)
+            known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(rest, made, strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        split = [_SPACES.split(t) for t in texts]
-        words = set().union(*split)
+        split = [chunks(t) for t in texts]
         if len(self.known) > self.limit:
             self.known, self.old = {}, self.known
-        new = words.difference(self.known)
+        new = set().union(*split).difference(self.known)
         if new:
             again = new & self.old.keys()
             self.known.update((w, self.old[w]) for w in again)
-            new -= again
-            if "" in new:
-                new.discard("")
-                self.known[""] = b""
-            self._learn(list(new))
+            self._learn(new - again)
         get = self.known.__getitem__
         return [b"".join(map(get, x)) for x in split]
 
