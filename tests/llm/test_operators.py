@@ -430,16 +430,81 @@ def test_line_dedup(docs, none):
     assert lines.drop_boilerplate(none).count() == 0
 
 
-def test_pipeline_stage_by_stage(spark, docs):
+def brute_keep(rows):
+    """Rows that pass the quality rules, with thresholds from plain sorted buckets."""
+    facts = []
+    for r in rows:
+        n, chars, sym, dup, rep = brute_quality(r[1])
+        lines_ = sum(1 for x in (r[1] or "").split("\n") if WORD.search(x))
+        failed = n < 20 or 100 * rep > 30 * n
+        rate = {"symbols": sym * 10**6 // max(chars, 1), "repeats": rep * 10**6 // max(n, 1), "dup_lines": dup * 10**6 // max(lines_, 1), "word_length": chars * 10**6 // max(n, 1)}
+        facts.append((r, failed, rate))
+    groups, every = collections.defaultdict(list), collections.defaultdict(list)
+    for r, failed, rate in facts:
+        for rule, x in rate.items():
+            if not failed:
+                b = int(np.ceil(np.log(max(x, 1)) / np.log(quality.GAMMA)))
+                groups[r[2], r[3], rule].append(b)
+                every[rule].append(b)
+
+    def fence(buckets):
+        at = lambda q: quality.GAMMA ** sorted(buckets)[int(np.ceil(q * len(buckets))) - 1]
+        return at(0.75) + quality.REACH * (at(0.75) - at(0.25))
+
+    def passes(r, rule, x):
+        own = groups.get((r[2], r[3], rule))
+        if not own:
+            return True
+        limit = max(fence(own if len(own) >= quality.MIN_GROUP else every[rule]), quality.GUARDS[rule])
+        return x <= limit * quality.GAMMA
+
+    return [r for r, failed, rate in facts if not failed and all(passes(r, k, x) for k, x in rate.items())]
+
+
+def brute_lines(rows):
+    pages, held = collections.Counter(), collections.Counter()
+    for _, t, _, s, *_ in rows:
+        pages[s] += 1
+        for line in {x.strip(" ") for x in (t or "").split("\n")} - {""}:
+            held[s, line] += 1
+    bad = {k for k, n in held.items() if n >= lines.MIN_PAGES and n > lines.RATIO * pages[k[0]]}
+    return [(d, None if t is None else "\n".join(x for x in t.split("\n") if (s, x.strip(" ")) not in bad), g, s, *rest) for d, t, g, s, *rest in rows]
+
+
+def test_pipeline_against_brute_force(spark, docs):
+    """Each stage, on what the stage before really kept, against plain Python."""
     import corpus_pipeline
 
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality_rules", "line_dedup", "near_duplicates", "source_mix", "best_fit_packing"]
-    df = docs
-    for name, stage in corpus_pipeline.STAGES:
-        df = cut(stage(spark, df, ""), name)
-        if name != "best_fit_packing":
-            assert df.columns == docs.columns
-    assert df.count() > 0 and {"doc_id", "sequence_id", "offset"} <= set(df.columns)
+    stage = dict(corpus_pipeline.STAGES)
+    rows = lambda df: [tuple(r) for r in df.collect()]
+    bag = lambda x: sorted(map(str, x))
+    good = cut(stage["quality_rules"](spark, docs, ""), "s1")
+    assert good.columns == docs.columns and bag(rows(good)) == bag(brute_keep(ROWS))
+    clean = cut(stage["line_dedup"](spark, good, ""), "s2")
+    assert clean.columns == docs.columns and bag(rows(clean)) == bag(brute_lines(rows(good)))
+    one = cut(stage["near_duplicates"](spark, clean, ""), "s3")
+    before = rows(clean)
+    classes = collections.defaultdict(set)
+    for d, n, c in near_classes(before):
+        classes[c].add(d)
+    ids = [r[0] for r in rows(one)]
+    assert one.columns == docs.columns and {r for r in map(str, rows(one))} <= {r for r in map(str, before)}
+    assert sorted(i for i in ids if i is not None) == sorted({c for c in classes if c is not None})
+    mixed = cut(stage["source_mix"](spark, one, ""), "s4")
+    sizes, taken = collections.Counter(), collections.Counter()
+    for r in rows(one):
+        sizes[r[3]] += len(WORD.findall(r[1] or ""))
+    for r in rows(mixed):
+        taken[r[3]] += len(WORD.findall(r[1]))
+    assert mixed.columns == docs.columns and all(abs(taken[s] - t) <= 1 for s, t in brute_targets(sizes).items())
+    packed = stage["best_fit_packing"](spark, mixed, "").collect()
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(packing.vocabulary_path())
+    want = sum(len(library.encode(r[1], add_special_tokens=False).ids) + 1 for r in rows(mixed))
+    assert sum(r["length"] for r in packed) == want
+    assert len({r["sequence_id"] for r in packed}) <= want // 2048 + 2
 
 
 def test_native_operators_have_no_python(docs):
