@@ -38,12 +38,18 @@ def _loop(name: str, opts: dict) -> Loop:
     return Loop(name, **{k: v for k, v in opts.items() if k in ("max_rounds", "detect", "row_cap", "stats")})
 
 
+def _resident(nbrs: DataFrame) -> DataFrame:
+    """Adjacency dealt by id once and kept so, on disk where memory lacks: rounds move labels, never edges."""
+    parts = int(nbrs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return nbrs.repartition(parts, "id").persist()
+
+
 def neighbor_min(g: Graph, *, order: str = "natural", seed: int = 42, frontier: bool = False, **opts) -> RunResult:
     """The least id known travels one hop a round. ``frontier``: only keys whose label changed send it on."""
 
     def run(g: Graph) -> RunResult:
         loop = _loop("neighbor_min", {"max_rounds": 10_000} | opts)
-        nbrs = cut(adjacency(g.edges).repartition("id").sortWithinPartitions("id"), "nbrs")
+        nbrs = _resident(adjacency(g.edges))
         loop.start(init_self(g.ids).withColumn("fresh", F.lit(True)))
 
         def send(state: DataFrame) -> DataFrame:
@@ -56,7 +62,7 @@ def neighbor_min(g: Graph, *, order: str = "natural", seed: int = 42, frontier:
             return seen.select("key", "member", (F.col("member") < F.col("was")).alias("fresh"))
 
         loop.until_stable(send, merge)
-        release(nbrs)
+        nbrs.unpersist()
         return RunResult(loop.state.select(F.col("key").alias("id"), F.col("member").alias("component")), loop.stats)
 
     return _ordered(g, order, seed, run)
@@ -174,7 +180,7 @@ def upper_core(g: Graph, *, order: str = "natural", seed: int = 42, repair: str
 
     def run(g: Graph) -> RunResult:
         loop = _loop("upper_core", {"max_rounds": 300} | opts)
-        nbrs = cut(adjacency(g.edges).repartition("id").sortWithinPartitions("id"), "nbrs")
+        nbrs = _resident(adjacency(g.edges))
         start = init_self(g.ids)
         loop.start(start)
         keep = lambda state: lambda m: emit.merge_keep_plus_min(state, m)
@@ -194,7 +200,7 @@ def upper_core(g: Graph, *, order: str = "natural", seed: int = 42, repair: str
             release(before)
             if not changed:
                 break
-        release(nbrs)
+        nbrs.unpersist()
         return RunResult(export_by_label(loop.state), loop.stats, {"repair": repair})
 
     return _ordered(g, order, seed, run)
@@ -203,7 +209,7 @@ def upper_core(g: Graph, *, order: str = "natural", seed: int = 42, repair: str
 def hybrid_mode_switch(g: Graph, *, tau: int = TAU, **opts) -> RunResult:
     """upper_core whose large clusters fall back to labels: keys over ``tau`` members, and their members, keep the least id only."""
     loop = _loop("hybrid_mode_switch", {"max_rounds": 10_000} | opts)
-    nbrs = cut(adjacency(g.edges).repartition("id"), "nbrs")
+    nbrs = _resident(adjacency(g.edges))
     loop.start(emit.with_owner(init_self(g.ids), size=True))
 
     def send(state: DataFrame) -> DataFrame:
@@ -213,7 +219,7 @@ def hybrid_mode_switch(g: Graph, *, tau: int = TAU, **opts) -> RunResult:
         return least.unionByName(flood).unionByName(emit.pairs(held, ("owner", "member"), ("member", "owner")))
 
     loop.until_stable(send, lambda m: emit.merge_union(m, size=True))
-    release(nbrs)
+    nbrs.unpersist()
     # labels settle by flooding; whatever clusters hold beyond that is dropped at the end
     return RunResult(export_by_label(loop.state), loop.stats)
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -12,7 +13,7 @@ from componentry.functions import graphs
 from componentry.functions.graphs import Graph, graph
 from componentry.operators import baselines, components, linkage, measures, secondary_sort
 from componentry.operators.stops import DistanceStop, SizeStop
-from componentry.plans.storage import cut
+from componentry.plans.storage import cut, drop_path, shared_dir
 from componentry.sources import builders, generators
 from componentry.sources.io import read_table
 from componentry.streaming import incremental
@@ -169,13 +170,13 @@ def _asof(spark: SparkSession, d: str) -> DataFrame:
 
 def _streamed(spark: SparkSession, d: str) -> DataFrame:
     """Components of the event chains by micro-batches of an edge stream."""
-    from componentry.plans.storage import shared_dir
-
-    path = f"{shared_dir(spark)}/stream-{abs(hash((d, spark.sparkContext.applicationId))):x}"
-    _edges(spark, d, "event_chain").select("src", "dst").repartition(3).write.mode("overwrite").parquet(path)
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    _edges(spark, d, "event_chain").select("src", "dst").repartition(3).write.parquet(path)
     store = incremental.ComponentStore(spark)
     edges = spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(path)
-    incremental.components(edges, store).trigger(availableNow=True).start().awaitTermination()
+    incremental.components(edges, store).option("checkpointLocation", f"{path}-progress").trigger(availableNow=True).start().awaitTermination()
+    drop_path(spark, path)
+    drop_path(spark, f"{path}-progress")
     return store.labels
 
 
