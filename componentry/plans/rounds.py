@@ -11,6 +11,7 @@ import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
@@ -88,7 +89,7 @@ class Loop:
         cols = [c.strip() for c in judged.split(",")]
         observed = state.observe(seen, F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.xxhash64(*cols).cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)")).alias("h"))
         before, self.state = self.state, cut(observed, self.run)
-        got = seen.get
+        got = self._read(seen)
         mark = (got["n"], got["h"])
         if self.detect == "exact" and before is not None and compare:
             a, b = before.select(*cols), self.state.select(*cols)
@@ -97,13 +98,22 @@ class Loop:
             changed = mark != self._print
         if compare:
             self._print = mark
-        sent = messages.get["n"] if messages is not None else got["n"]
+        sent = 0 if not got["n"] else self._read(messages)["n"] if messages is not None else got["n"]
         self.stats.append({"run": self.run, "round": self._round, "phase": phase, "messages_emitted": sent, "state_rows": got["n"], "changed": changed, "seconds": round(time.perf_counter() - began, 3)})
         release(before)
         if self.row_cap is not None and got["n"] > self.row_cap:
             raise NotConverged(f"{self.run}: {got['n']} state rows; the cap is {self.row_cap}", self.stats)
         return changed
 
+    def _read(self, seen: Observation) -> dict:
+        """Observed metrics; a plan that turns out empty is replaced at run time, and reports none."""
+        try:
+            return seen.get
+        except Py4JError:
+            if not self.state.isEmpty():
+                raise
+            return {"n": 0, "h": 0}
+
     def start(self, state: DataFrame, phase: str = "init") -> None:
         self._round = 0
         self._print = ()
@@ -116,6 +126,8 @@ class Loop:
         return messages.observe(seen, F.count(F.lit(1)).alias("n")), seen
 
     def step(self, send: Callable[[DataFrame], DataFrame], merge: Callable[[DataFrame], DataFrame], phase: str = "round", compare: bool = True) -> bool:
+        if self.stats and not self.stats[-1]["state_rows"]:
+            return False  # nothing to do on an empty graph
         if self._round >= self.max_rounds:
             raise NotConverged(f"{self.run}: no end after {self._round} rounds", self.stats)
         self._round += 1
