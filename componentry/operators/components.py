@@ -152,6 +152,9 @@ def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural
         first.start(emit.merge_union(init_closed(g), size=True))
         most = tau if tau is not None else (1 << 62)
         first.until_stable(lambda s: emit.min_owner_balanced(s, most), lambda m: emit.merge_union(m, size=True), "stage 1")
+        if first.state.where(F.col("size") > most).isEmpty():
+            # no key kept anything back: this is a fixed point of the plain method
+            return RunResult(export_owner_clusters(first.state), first.stats, {"stage1_rounds": first.rounds, "stage2_rounds": 0})
         # each id names the cluster it answers to: the least member it holds
         named = cut(export_by_label(first.state), "named")
         links = first.state.select("key", "member").where("key <> member")
@@ -165,7 +168,7 @@ def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural
         book = export_owner_clusters(second.state).select(F.col("id").alias("head"), "component")
         out = named.withColumnRenamed("component", "head").join(small_side(book), "head").select("id", "component")
         stats = first.stats + second.stats
-        return RunResult(out, stats, {"stage1_rounds": sum(s["round"] > 0 for s in first.stats), "stage2_rounds": sum(s["round"] > 0 for s in second.stats)})
+        return RunResult(out, stats, {"stage1_rounds": first.rounds, "stage2_rounds": second.rounds})
 
     return _ordered(g, order, seed, run)
 

@@ -82,6 +82,10 @@ class Loop:
         self._print: tuple = ()
         self._round = 0
 
+    @property
+    def rounds(self) -> int:
+        return sum(s["round"] > 0 for s in self.stats)
+
     def materialise(self, state: DataFrame, messages: Observation | None, phase: str, compare: bool = True, judged: str = "key, member") -> bool:
         """Cut ``state``; True if it differs from the last state compared."""
         began = time.perf_counter()

@@ -128,7 +128,9 @@ METHODS: dict[str, Callable[[Graph], RunResult]] = {
     "all_members": lambda g: components.all_members(g, member_cap=20_000_000),
     "min_owner": lambda g: components.min_owner(g),
     "min_owner_sorted": lambda g: secondary_sort.min_owner_sorted(g),
-    "min_owner_balanced": lambda g: components.min_owner_balanced(g),
+    # like the baseline, which shrinks edge blocks to forests
+    "min_owner_balanced": lambda g: components.min_owner_balanced(g, precontract=True),
+    "min_owner_random": lambda g: components.min_owner(g, order="random"),
     "upper_core": lambda g: components.upper_core(g),
     "label_prop": lambda g: baselines.label_prop_baseline(g),
     "superstep": lambda g: baselines.superstep_min(g),
