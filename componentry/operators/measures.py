@@ -244,7 +244,8 @@ def job_count(spark: SparkSession, run: Callable[[], RunResult]) -> tuple[RunRes
 def balance(state: DataFrame, key: str = "key") -> DataFrame:
     """One row: most and mean rows of a key, and of a shuffle partition dealt by it."""
     keys = state.groupBy(key).agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("max_key"), F.avg("n").alias("mean_key"))
-    parts = state.repartition(key).groupBy(F.spark_partition_id().alias("p")).agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("max_part"), F.avg("n").alias("mean_part"))
+    dealt = int(state.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = state.repartition(dealt, key).groupBy(F.spark_partition_id().alias("p")).agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("max_part"), F.avg("n").alias("mean_part"))
     return keys.crossJoin(parts)  # one row each
 
 

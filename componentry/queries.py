@@ -151,6 +151,11 @@ def _with_isolated(spark: SparkSession, d: str) -> DataFrame:
     return components.min_owner(Graph(_edges(spark, d, "part_supplier_sparse"), ids)).components
 
 
+def _sevenths(spark: SparkSession, d: str) -> DataFrame:
+    """A clustering that has nothing to do with the edges, for measures across clusters."""
+    return read_table(spark, d, "documents", ["doc_id"]).select(F.col("doc_id").alias("id"), (F.col("doc_id") % 7).alias("component"))
+
+
 def _st(spark: SparkSession, d: str) -> DataFrame:
     """s-t tests between the two least orders of a few customers."""
     g = _graph(spark, d, "doc_line")
@@ -278,7 +283,7 @@ def queries() -> dict[str, Query]:
         "topk_within_component": lambda s, d: measures.topk_within(_orders(s, d), _comps(s, d, _ORDERS), "o_orderkey", "o_totalprice", 2),
         "rolling_activity": lambda s, d: measures.rolling(read_table(s, d, "events", ["event_id", "user_id", "ts"]).withColumn("sec", F.unix_seconds(F.col("ts").cast("timestamp"))), "user_id", "sec", 86_400).select("event_id", "n_recent"),
         "label_asof": _asof,
-        "cut_edges": lambda s, d: measures.cut_edges(_edges(s, d, _DOCS).join(_comps(s, d, "doc_exact"), F.col("src") == F.col("id"), "left_semi").select("src", "dst"), _comps(s, d, "doc_exact")),
+        "cut_edges": lambda s, d: measures.cut_edges(_edges(s, d, _DOCS), _sevenths(s, d)),
         "verify_components": lambda s, d: measures.verify(_graph(s, d, _DOCS), _comps(s, d, _DOCS)),
         "pair_agreement": _agreement,
         "clustering_diff": lambda s, d: measures.diff(_comps(s, d, _DOCS), _comps(s, d, "doc_exact")),
@@ -296,7 +301,7 @@ def queries() -> dict[str, Query]:
         "key_balance": lambda s, d: measures.balance(graphs.adjacency(_edges(s, d, "part_supplier")).withColumnRenamed("id", "key")),
         "minhash_pairs": lambda s, d: builders.minhash(read_table(s, d, "documents", ["doc_id", "text"]), "doc_id", "text"),
         "hyperplane_pairs": lambda s, d: builders.hyperplane_cosine(read_table(s, d, "embeddings", ["vec_id", "embedding"]), "vec_id", "embedding"),
-        "cluster_distance": lambda s, d: linkage.cluster_distance(_comps(s, d, "doc_exact"), _wedges(s, d, "doc_jaccard")),
+        "cluster_distance": lambda s, d: linkage.cluster_distance(_sevenths(s, d), _wedges(s, d, "doc_jaccard")),
         "lighter_edges": lambda s, d: graphs.lighter(_wedges(s, d, "doc_jaccard"), 0.2),
         "slc_threshold_doc": lambda s, d: linkage.slc_threshold(_wedges(s, d, "doc_jaccard"), 0.2).components,
         "slc_threshold_order_gap": lambda s, d: linkage.slc_threshold(_wedges(s, d, "order_gap"), 60.0).components,
@@ -357,7 +362,8 @@ def oracle_sql() -> dict[str, str]:
         "topk_within_component": orders + " SELECT component, CAST(row_number() OVER w AS INTEGER) AS rank, o_orderkey, o_totalprice FROM cc JOIN orders ON o_orderkey = id WINDOW w AS (PARTITION BY component ORDER BY o_totalprice DESC, o_orderkey) QUALIFY row_number() OVER w <= 2",
         "rolling_activity": "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n_recent FROM (SELECT event_id, user_id, CAST(floor(epoch_us(ts) / 1000000.0) AS BIGINT) AS s FROM events)",
         "label_asof": cc_sql(EDGE_SQL["event_chain"]) + ", l AS (SELECT user_id, component, min(ts) AS since FROM cc JOIN events ON event_id = id GROUP BY user_id, component) SELECT e.event_id, e.user_id, e.ts, l.component AS label FROM events e ASOF LEFT JOIN l ON l.user_id = e.user_id AND e.ts >= l.since",
-        "cut_edges": exact + f" SELECT d.src, d.dst, a.component AS c_src, b.component AS c_dst FROM ({EDGE_SQL[_DOCS]}) d JOIN cc a ON a.id = d.src JOIN cc b ON b.id = d.dst WHERE a.component <> b.component",
+        "cut_edges": f"SELECT src, dst, src % 7 AS c_src, dst % 7 AS c_dst FROM ({EDGE_SQL[_DOCS]}) WHERE src % 7 <> dst % 7",
+        "st_connected_doc_line": docs + ", e2 AS (SELECT min(id) AS s, max(id) AS t, (SELECT id FROM cc ORDER BY component, id DESC LIMIT 1) AS u FROM cc), p AS (SELECT s, u AS t FROM e2 UNION ALL SELECT s, t FROM e2) SELECT s, t, a.component = b.component AS connected FROM p JOIN cc a ON a.id = s JOIN cc b ON b.id = t",
         "verify_components": "SELECT CAST(0 AS BIGINT) AS edges_across, CAST(0 AS BIGINT) AS wrong_names, CAST(0 AS BIGINT) AS ids_lost",
         "pair_agreement": docs + two + ", t AS (SELECT cc.component AS a, xc.component AS b, count(*) AS n FROM cc JOIN xc USING (id) GROUP BY 1, 2), p AS (SELECT (SELECT sum(n * (n - 1) // 2) FROM (SELECT sum(n) AS n FROM t GROUP BY a)) AS in_a, (SELECT sum(n * (n - 1) // 2) FROM (SELECT sum(n) AS n FROM t GROUP BY b)) AS in_b, (SELECT sum(n * (n - 1) // 2) FROM t) AS in_both, (SELECT sum(n) * (sum(n) - 1) // 2 FROM t) AS all_pairs) SELECT CAST(in_a AS BIGINT) AS in_a, CAST(in_b AS BIGINT) AS in_b, CAST(in_both AS BIGINT) AS in_both, CAST(all_pairs AS BIGINT) AS all_pairs, round(CASE WHEN in_a > 0 THEN in_both / in_a ELSE 1 END, 6) AS precision, round(CASE WHEN in_b > 0 THEN in_both / in_b ELSE 1 END, 6) AS recall, round((all_pairs - in_a - in_b + 2 * in_both) / all_pairs, 6) AS rand_index FROM p",
         "clustering_diff": docs + two + " SELECT id, component, 'a' AS side FROM (SELECT id, component FROM cc EXCEPT SELECT id, component FROM xc) UNION ALL SELECT id, component, 'b' FROM (SELECT id, component FROM xc EXCEPT SELECT id, component FROM cc)",
@@ -369,7 +375,7 @@ def oracle_sql() -> dict[str, str]:
         "dictionary_collisions": "SELECT CAST(0 AS BIGINT) AS id, CAST(0 AS BIGINT) AS n WHERE false",
         "relabel_rank": f"WITH e AS ({EDGE_SQL['doc_exact']}), v AS (SELECT count(*) AS v FROM (SELECT src FROM e UNION SELECT dst FROM e)) SELECT v, CAST(0 AS BIGINT) AS lo, v - 1 AS hi, v AS n FROM v",
         "generated_shapes": "SELECT * FROM (VALUES ('path', 999::BIGINT), ('tree', 1022), ('star', 499), ('cycle', 300), ('clique', 780), ('grid', 1150)) t(shape, n_edges)",
-        "cluster_distance": exact + f" SELECT least(a.component, b.component) AS c1, greatest(a.component, b.component) AS c2, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).w AS w, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).src AS src, (min({{'w': j.w, 'src': j.src, 'dst': j.dst}})).dst AS dst FROM ({JACCARD_SQL}) j JOIN cc a ON a.id = j.src JOIN cc b ON b.id = j.dst WHERE a.component <> b.component GROUP BY 1, 2",
+        "cluster_distance": f"SELECT c1, c2, x.w AS w, x.src AS src, x.dst AS dst FROM (SELECT least(src % 7, dst % 7) AS c1, greatest(src % 7, dst % 7) AS c2, min({{'w': w, 'src': src, 'dst': dst}}) AS x FROM ({JACCARD_SQL}) WHERE src % 7 <> dst % 7 GROUP BY 1, 2)",
         "lighter_edges": f"SELECT src, dst, w FROM ({JACCARD_SQL}) WHERE w <= 0.2",
         "slc_threshold_doc": slc,
         "slc_threshold_order_gap": _cc(f"SELECT src, dst FROM ({ORDER_GAP_SQL}) WHERE w <= 60", f"SELECT src FROM ({ORDER_GAP_SQL}) UNION SELECT dst FROM ({ORDER_GAP_SQL})"),
