@@ -98,6 +98,17 @@ def _contracted(g: Graph, precontract: bool) -> Graph:
     return Graph(forest_edges(g.edges), g.vertices) if precontract else g
 
 
+def finished_components(state: DataFrame) -> DataFrame:
+    """(id, component) of the components that are whole stars in a min_owner state: nothing outside touches them."""
+    sizes = state.groupBy("key", "owner").agg(F.count(F.lit(1)).alias("n")).where("key <> owner")
+    owners = state.where("key = owner").select(F.col("key").alias("component"), "member")
+    answers = sizes.where("n = 1").select(F.col("key").alias("member"), F.col("owner").alias("to"))
+    open_members = owners.where("member <> component").join(answers, "member", "left").where("to is null or to <> component").select("component")
+    loose = state.join(sizes.where("n > 1").select("key"), "key", "left_semi").select("member").distinct()
+    unsettled = open_members.unionByName(owners.join(loose, "member", "left_semi").select("component")).distinct()
+    return owners.join(unsettled, "component", "left_anti").select(F.col("member").alias("id"), "component")
+
+
 def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract: bool = False, retire: bool = False, **opts) -> RunResult:
     """A cluster goes whole to its least member, the others hear only of that member. One exchange a round.
 
@@ -117,18 +128,11 @@ def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract:
         def settle(loop: Loop) -> bool:
             """Move components out whose owner's members all hold the owner and themselves at most."""
             state = loop.state
-            sizes = state.groupBy("key", "owner").agg(F.count(F.lit(1)).alias("n")).where("key <> owner")
-            owners = state.where("key = owner").select(F.col("key").alias("component"), "member")
-            answers = sizes.where("n = 1").select(F.col("key").alias("member"), F.col("owner").alias("to"))
-            open_members = owners.where("member <> component").join(answers, "member", "left").where("to is null or to <> component").select("component")
-            loose = state.join(sizes.where("n > 1").select("key"), "key", "left_semi").select("member").distinct()
-            unsettled = cut(open_members.unionByName(owners.join(loose, "member", "left_semi").select("component")).distinct(), "unsettled")
-            finished = cut(owners.join(unsettled, "component", "left_anti").select(F.col("member").alias("id"), "component"), "retired")
+            finished = cut(finished_components(state), "retired")
             if not finished.isEmpty():
                 done.append(finished)
                 loop.state = cut(state.join(finished.select(F.col("id").alias("key")), "key", "left_anti"), "min_owner")
                 release(state)
-            release(unsettled)
             return loop.state.isEmpty()
 
         loop.until_stable(emit.min_owner, emit.merge_union, after=settle)

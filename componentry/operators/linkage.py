@@ -19,6 +19,7 @@ from pyspark.sql import types as T
 
 from componentry.functions.graphs import Graph, lighter, normalize_wedges
 from componentry.operators import emit
+from componentry.operators.components import finished_components, min_owner_balanced
 from componentry.operators.contract import DisjointSets, forest_edges
 from componentry.operators.stops import Stop
 from componentry.plans.rounds import Loop, NotConverged, RunResult, init_closed
@@ -253,9 +254,11 @@ def split_wrong_merges(attached: DataFrame, stop: Stop) -> DataFrame:
     return attached.groupBy("key").applyInPandas(run, _PARTS)
 
 
-def slc_rounds(wedges: DataFrame, stop: Stop, *, hashing: str = "min_owner", vertices: DataFrame | None = None, max_rounds: int = 64, member_cap: int | None = None) -> RunResult:
+def slc_rounds(wedges: DataFrame, stop: Stop, *, hashing: str = "min_owner", vertices: DataFrame | None = None, max_rounds: int = 64, member_cap: int | None = None, retire: bool = False) -> RunResult:
     """Component rounds, a stop test after each, and a last split of merges that went too far.
 
+    ``retire`` (min_owner hashing): components found whole leave the later rounds and the later tests.
+
     Clusters are handled whole by one worker each in the test and the split; use slc_dendrogram_cut where they do not fit.
     """
     wedges = cut(normalize_wedges(wedges), "wedges")
@@ -271,16 +274,31 @@ def slc_rounds(wedges: DataFrame, stop: Stop, *, hashing: str = "min_owner", ver
         loop.start(init_closed(g).distinct())
     else:
         raise ValueError(hashing)
+    done: list[DataFrame] = []
     while True:
         changed = loop.step(send, merge)
         if member_cap is not None and loop.stats[-1]["state_rows"] > member_cap:
             raise NotConverged(f"slc: over {member_cap} rows", loop.stats)
-        if not changed or stop_reached(minimal_cores(attach_edges(_covering(loop.state, held), wedges), stop)):
+        if not changed or loop.state.isEmpty():
+            break
+        attached = attach_edges(_covering(loop.state, held), wedges)
+        cores = cut(minimal_cores(attached, stop), "cores")
+        if stop_reached(cores):
             break
-    parts = split_wrong_merges(attach_edges(_covering(loop.state, held), wedges), stop)
+        if retire and hashing == "min_owner":
+            before, whole = loop.state, cut(finished_components(loop.state), "retired")
+            if not whole.isEmpty():
+                done.append(whole)
+                loop.state = cut(before.join(whole.select(F.col("id").alias("key")), "key", "left_anti"), "slc")
+                release(before)
+        release(cores)
+    clusters = _covering(loop.state, held)
+    for whole in done:
+        clusters = clusters.unionByName(whole.select(F.col("component").alias("key"), F.col("id").alias("member")))
+    parts = split_wrong_merges(attach_edges(clusters, wedges), stop)
     best = parts.groupBy("member").agg(F.max(F.struct("size", -F.col("cluster"))).alias("x"))
     out = cut(best.select(F.col("member").alias("id"), (-F.col("x.col2")).alias("component")), "slc")
-    return RunResult(out, loop.stats, {"stop": repr(stop), "hashing": hashing})
+    return RunResult(out, loop.stats, {"stop": repr(stop), "hashing": hashing, "retired": len(done)})
 
 
 def _covering(state: DataFrame, held) -> DataFrame:
@@ -342,8 +360,6 @@ def slc_dendrogram_cut(wedges: DataFrame, stop: Stop, *, vertices: DataFrame | N
 
 def slc_threshold(wedges: DataFrame, theta: float, vertices: DataFrame | None = None, **opts) -> RunResult:
     """The cut at a distance: components over the edges of weight at most ``theta``."""
-    from componentry.operators.components import min_owner_balanced
-
     wedges = normalize_wedges(wedges)
     ids = Graph(wedges.select("src", "dst"), vertices).ids
     return min_owner_balanced(Graph(lighter(wedges, theta).select("src", "dst"), ids), **opts)

@@ -53,6 +53,24 @@ def attach(df: DataFrame, components: DataFrame, id_col: str, how: str = "left")
     return df.join(components.withColumnRenamed("id", id_col), id_col, how)
 
 
+def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 16, how: str = "inner") -> DataFrame:
+    """Equi-join with ``left`` rows of a hot key spread over ``salts`` tasks; ``right``, the side with few rows a key, is repeated for each."""
+    spread = left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))
+    copies = right.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
+    return spread.join(copies, [key, "_salt"], how).drop("_salt")
+
+
+def percentiles(df: DataFrame, components: DataFrame, id_col: str, value: str, at: tuple = (0.25, 0.5, 0.75)) -> DataFrame:
+    """Exact percentiles of ``value`` in each component."""
+    return attach(df, components, id_col, "inner").groupBy("component").agg(*(F.percentile(value, p).alias(f"p{round(100 * p)}") for p in at))
+
+
+def density(profile_row: DataFrame) -> DataFrame:
+    """``profile`` with the share of all vertex pairs that are edges, and the mean degree."""
+    v, e = F.col("v"), F.col("e")
+    return profile_row.withColumn("density", F.when(v > 1, 2 * e / (v * (v - 1)))).withColumn("mean_degree", 2 * e / v)
+
+
 def summarise(df: DataFrame, components: DataFrame, id_col: str, value: str) -> DataFrame:
     """Per component: rows, sum, extremes, median, and the row of the greatest value."""
     return attach(df, components, id_col, "inner").groupBy("component").agg(

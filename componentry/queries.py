@@ -317,6 +317,15 @@ def queries() -> dict[str, Query]:
         "windowed_components": _windowed,
         "udtf_components": _udtf,
         "udaf_components": _udaf,
+        "salted_attach": lambda s, d: measures.salted_join(read_table(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_suppkey"]), read_table(s, d, "supplier", ["s_suppkey", "s_nationkey"]).withColumnRenamed("s_suppkey", "l_suppkey"), "l_suppkey"),
+        "component_percentiles": lambda s, d: measures.percentiles(_orders(s, d), _comps(s, d, _ORDERS), "o_orderkey", "o_totalprice"),
+        "graph_density": lambda s, d: measures.density(measures.profile(_edges(s, d, _ORDERS), _comps(s, d, _ORDERS))).select("v", "e", F.round("density", 9).alias("density"), F.round("mean_degree", 6).alias("mean_degree")),
+        "slc_rounds_retire_doc": lambda s, d: linkage.slc_rounds(_wedges(s, d, "doc_jaccard"), DistanceStop(0.2), retire=True).components,
+        "workload_group1": lambda s, d: workloads.compare(s, d, (("doc_exact", "doc_line"), workloads.GROUP_1[1])).drop("seconds"),
+        "workload_group2": lambda s, d: workloads.compare(s, d, workloads.GROUP_2).drop("seconds"),
+        "workload_sparsify": lambda s, d: workloads.sparsify(s, d, percents=(10, 2)),
+        "workload_clustering": lambda s, d: workloads.clustering(s, d, names=("embedding_cos",)).drop("seconds"),
+        "workload_contention": lambda s, d: workloads.contention(s, d, (1, 3)).select("method", "k"),
         "sweep_path": lambda s, d: workloads.sweep(s, "path", range(5, 7), range(1, 2)),
         "sweep_tree": lambda s, d: workloads.sweep(s, "tree", range(5, 7), range(1, 2)),
     }
@@ -381,6 +390,10 @@ def oracle_sql() -> dict[str, str]:
         "slc_threshold_order_gap": _cc(f"SELECT src, dst FROM ({ORDER_GAP_SQL}) WHERE w <= 60", f"SELECT src FROM ({ORDER_GAP_SQL}) UNION SELECT dst FROM ({ORDER_GAP_SQL})"),
         "slc_rounds_min_owner_doc": slc,
         "slc_rounds_all_members_doc": slc,
+        "slc_rounds_retire_doc": slc,
+        "salted_attach": "SELECT l_suppkey, l_orderkey, l_linenumber, s_nationkey FROM lineitem JOIN supplier ON s_suppkey = l_suppkey",
+        "component_percentiles": orders + " SELECT component, quantile_cont(o_totalprice, 0.25) AS p25, quantile_cont(o_totalprice, 0.5) AS p50, quantile_cont(o_totalprice, 0.75) AS p75 FROM cc JOIN orders ON o_orderkey = id GROUP BY component",
+        "graph_density": orders + ", c AS (SELECT (SELECT count(*) FROM cc) AS v, (SELECT count(*) FROM e) AS e) SELECT v, e, round(2 * e / (v * (v - 1)), 9) AS density, round(2 * e / v, 6) AS mean_degree FROM c",
         "slc_dendrogram_cut_doc": slc,
         "slc_rounds_embedding": _cc(f"SELECT src, dst FROM ({cos}) WHERE w <= 0.5", f"SELECT src FROM ({cos}) UNION SELECT dst FROM ({cos})"),
         "streaming_components": _cc(EDGE_SQL["event_chain"]),

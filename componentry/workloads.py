@@ -178,11 +178,11 @@ def sparsify(spark: SparkSession, d: str, name: str = "part_supplier", percents:
     return spark.createDataFrame(rows, "percent int, diameter int, largest long, n_components long, rounds_run int")
 
 
-def clustering(spark: SparkSession, d: str, hashings: tuple = ("min_owner", "all_members")) -> DataFrame:
+def clustering(spark: SparkSession, d: str, hashings: tuple = ("min_owner", "all_members"), names: tuple = ("doc_jaccard", "embedding_cos")) -> DataFrame:
     """Rounds, seconds and clusters of single linkage by workload, stop test and hashing."""
     rows = []
     stops = [*(DistanceStop(t) for t in (0.2, 0.5)), *(SizeStop(k) for k in (2, 5))]
-    for name in ("doc_jaccard", "embedding_cos"):
+    for name in names:
         wedges = GRAPHS[name](spark, d).select("src", "dst", "w")
         for stop in stops:
             for h in hashings:

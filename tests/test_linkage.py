@@ -68,6 +68,7 @@ def test_distributed_equals_the_tree_cut(spark):
         for run in (
             lambda df, s: linkage.slc_rounds(df, s),
             lambda df, s: linkage.slc_rounds(df, s, hashing="all_members"),
+            lambda df, s: linkage.slc_rounds(df, s, retire=True),
             lambda df, s: linkage.slc_dendrogram_cut(df, s),
         ):
             assert dict(map(tuple, run(df, stop).components.select("id", "component").collect())) == want
