@@ -61,8 +61,8 @@ def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 16, ho
 
 
 def percentiles(df: DataFrame, components: DataFrame, id_col: str, value: str, at: tuple = (0.25, 0.5, 0.75)) -> DataFrame:
-    """Exact percentiles of ``value`` in each component."""
-    return attach(df, components, id_col, "inner").groupBy("component").agg(*(F.percentile(value, p).alias(f"p{round(100 * p)}") for p in at))
+    """Exact percentiles of ``value`` in each component, each a value that occurs."""
+    return attach(df, components, id_col, "inner").groupBy("component").agg(*(F.expr(f"percentile_disc({p}) WITHIN GROUP (ORDER BY `{value}`)").alias(f"p{round(100 * p)}") for p in at))
 
 
 def density(profile_row: DataFrame) -> DataFrame:

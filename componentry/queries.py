@@ -392,7 +392,7 @@ def oracle_sql() -> dict[str, str]:
         "slc_rounds_all_members_doc": slc,
         "slc_rounds_retire_doc": slc,
         "salted_attach": "SELECT l_suppkey, l_orderkey, l_linenumber, s_nationkey FROM lineitem JOIN supplier ON s_suppkey = l_suppkey",
-        "component_percentiles": orders + " SELECT component, quantile_cont(o_totalprice, 0.25) AS p25, quantile_cont(o_totalprice, 0.5) AS p50, quantile_cont(o_totalprice, 0.75) AS p75 FROM cc JOIN orders ON o_orderkey = id GROUP BY component",
+        "component_percentiles": orders + " SELECT component, quantile_disc(o_totalprice, 0.25) AS p25, quantile_disc(o_totalprice, 0.5) AS p50, quantile_disc(o_totalprice, 0.75) AS p75 FROM cc JOIN orders ON o_orderkey = id GROUP BY component",
         "graph_density": orders + ", c AS (SELECT (SELECT count(*) FROM cc) AS v, (SELECT count(*) FROM e) AS e) SELECT v, e, round(2 * e / (v * (v - 1)), 9) AS density, round(2 * e / v, 6) AS mean_degree FROM c",
         "slc_dendrogram_cut_doc": slc,
         "slc_rounds_embedding": _cc(f"SELECT src, dst FROM ({cos}) WHERE w <= 0.5", f"SELECT src FROM ({cos}) UNION SELECT dst FROM ({cos})"),
