@@ -96,7 +96,8 @@ def test_stream_in_any_batches(spark):
 
 
 def test_late_edges_are_dropped_beyond_the_watermark(spark, tmp_path):
-    rows = [[("2024-01-01 00:10:00", 1, 2)], [("2024-01-01 09:00:00", 3, 4)], [("2024-01-01 00:20:00", 5, 6), ("2024-01-01 08:30:00", 7, 8)], [("2024-01-02 09:00:00", 9, 9)]]
+    # a watermark takes effect on late rows one batch after the batch that moved it
+    rows = [[("2024-01-01 00:10:00", 1, 2)], [("2024-01-01 09:00:00", 3, 4)], [("2024-01-01 09:10:00", 3, 4)], [("2024-01-01 00:20:00", 5, 6), ("2024-01-01 08:30:00", 7, 8)], [("2024-01-02 09:00:00", 9, 9)]]
     schema = "ts timestamp, src long, dst long"
     for i, part in enumerate(rows):
         spark.createDataFrame(part, "ts string, src long, dst long").selectExpr("cast(ts as timestamp) ts", "src", "dst").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in/{i}")
