@@ -2,9 +2,9 @@
 
 In the vocabulary used no piece has the space mark after another character, and none has a line feed.
 So no token crosses the start of a run of spaces or a line feed, and a text is a sequence of segments
-that are encoded alone: count(prefix) = count(segments before) + count(part of the segment). Both terms come
-from tables: a running sum over the segments (stored with the text), and within a segment a table over its
-prefixes that is filled by extending shorter prefixes by one last token.
+that are encoded alone: count(prefix) = count(segments before) + count(part of the segment). A segment has a
+table over its prefixes, filled by extending shorter prefixes by one last token; the tables of a text's segments
+are stored in a row, as steps from one prefix to the next, and every count is a running sum of them.
 
 Null text counts as empty; an empty text has no tokens. Control strings such as ``<s>`` in a text are
 ordinary characters, as in the library's default.
@@ -13,8 +13,10 @@ ordinary characters, as in the library's default.
 from __future__ import annotations
 
 import re
-from bisect import bisect_right
+from array import array
+from operator import sub
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
@@ -22,12 +24,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from componentry.llm.words import text_map
+from componentry.plans.storage import cut
 
 MARK = "▁"
 #: a run of spaces (or marks) belongs to the word behind it
 SEGMENT = re.compile(r"\n|[ ▁]+[^ ▁\n]*|[^ ▁\n]+")
 LIMIT = 4096
 CACHE = 400_000
+#: prefixes of up to so many characters keep their last token for the segments that share them
+SHARED = 16
 
 
 def vocabulary_path(name: str = "piece_bpe_32k.model") -> str:
@@ -50,7 +55,11 @@ class PrefixCounter:
         if any(MARK in p.lstrip(MARK) or "\n" in p for p in self.score):
             raise ValueError("pieces of this vocabulary cross segment starts")
         self.limit, self.counts, self.older = cache, {}, {}
+        self.steps, self.older_steps = {}, {}
+        self._splits: dict[str, tuple[int, bool] | None] = {}
         self._joins: dict[tuple[str, str], bool] = {}
+        self._tails: dict[str, str] = {}
+        self.whole = frozenset(p for p in self.score if self._split(p) is not None)
 
     def segments(self, text: str) -> list[str]:
         """Segments in order; the library puts one space before a text."""
@@ -75,22 +84,29 @@ class PrefixCounter:
             known.update(zip(rest, (len(x) - 2 for x in self.sp.encode(["\n" + s for s in rest], num_threads=1)), strict=True))
         return [known[s] for s in segs]
 
-    def prefix_sums(self, text: str) -> tuple[list[int], list[int]]:
-        """(end of each segment in the text, tokens up to there); the last entry is the whole text's count."""
+    def prefix_steps(self, text: str) -> bytes:
+        """The stored table of a text: by how much each character of it, and of the space put before it, changes the count."""
+        if len(self.steps) > self.limit:  # as in count_all
+            self.steps, self.older_steps = {}, self.steps
+        known, older = self.steps, self.older_steps
         segs = self.segments(text)
-        ends, sums, at, total = [], [], -1, 0
-        for s, n in zip(segs, self.count_all(segs), strict=True):
-            at += len(s)
-            total += n
-            ends.append(at)
-            sums.append(total)
-        return ends, sums
+        for s in set(segs).difference(known):
+            known[s] = older.get(s) or self._steps(s)
+        return b"".join([known[s] for s in segs])
+
+    def _steps(self, segment: str) -> bytes:
+        n = self.table(segment)
+        return array("h", map(sub, n[1:], n)).tobytes()
 
     # -- within a segment
 
     def _merge(self, parts: list[str]) -> list[str]:
         """Pair merging: the best scored neighbour pair first, the leftmost of equals."""
-        parts = list(parts)
+        return self._merged(parts)[0]
+
+    def _merged(self, parts: list[str]) -> tuple[list[str], int, bool]:
+        """The merged parts, the length of the left side of the last merge, and whether scores only fell on the way."""
+        parts, left, falling, before = list(parts), 0, True, None
         while len(parts) > 1:
             best, at = None, -1
             for i in range(len(parts) - 1):
@@ -99,8 +115,17 @@ class PrefixCounter:
                     best, at = s, i
             if best is None:
                 break
+            falling &= before is None or best <= before
+            before, left = best, len(parts[at])
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
-        return parts
+        return parts, left, falling
+
+    def _split(self, piece: str) -> tuple[int, bool] | None:
+        """Where the last merge of a piece joined it and whether scores only fell; None if its characters merge to something else."""
+        if piece not in self._splits:
+            parts, left, falling = self._merged(list(piece))
+            self._splits[piece] = (left, falling) if len(parts) == 1 else None
+        return self._splits[piece]
 
     def _joined(self, a: str, b: str) -> bool:
         """Whether the tokens a, b stay as they are side by side."""
@@ -108,9 +133,29 @@ class PrefixCounter:
         if hit is None:
             if len(self._joins) > self.limit:
                 self._joins.clear()
-            hit = self._joins[a, b] = self._merge([*a, *b]) == [a, b]
+            falling = all(len(x) == 1 or self._split(x)[1] for x in (a, b))
+            hit = self._joins[a, b] = self._stay(a, b) if falling else self._merge([*a, *b]) == [a, b]
         return hit
 
+    def _stay(self, a: str, b: str) -> bool:
+        """The same for tokens made by merges of falling score: the merges next to the border are taken back, latest first,
+        and at no time may a merge across the border have been due before the one taken back."""
+        score = self.score
+        if a + b in score:
+            return False
+        while len(a) > 1 or len(b) > 1:
+            if len(b) == 1 or (len(a) > 1 and score[a] < score[b]):
+                due, a = score[a], a[self._split(a)[0] :]
+                across = score.get(a + b)
+                if across is not None and across > due:
+                    return False
+            else:
+                due, b = score[b], b[: self._split(b)[0]]
+                across = score.get(a + b)
+                if across is not None and across >= due:
+                    return False
+        return True
+
     def _width(self, piece: str) -> int:
         """Tokens of a piece: unknown characters fall back to bytes."""
         return 1 if piece in self.score else len(piece.encode("utf-8", "surrogatepass"))
@@ -118,41 +163,58 @@ class PrefixCounter:
     def table(self, segment: str) -> list[int]:
         """Tokens of every prefix of ``segment`` (0 to its length): each prefix is a shorter one and one last token."""
         s = segment.replace(" ", MARK)
+        score, whole, longest, joins, tails = self.score, self.whole, self.longest, self._joins, self._tails
         last: list[str | None] = [None]
         counts = [0]
         for i in range(1, len(s) + 1):
-            for j in range(max(0, i - self.longest), i):
-                piece = s[j:i]
-                if i - j > 1 and (piece not in self.score or self._merge(list(piece)) != [piece]):
-                    continue
-                if j == 0 or self._joined(last[j], piece):
-                    last.append(piece)
-                    counts.append(counts[j] + self._width(piece))
-                    break
+            head = s[:i] if i <= SHARED else None
+            piece = tails.get(head)
+            if piece is None:
+                for j in range(max(0, i - longest), i):
+                    piece = s[j:i]
+                    if piece not in whole and j < i - 1:
+                        continue
+                    if j == 0:
+                        break
+                    hit = joins.get((last[j], piece))
+                    if self._joined(last[j], piece) if hit is None else hit:
+                        break
+                if head is not None:
+                    if len(tails) > self.limit:
+                        tails.clear()
+                    tails[head] = piece
+            last.append(piece)
+            counts.append(counts[i - len(piece)] + (1 if piece in score else self._width(piece)))
         return counts
 
     def count_at(self, text: str, chars: int) -> int:
-        """Tokens of the first ``chars`` characters of ``text``, from the stored sums and one segment's table."""
-        if chars <= 0 or not text:
-            return 0
-        ends, sums = self.prefix_sums(text)
-        k = bisect_right(ends, chars)
-        before = sums[k - 1] if k else 0
-        start = ends[k - 1] if k else -1
-        if start >= chars:
-            return before
-        return before + self.table(self.segments(text)[k])[chars - start]
+        """Tokens of the first ``chars`` characters of ``text``."""
+        return count_at(self.prefix_steps(text), chars)
 
     def cut_at(self, text: str, budget: int) -> int:
-        """The most leading characters of ``text`` whose count is within ``budget`` tokens, up to the first prefix beyond it by whole segments."""
-        ends, sums = self.prefix_sums(text)
-        k = bisect_right(sums, budget)
-        if k == len(ends):
-            return len(text)
-        before, start = (sums[k - 1], ends[k - 1]) if k else (0, -1)
-        inner = self.table(self.segments(text)[k])
-        fit = max((i for i, n in enumerate(inner) if before + n <= budget), default=0)
-        return max(0, start + fit)
+        """The most leading characters of ``text`` whose count is within ``budget`` tokens."""
+        return cut_at(self.prefix_steps(text), budget)
+
+
+def prefix_counts(stored: bytes) -> np.ndarray:
+    """Tokens of every prefix (0 characters to all) from the stored table of a text."""
+    out = np.cumsum(np.frombuffer(stored, np.int16), dtype=np.int64)
+    if not len(out):
+        return np.zeros(1, np.int64)
+    out[0] = 0  # the space put before a text counts only with what follows
+    return out
+
+
+def count_at(stored: bytes, chars: int) -> int:
+    """Tokens of the first ``chars`` characters, read from the stored table."""
+    n = prefix_counts(stored)
+    return int(n[min(max(chars, 0), len(n) - 1)])
+
+
+def cut_at(stored: bytes, budget: int) -> int:
+    """The most leading characters whose count is within ``budget`` tokens, read from the stored table."""
+    fit = np.flatnonzero(prefix_counts(stored) <= budget)
+    return int(fit[-1]) if len(fit) else 0
 
 
 _counters: dict[str, PrefixCounter] = {}
@@ -165,33 +227,36 @@ def counter(path: str) -> PrefixCounter:
     return _counters[path]
 
 
-def token_counts(docs: DataFrame, path: str | None = None, *, keep: list[str] | None = None, limit: int = LIMIT, text: str = "text", prefixes: bool = False) -> DataFrame:
-    """``keep`` columns with n_bytes, n_tokens and over_limit; with ``prefixes`` also the arrays prefix_ends and prefix_tokens."""
+def prefix_tables(docs: DataFrame, path: str | None = None, *, keep: list[str] | None = None, text: str = "text") -> DataFrame:
+    """``keep`` columns with n_bytes and prefix_steps, the table that ``count_at`` and ``cut_at`` read: two bytes a character, few distinct ones."""
     path = path or vocabulary_path()
-    fields = [T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType())]
-    if prefixes:
-        fields += [T.StructField(n, T.ArrayType(T.LongType())) for n in ("prefix_ends", "prefix_tokens")]
+    fields = [T.StructField("n_bytes", T.LongType()), T.StructField("prefix_steps", T.BinaryType())]
 
     def run(texts: pa.Array) -> list[pa.Array]:
         c = counter(path)
-        raw = [t or "" for t in texts.to_pylist()]
         sizes = pc.fill_null(pc.binary_length(texts.cast(pa.binary())), 0).cast(pa.int64())
-        if prefixes:
-            sums = [c.prefix_sums(t) for t in raw]
-            n = [s[1][-1] if s[1] else 0 for s in sums]
-        else:
-            segs = [c.segments(t) for t in raw]
-            flat = c.count_all([s for x in segs for s in x])
-            n, at = [], 0
-            for x in segs:
-                n.append(sum(flat[at : at + len(x)]))
-                at += len(x)
-        out = [sizes, pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())]
-        return out + ([pa.array([s[k] for s in sums], pa.list_(pa.int64())) for k in (0, 1)] if prefixes else [])
+        return [sizes, pa.array([c.prefix_steps(t or "") for t in texts.to_pylist()], pa.binary())]
 
     return text_map(docs, text, keep if keep is not None else ["doc_id"], fields, run, most=1 << 20)
 
 
+def token_counts(docs: DataFrame, path: str | None = None, *, keep: list[str] | None = None, limit: int = LIMIT, text: str = "text", prefixes: bool = False) -> DataFrame:
+    """``keep`` columns with n_bytes, n_tokens and over_limit, the last entries of stored tables; with ``prefixes`` also the array prefix_tokens, entry k for the first k characters."""
+    keep = keep if keep is not None else ["doc_id"]
+    stored = cut(prefix_tables(docs, path, keep=keep, text=text), "prefixes")
+    fields = [T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType())]
+    if prefixes:
+        fields.append(T.StructField("prefix_tokens", T.ArrayType(T.LongType())))
+
+    def run(tables: pa.Array) -> list[pa.Array]:
+        every = [prefix_counts(t.as_buffer()) for t in tables]
+        n = [int(x[-1]) for x in every]
+        out = [pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())]
+        return out + ([pa.array(every, pa.list_(pa.int64()))] if prefixes else [])
+
+    return text_map(stored, "prefix_steps", [*keep, "n_bytes"], fields, run, most=2 << 20)
+
+
 def truncate(docs: DataFrame, budget: int, path: str | None = None, text: str = "text") -> DataFrame:
     """doc_id and the text cut to ``budget`` tokens."""
     path = path or vocabulary_path()

@@ -411,6 +411,21 @@ def test_token_counts(docs, none):
     assert all(len(sp.encode(r["text"])) <= 30 for r in tokens.truncate(docs.where("text is not null"), 30).collect())
 
 
+def test_stored_tables_cover_every_prefix(spark, docs, monkeypatch):
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=tokens.vocabulary_path())
+    texts = {r["doc_id"]: r["text"] or "" for r in docs.where("doc_id between 0 and 20").collect()}
+    stored = {r["doc_id"]: r["prefix_steps"] for r in tokens.prefix_tables(docs.where("doc_id between 0 and 20 and doc_id <> 7")).collect()}
+    for d, table in stored.items():
+        assert len(tokens.prefix_counts(table)) == len(texts[d]) + 1
+        for k in range(0, len(texts[d]) + 1, 7):  # inside words too
+            assert tokens.count_at(table, k) == len(sp.encode(texts[d][:k]))
+    # the counts are read from what was stored: no text is encoded again
+    monkeypatch.setattr(tokens, "prefix_tables", lambda *a, **b: spark.createDataFrame([(1, 9, np.array([1, 0, 2], np.int16).tobytes())], "doc_id long, n_bytes long, prefix_steps binary"))
+    assert [tuple(r) for r in tokens.token_counts(docs, limit=2).collect()] == [(1, 9, 3, True)]
+
+
 def test_line_dedup(docs, none):
     pages, held = collections.Counter(), collections.Counter()
     for _, t, _, s, *_ in ROWS:
