@@ -43,9 +43,11 @@ def rank_components(components: DataFrame) -> DataFrame:
 
 
 def members(components: DataFrame, cap: int = 1000) -> DataFrame:
-    """Sorted member lists of the components of at most ``cap`` ids; larger ones keep the long form."""
-    small = component_sizes(components).where(F.col("size") <= cap).select("component")
-    return components.join(small, "component", "left_semi").groupBy("component").agg(F.sort_array(F.collect_set("id")).alias("members"))
+    """(component, part, members): sorted lists of at most ``cap`` ids. A component of up to ``cap`` ids is part 0; a larger one is cut
+    into ranges of ``cap`` id values, one part each, so parts in order are its members in order and no row or task holds it whole."""
+    sized = components.join(component_sizes(components), "component")
+    part = F.when(F.col("size") <= cap, F.lit(0).cast("long")).otherwise(F.expr(f"(id - pmod(id, {cap})) div {cap}"))
+    return sized.groupBy("component", part.alias("part")).agg(F.sort_array(F.collect_set("id")).alias("members"))
 
 
 def attach(df: DataFrame, components: DataFrame, id_col: str, how: str = "left") -> DataFrame:

@@ -9,6 +9,7 @@ from componentry import schemas, sqlapi
 from componentry.functions import graphs
 from componentry.functions.graphs import graph
 from componentry.operators import components, measures
+from componentry.queries import queries
 from componentry.sources import builders, generators, io
 from componentry.streaming import incremental
 
@@ -124,3 +125,16 @@ def test_advisor():
     assert components.choose_method({"n": 5, "v": 100, "e": 100})[0] == "all_members"
     assert components.choose_method({"n": 10**7, "v": 10**8, "e": 10**9})[0] == "min_owner_balanced"
     assert components.choose_method({"n": 5000, "v": 10**5, "e": 10**6})[0] == "min_owner"
+
+
+def test_members_of_components_over_the_cap(spark):
+    comps = spark.range(-1500, 1700).selectExpr("id", "-1500L as component").unionByName(spark.createDataFrame([(5000, 5000), (9000, 5000)], "id long, component long"))
+    rows = measures.members(comps, cap=1000).orderBy("component", "part").collect()
+    assert [i for r in rows if r["component"] == -1500 for i in r["members"]] == list(range(-1500, 1700))
+    assert all(len(r["members"]) <= 1000 for r in rows) and [r["members"] for r in rows if r["component"] == 5000] == [[5000, 9000]]
+
+
+def test_component_members_query_returns_large_groups(spark, tmp_path):
+    spark.range(2500).selectExpr("id as doc_id", "'the same text' as text").write.parquet(f"{tmp_path}/documents.parquet")
+    rows = queries()["component_members"](spark, str(tmp_path)).collect()
+    assert [r["members"] for r in rows] == [",".join(map(str, range(2500)))]
