@@ -34,6 +34,9 @@ EDGE_SQL = {
     "doc_line": _CANON.format(
         "SELECT min(doc_id) OVER (PARTITION BY line) AS a, doc_id AS b, count(*) OVER (PARTITION BY line) AS n FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40) QUALIFY n BETWEEN 2 AND 20"
     ),
+    "doc_line_whole": _CANON.format(
+        "SELECT min(doc_id) OVER (PARTITION BY line) AS a, doc_id AS b FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40)"
+    ),
     "event_chain": _CANON.format(
         "SELECT event_id AS a, CASE WHEN lead(ts) OVER w <= ts + INTERVAL 6 HOUR THEN lead(event_id) OVER w END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"
     ),
@@ -125,9 +128,9 @@ METHODS: dict[str, Callable[[Graph], object]] = {
 }
 #: which graphs each method runs on as queries
 RUNS = {m: ("doc_line",) for m in METHODS} | {
-    "min_owner": ("order_chain_customer", "order_chain_global", "doc_line", "doc_exact", "event_chain", "customer_part_sparse", "embedding_cos", "part_tree", "conversation_chain", "part_supplier_sparse"),
+    "min_owner": ("order_chain_customer", "order_chain_global", "doc_line", "doc_exact", "event_chain", "customer_part_sparse", "embedding_cos", "part_tree", "conversation_chain", "part_supplier_sparse", "doc_line_whole"),
     "all_members": ("doc_exact", "doc_jaccard"),
-    "min_owner_balanced": ("customer_part", "part_supplier", "part_supplier_sparse"),
+    "min_owner_balanced": ("customer_part", "part_supplier", "part_supplier_sparse", "doc_line_whole"),
     "label_prop": ("doc_line", "customer_part"),
     "upper_core": ("doc_line", "customer_part_sparse"),
 }

@@ -52,9 +52,18 @@ def doc_exact(spark: SparkSession, d: str) -> DataFrame:
     return builders.share_key(read_table(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text")
 
 
-def doc_line(spark: SparkSession, d: str) -> DataFrame:
+def _long_lines(spark: SparkSession, d: str) -> DataFrame:
     docs = read_table(spark, d, "documents", ["doc_id", "text"]).select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
-    return builders.share_key(docs.where(F.length("line") >= 40), "doc_id", "line", 2, 20)
+    return docs.where(F.length("line") >= 40)
+
+
+def doc_line(spark: SparkSession, d: str) -> DataFrame:
+    """Documents that share a line held by 2 to 20 of them; ``doc_line_whole`` has all shared lines."""
+    return builders.share_key(_long_lines(spark, d), "doc_id", "line", 2, 20)
+
+
+def doc_line_whole(spark: SparkSession, d: str) -> DataFrame:
+    return builders.share_key(_long_lines(spark, d), "doc_id", "line")
 
 
 def doc_jaccard(spark: SparkSession, d: str) -> DataFrame:
@@ -103,7 +112,7 @@ def part_tree(spark: SparkSession, d: str) -> DataFrame:
 
 GRAPHS: dict[str, Build] = {
     f.__name__: f
-    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_jaccard, page_link, embedding_cos, event_chain, event_json, event_type_pairs, event_within, conversation_chain, passage, part_tree)
+    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_line_whole, doc_jaccard, page_link, embedding_cos, event_chain, event_json, event_type_pairs, event_within, conversation_chain, passage, part_tree)
 }
 
 

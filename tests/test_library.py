@@ -138,3 +138,9 @@ def test_component_members_query_returns_large_groups(spark, tmp_path):
     spark.range(2500).selectExpr("id as doc_id", "'the same text' as text").write.parquet(f"{tmp_path}/documents.parquet")
     rows = queries()["component_members"](spark, str(tmp_path)).collect()
     assert [r["members"] for r in rows] == [",".join(map(str, range(2500)))]
+
+
+def test_a_line_of_many_documents_links_them_all(spark, tmp_path):
+    spark.range(60).selectExpr("id as doc_id", "concat('own words ', id, '\n', repeat('a shared line ', 4)) as text").write.parquet(f"{tmp_path}/documents.parquet")
+    assert queries()["edges_doc_line_whole"](spark, str(tmp_path)).count() == 59
+    assert queries()["cc_min_owner_doc_line_whole"](spark, str(tmp_path)).select("component").distinct().count() == 1
