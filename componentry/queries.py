@@ -56,6 +56,10 @@ WITH g AS ({_DOC_GRAMS}), n AS (SELECT id, count(*) AS n FROM g GROUP BY id), ke
 r AS (SELECT g.* FROM g JOIN kept USING (gram)), p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM r x JOIN r y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
 SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN n a ON a.id = src JOIN n b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared"""
 EDGE_SQL["doc_jaccard"] = JACCARD_SQL
+EDGE_SQL["doc_jaccard_whole"] = f"""
+WITH g AS ({_GRAMS.format(id="doc_id", k=3, table="documents", cap="")}), n AS (SELECT id, count(*) AS n FROM g GROUP BY id),
+p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM g x JOIN g y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
+SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN n a ON a.id = src JOIN n b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared"""
 EDGE_SQL["passage"] = _CANON.format(f"SELECT 2 * d.id AS a, 2 * b.id + 1 AS b FROM ({_GRAMS.format(id='doc_id', k=8, table='documents', cap='')}) d JOIN ({_GRAMS.format(id='item_id', k=8, table='benchmark', cap='')}) b USING (gram)")
 EDGE_SQL["embedding_cos"] = """
 WITH v AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings WHERE embedding IS NOT NULL),

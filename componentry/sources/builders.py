@@ -84,6 +84,37 @@ def jaccard(df: DataFrame, id_col: str, text: str, k: int = 3, num: int = 1, den
     return sized.where(F.col("shared") * den >= union * num).select(F.col("id").alias("src"), F.col("id2").alias("dst"), "shared", "n_src", "n_dst", F.round(1 - F.col("shared") / union, 6).alias("w"))
 
 
+def jaccard_whole(df: DataFrame, id_col: str, text: str, k: int = 3, num: int = 1, den: int = 2) -> DataFrame:
+    """Like ``jaccard``, over whole texts and all grams: no pair is missed.
+
+    Equal sets are one class. Two classes with shared / union >= num / den share one of their n - ceil(n * num / den) + 1
+    rarest grams; those that do, and are of like enough size, are compared on whole sets. All pairs are returned, so a
+    group of copies gives pairs by the square of its size.
+    """
+    grams = text_grams(df, id_col, text, k).withColumn("g", F.xxhash64("gram")).select("id", "g")
+    sets = grams.groupBy("id").agg(F.sort_array(F.collect_set("g")).alias("s")).withColumn("n", F.size("s").cast("long")).withColumn("key", F.md5(F.array_join(F.col("s").cast("array<string>"), ",").cast("binary")))
+    sets = cut(sets, "gram-sets")
+    classes = cut(sets.groupBy("key").agg(F.min("id").alias("c"), F.min_by("s", "id").alias("s"), F.min("n").alias("n")), "gram-classes")
+    member = sets.select("id", "key", "n").join(classes.select("key", "c"), "key").select("id", "c", "n")
+    own = classes.select("c", "n", F.explode("s").alias("g"))
+    ranked = own.join(own.groupBy("g").agg(F.count(F.lit(1)).alias("held")).where("held > 1"), "g")
+    alone = F.col("n") - F.size("r")  # grams of no other class are the rarest, and lead to no pair
+    rarest = ranked.groupBy("c", "n").agg(F.sort_array(F.collect_list(F.struct("held", "g"))).alias("r"))
+    first = (F.col("n") - F.ceil(F.col("n") * num / den) + 1 - alone).cast("int")
+    keyed = cut(rarest.where(first > 0).select("c", "n", F.explode(F.slice("r", 1, first)).alias("x")).select("c", "n", F.col("x.g").alias("g")), "gram-keys")
+    like = (F.least("n", "n2") * den >= F.greatest("n", "n2") * num) & (F.col("c") < F.col("c2"))
+    cand = keyed.join(keyed.select(F.col("c").alias("c2"), F.col("n").alias("n2"), "g"), "g").where(like).select("c", "c2").distinct()
+    both = cand.join(classes.select("c", "s"), "c").join(classes.select(F.col("c").alias("c2"), F.col("s").alias("s2")), "c2")
+    pairs = both.select("c", "c2", F.size(F.array_intersect("s", "s2")).cast("long").alias("shared"))
+    a, b = member.select("c", F.col("id").alias("a"), F.col("n").alias("n_a")), member.select(F.col("c").alias("c2"), F.col("id").alias("b"), F.col("n").alias("n_b"))
+    across = pairs.join(a, "c").join(b, "c2").where(F.col("shared") * den >= (F.col("n_a") + F.col("n_b") - F.col("shared")) * num).select("a", "n_a", "b", "n_b", "shared")
+    inside = a.join(b, F.col("c") == F.col("c2")).where("a < b").select("a", "n_a", "b", "n_b", F.col("n_a").alias("shared"))
+    out = across.unionByName(inside)
+    turned = F.col("a") < F.col("b")
+    n_src, n_dst = F.when(turned, F.col("n_a")).otherwise(F.col("n_b")), F.when(turned, F.col("n_b")).otherwise(F.col("n_a"))
+    return out.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"), "shared", n_src.alias("n_src"), n_dst.alias("n_dst"), F.round(1 - F.col("shared") / (F.col("n_a") + F.col("n_b") - F.col("shared")), 6).alias("w"))
+
+
 def minhash(df: DataFrame, id_col: str, text: str, k: int = 3, bands: int = 16, rows: int = 2, num: int = 1, den: int = 2) -> DataFrame:
     """(src, dst) by banded MinHash, verified exactly: for corpora whose common grams make the gram join too wide."""
     grams = text_grams(df, id_col, text, k).withColumn("g", F.xxhash64("gram")).select("id", "g")

@@ -70,6 +70,10 @@ def doc_jaccard(spark: SparkSession, d: str) -> DataFrame:
     return builders.jaccard(read_table(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text")
 
 
+def doc_jaccard_whole(spark: SparkSession, d: str) -> DataFrame:
+    return builders.jaccard_whole(read_table(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text")
+
+
 def page_link(spark: SparkSession, d: str) -> DataFrame:
     return builders.page_link(read_table(spark, d, "pages", ["page_id", "html"]))
 
@@ -112,7 +116,7 @@ def part_tree(spark: SparkSession, d: str) -> DataFrame:
 
 GRAPHS: dict[str, Build] = {
     f.__name__: f
-    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_line_whole, doc_jaccard, page_link, embedding_cos, event_chain, event_json, event_type_pairs, event_within, conversation_chain, passage, part_tree)
+    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_line_whole, doc_jaccard, doc_jaccard_whole, page_link, embedding_cos, event_chain, event_json, event_type_pairs, event_within, conversation_chain, passage, part_tree)
 }
 
 

@@ -144,3 +144,14 @@ def test_a_line_of_many_documents_links_them_all(spark, tmp_path):
     spark.range(60).selectExpr("id as doc_id", "concat('own words ', id, '\n', repeat('a shared line ', 4)) as text").write.parquet(f"{tmp_path}/documents.parquet")
     assert queries()["edges_doc_line_whole"](spark, str(tmp_path)).count() == 59
     assert queries()["cc_min_owner_doc_line_whole"](spark, str(tmp_path)).select("component").distinct().count() == 1
+
+
+def test_jaccard_whole_has_large_groups_and_late_words(spark, tmp_path):
+    head = " ".join(f"h{i}" for i in range(400))
+    rows = [(i, "one text that sixty documents hold") for i in range(60)]
+    rows += [(100, head + " " + " ".join(f"a{i}" for i in range(900))), (101, head + " " + " ".join(f"b{i}" for i in range(900))), (102, "x " + " ".join(f"a{i}" for i in range(900)))]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r["src"], r["dst"]): r["w"] for r in queries()["edges_doc_jaccard_whole"](spark, str(tmp_path)).collect()}
+    assert {p for p in got if p[1] < 100} == {(i, j) for j in range(60) for i in range(j)} and got[0, 59] == 0
+    # 100 and 101 are alike in their first 400 words only; 100 and 102 in what follows
+    assert {p for p in got if p[1] >= 100} == {(100, 102)}
