@@ -2,17 +2,24 @@
 
 A sketch is a histogram over logarithmic buckets (relative error at most ``GAMMA`` - 1): rows
 (lang, source, rule, bucket, n). Sketches merge by adding counts, in any order, with the same result at
-every run; those of a group with few documents are merged over all groups.
-
-A rule's threshold for a group is the upper fence of its sketch, q75 + REACH * (q75 - q25), and never below
-the rule's guard, so ordinary text is kept even where a group is all alike. Null text: no words, base
-failure. Null language or source: a group of its own. Repeated rows: each has its own verdict. Columns of
-the input never clash with ours: they travel in one struct.
+every run; a language's sketch is the sum of its sources', and that of the corpus the sum of all.
+
+A sketch's fence for a rule is q_high + REACH * (q_high - q_low), with quantiles that suit the rule: quartiles where
+most documents have a value of their own, the median and the 98th percentile where most have none. A group's
+threshold is the geometric mean of its own fence, weighed by its documents, and its language's, weighed as ``PRIOR``
+documents; the language's is tied to that of the corpus likewise. So a large group decides alone, a small one leans on its
+language, and nothing switches at a size. Rates up to a rule's ``floor`` are noise (a stray sign, one line
+that recurs) and never rejected. No cutoff is fixed beyond that.
+
+Null text: no words, base failure. Null language or source: a group of its own. Repeated rows: each has its own
+verdict. An empty table has no thresholds and no rows. Very long texts are counted whole. Columns of the input
+never clash with ours: they travel in one struct.
 """
 
 from __future__ import annotations
 
 import math
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -28,9 +35,25 @@ MAX_REPEAT_PERCENT = 30
 WINDOW = 8
 GAMMA = 1.02
 REACH = 3
-MIN_GROUP = 100
-#: per million: symbols by word characters, repeated lines' share by words; characters a word
-GUARDS = {"symbols": 50_000, "repeats": 300_000, "dup_lines": 600_000, "word_length": 12_000_000}
+PRIOR = 100
+
+
+class Rule(NamedTuple):
+    """A rate per million, the percentiles of its fence, and the rate up to which it is noise."""
+
+    part: str
+    whole: str
+    low: int
+    high: int
+    floor: int
+
+
+RULES = {
+    "symbols": Rule("n_symbols", "word_chars", 25, 75, 10_000),
+    "repeats": Rule("n_repeat_words", "n_words", 50, 98, 50_000),
+    "dup_lines": Rule("n_dup_lines", "n_lines", 50, 98, 100_000),
+    "word_length": Rule("word_chars", "n_words", 25, 75, 0),
+}
 
 FIELDS = [T.StructField(n, T.LongType()) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")]
 
@@ -94,8 +117,7 @@ def base_failed():
 
 def _rates() -> list:
     """(rule, rate per million) of each row."""
-    rate = lambda a, b: F.floor(F.col(a) * 1_000_000 / F.greatest(F.col(b), F.lit(1)))
-    return [("symbols", rate("n_symbols", "word_chars")), ("repeats", rate("n_repeat_words", "n_words")), ("dup_lines", rate("n_dup_lines", "n_lines")), ("word_length", rate("word_chars", "n_words"))]
+    return [(n, F.floor(F.col(r.part) * 1_000_000 / F.greatest(F.col(r.whole), F.lit(1)))) for n, r in RULES.items()]
 
 
 def _bucket(rate):
@@ -108,22 +130,25 @@ def sketches(stats: DataFrame) -> DataFrame:
     return stats.where(~base_failed()).select("lang", "source", F.explode(rules).alias("x")).groupBy("lang", "source", "x.rule", "x.bucket").agg(F.count(F.lit(1)).alias("n"))
 
 
-def thresholds(sketch: DataFrame, min_group: int = MIN_GROUP) -> DataFrame:
-    """(lang, source, rule, at_most): fences of each group's sketch; groups under ``min_group`` use the merged sketch."""
+def fences(sketch: DataFrame, *keys: str) -> DataFrame:
+    """(keys, rule, docs, fence, as its logarithm) of the sketches (rule, bucket, n) merged by ``keys``."""
+    merged = sketch.groupBy(*keys, "rule", "bucket").agg(F.sum("n").alias("n"))
+    whole = Window.partitionBy(*keys, "rule")
+    ranked = merged.withColumn("c", F.sum("n").over(whole.orderBy("bucket"))).withColumn("t", F.sum("n").over(whole))
+    percent = lambda end: F.create_map(*(x for n, r in RULES.items() for x in (F.lit(n), F.lit(getattr(r, end)))))[F.col("rule")]
+    at = lambda end: F.min(F.when(100 * F.col("c") >= percent(end) * F.col("t"), F.pow(F.lit(GAMMA), F.col("bucket"))))
+    cuts = ranked.groupBy(*keys, "rule").agg(at("low").alias("lo"), at("high").alias("hi"), F.max("t").alias("docs"))
+    return cuts.select(*keys, "rule", "docs", F.log(F.col("hi") + REACH * (F.col("hi") - F.col("lo"))).alias("fence"))
 
-    def fences(part: DataFrame, *keys: str) -> DataFrame:
-        upto = Window.partitionBy(*keys, "rule").orderBy("bucket")
-        whole = Window.partitionBy(*keys, "rule")
-        ranked = part.withColumn("c", F.sum("n").over(upto)).withColumn("t", F.sum("n").over(whole))
-        at = lambda q: F.min(F.when(F.col("c") >= q * F.col("t"), F.pow(F.lit(GAMMA), F.col("bucket"))))
-        cuts = ranked.groupBy(*keys, "rule").agg(at(0.25).alias("q25"), at(0.75).alias("q75"), F.max("t").alias("docs"))
-        return cuts.withColumn("fence", F.col("q75") + REACH * (F.col("q75") - F.col("q25")))
 
-    own = fences(sketch, "lang", "source")
-    merged = fences(sketch.groupBy("rule", "bucket").agg(F.sum("n").alias("n"))).select("rule", F.col("fence").alias("all_fence"))
-    guard = F.create_map(*(x for k, v in GUARDS.items() for x in (F.lit(k), F.lit(float(v)))))
-    fence = F.when(F.col("docs") >= min_group, F.col("fence")).otherwise(F.col("all_fence"))
-    return own.join(merged, "rule").select("lang", "source", "rule", F.greatest(fence, guard[F.col("rule")]).alias("at_most"))
+def thresholds(sketch: DataFrame, prior: int = PRIOR) -> DataFrame:
+    """(lang, source, rule, at_most): each group's own fence, tied to its language's and the corpus's by ``prior`` documents."""
+    tied = lambda n, own, other: (n * own + prior * other) / (n + prior)
+    every = fences(sketch).select("rule", F.col("fence").alias("all_fence"))
+    lang = fences(sketch, "lang").join(every, "rule").select(F.col("lang").alias("_l"), F.col("rule").alias("_r"), tied(F.col("docs"), F.col("fence"), F.col("all_fence")).alias("lang_fence"))
+    own = fences(sketch, "lang", "source").join(lang, F.col("lang").eqNullSafe(F.col("_l")) & (F.col("rule") == F.col("_r")))
+    floor = F.create_map(*(x for n, r in RULES.items() for x in (F.lit(n), F.lit(float(r.floor)))))[F.col("rule")]
+    return own.select("lang", "source", "rule", F.greatest(F.exp(tied(F.col("docs"), F.col("fence"), F.col("lang_fence"))), floor).alias("at_most"))
 
 
 def verdicts(stats: DataFrame, limits: DataFrame) -> DataFrame:
@@ -144,11 +169,10 @@ def quality_verdicts(docs: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
-    """``docs`` (all its columns) without the rejected ones. Texts stay where they are: only sketches are exchanged."""
+    """``docs`` (all its columns) without the rejected ones. Texts are read and counted once; rows wait with their counts for the thresholds."""
     packed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), "lang", "source", F.col("text").alias("_t"))
-    stats = quality_stats(packed, ["_row", "lang", "source"], "_t")
-    limits = cut(thresholds(sketches(quality_stats(docs, ["lang", "source"]))), "fences")
-    return verdicts(stats, limits).where("kept").select("_row.*")
+    stats = cut(quality_stats(packed, ["_row", "lang", "source"], "_t"), "quality")
+    return verdicts(stats, cut(thresholds(sketches(stats)), "fences")).where("kept").select("_row.*")
 
 
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -156,8 +180,9 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_verdicts(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
-_RATES = {"symbols": ("n_symbols", "word_chars"), "repeats": ("n_repeat_words", "n_words"), "dup_lines": ("n_dup_lines", "n_lines"), "word_length": ("word_chars", "n_words")}
-_FENCE = "min(CASE WHEN c >= 0.75 * t THEN pow({g}, bucket) END) + {k} * (min(CASE WHEN c >= 0.75 * t THEN pow({g}, bucket) END) - min(CASE WHEN c >= 0.25 * t THEN pow({g}, bucket) END))".format(g=GAMMA, k=REACH)
+_AT = "min(CASE WHEN 100 * c >= {p} * t THEN pow({g}, bucket) END)"
+_FENCES = "SELECT {keys}rule, max(t) AS docs, ln({hi} + {k} * ({hi} - {lo})) AS fence FROM (SELECT {keys}rule, lo, hi, bucket, sum(n) OVER (PARTITION BY {keys}rule ORDER BY bucket) AS c, sum(n) OVER (PARTITION BY {keys}rule) AS t FROM (SELECT {keys}rule, lo, hi, bucket, sum(n) AS n FROM sk GROUP BY ALL)) GROUP BY {keys}rule"
+_SQL_FENCES = {k: _FENCES.format(keys=k, k=REACH, hi=_AT.format(p="hi", g=GAMMA), lo=_AT.format(p="lo", g=GAMMA)) for k in ("", "lang, ", "lang, source, ")}
 OP8_SQL = rf"""
 WITH d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, lang, source, coalesce(text, '') AS text, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS w FROM documents),
 win AS MATERIALIZED (SELECT rid, i, array_to_string(w[i:i + {WINDOW - 1}], ' ') AS g FROM (SELECT rid, w, unnest(range(1, len(w) - {WINDOW - 2})) AS i FROM d)),
@@ -165,11 +190,11 @@ rep AS (SELECT rid, count(DISTINCT i + k) AS n FROM (SELECT rid, i, count(*) OVE
 ln AS (SELECT rid, count(*) AS n_lines, count(*) - count(DISTINCT line) AS dup FROM (SELECT rid, unnest(string_split(text, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY rid),
 s AS MATERIALIZED (SELECT d.rid, doc_id, lang, source, len(w) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS BIGINT) AS word_chars, CAST(length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, coalesce(ln.dup, 0) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines FROM d LEFT JOIN rep USING (rid) LEFT JOIN ln USING (rid)),
 f AS MATERIALIZED (SELECT *, n_words < {MIN_WORDS} OR 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words AS base_failed FROM s),
-x AS MATERIALIZED ({' UNION ALL '.join(f"SELECT rid, lang, source, base_failed, '{n}' AS rule, {float(GUARDS[n])} AS guard, {a} * 1000000 // greatest({b}, 1) AS rate FROM f" for n, (a, b) in _RATES.items())}),
-sk AS (SELECT lang, source, rule, guard, CAST(ceil(ln(CAST(greatest(rate, 1) AS DOUBLE)) / {math.log(GAMMA)!r}) AS INTEGER) AS bucket, count(*) AS n FROM x WHERE NOT base_failed GROUP BY ALL),
-own AS (SELECT lang, source, rule, guard, max(t) AS docs, {_FENCE} AS fence FROM (SELECT *, sum(n) OVER (PARTITION BY lang, source, rule ORDER BY bucket) AS c, sum(n) OVER (PARTITION BY lang, source, rule) AS t FROM sk) GROUP BY ALL),
-every AS (SELECT rule, {_FENCE} AS fence FROM (SELECT *, sum(n) OVER (PARTITION BY rule ORDER BY bucket) AS c, sum(n) OVER (PARTITION BY rule) AS t FROM (SELECT rule, bucket, sum(n) AS n FROM sk GROUP BY rule, bucket)) GROUP BY rule),
-lim AS (SELECT lang, source, rule, greatest(CASE WHEN docs >= {MIN_GROUP} THEN own.fence ELSE every.fence END, guard) AS at_most FROM own JOIN every USING (rule)),
-v AS (SELECT rid, bool_and(coalesce(rate <= at_most * {GAMMA}, true)) AS ok FROM x LEFT JOIN lim ON lim.rule = x.rule AND lim.lang IS NOT DISTINCT FROM x.lang AND lim.source IS NOT DISTINCT FROM x.source GROUP BY rid)
+x AS MATERIALIZED ({' UNION ALL '.join(f"SELECT rid, lang, source, base_failed, '{n}' AS rule, {r.low} AS lo, {r.high} AS hi, {float(r.floor)} AS floor, {r.part} * 1000000 // greatest({r.whole}, 1) AS rate FROM f" for n, r in RULES.items())}),
+sk AS MATERIALIZED (SELECT lang, source, rule, lo, hi, CAST(ceil(ln(CAST(greatest(rate, 1) AS DOUBLE)) / {math.log(GAMMA)!r}) AS INTEGER) AS bucket, count(*) AS n FROM x WHERE NOT base_failed GROUP BY ALL),
+a AS ({_SQL_FENCES['']}),
+lg AS (SELECT l.lang, l.rule, (l.docs * l.fence + {PRIOR} * a.fence) / (l.docs + {PRIOR}) AS fence FROM ({_SQL_FENCES['lang, ']}) l JOIN a USING (rule)),
+lim AS (SELECT o.lang, o.source, o.rule, (o.docs * o.fence + {PRIOR} * lg.fence) / (o.docs + {PRIOR}) AS fence FROM ({_SQL_FENCES['lang, source, ']}) o JOIN lg ON lg.rule = o.rule AND lg.lang IS NOT DISTINCT FROM o.lang),
+v AS (SELECT rid, bool_and(coalesce(rate <= greatest(exp(lim.fence), x.floor) * {GAMMA}, true)) AS ok FROM x LEFT JOIN lim ON lim.rule = x.rule AND lim.lang IS NOT DISTINCT FROM x.lang AND lim.source IS NOT DISTINCT FROM x.source GROUP BY rid)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND ok AS kept FROM f JOIN v USING (rid)
 """

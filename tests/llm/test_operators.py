@@ -5,14 +5,17 @@ import hashlib
 import random
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from componentry.llm import jaccard, knn, licenses, lines, mixing, packing, quality, secrets, tokens, urls
 from componentry.plans.storage import cut
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
+needs_data = pytest.mark.skipif(not Path("/root/testdata/sf0.1").exists(), reason="no test tables here")
 LOWER = str.maketrans({c: c + 32 for c in range(65, 91)})
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, n_words long, size string, _row int"
 
@@ -383,6 +386,26 @@ def test_adaptive_thresholds(spark):
     assert not verdict.pop(1000) and all(verdict.values())
 
 
+@needs_data
+def test_thresholds_of_the_given_documents(spark):
+    d = "/root/testdata/sf0.1"
+    stats = cut(quality.quality_stats(spark.read.parquet(f"{d}/documents.parquet"), ["doc_id", "lang", "source"]), "s")
+    limits = cut(quality.thresholds(quality.sketches(stats)), "l")
+    at = collections.defaultdict(set)
+    for r in limits.collect():
+        at[r["rule"]].add(round(r["at_most"]))
+    # the groups' own sketches set the thresholds, and noise floors only those of rules that a group never meets
+    assert len(at["word_length"]) > 60 and len(at["repeats"]) > 30 and len(at["dup_lines"]) > 10
+    judged = quality.verdicts(stats, limits).where("not base_failed").select("doc_id", "kept")
+    # one threshold for all groups would judge otherwise
+    same = limits.groupBy("rule").agg(F.avg("at_most").alias("at_most")).crossJoin(limits.select("lang", "source").distinct())
+    other = quality.verdicts(stats, same.select("lang", "source", "rule", "at_most")).where("not base_failed").select("doc_id", F.col("kept").alias("else"))
+    assert judged.join(other, "doc_id").where("kept <> `else`").count() > 5
+    labels = judged.join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id").groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("share"))
+    share = {r["quality"]: r["share"] for r in labels.collect()}
+    assert share[1] >= 0.98 and share[0] < 0.1
+
+
 def test_sketches_merge(docs):
     stats = cut(quality.quality_stats(docs, ["doc_id", "lang", "source"]), "s")
     whole = quality.sketches(stats)
@@ -454,24 +477,28 @@ def brute_keep(rows):
         failed = n < 20 or 100 * rep > 30 * n
         rate = {"symbols": sym * 10**6 // max(chars, 1), "repeats": rep * 10**6 // max(n, 1), "dup_lines": dup * 10**6 // max(lines_, 1), "word_length": chars * 10**6 // max(n, 1)}
         facts.append((r, failed, rate))
-    groups, every = collections.defaultdict(list), collections.defaultdict(list)
+    held = collections.defaultdict(list)
     for r, failed, rate in facts:
         for rule, x in rate.items():
             if not failed:
-                b = int(np.ceil(np.log(max(x, 1)) / np.log(quality.GAMMA)))
-                groups[r[2], r[3], rule].append(b)
-                every[rule].append(b)
+                for key in ((r[2], r[3], rule), (r[2], rule), rule):
+                    held[key].append(int(np.ceil(np.log(max(x, 1)) / np.log(quality.GAMMA))))
 
-    def fence(buckets):
-        at = lambda q: quality.GAMMA ** sorted(buckets)[int(np.ceil(q * len(buckets))) - 1]
-        return at(0.75) + quality.REACH * (at(0.75) - at(0.25))
+    def fence(key, rule):
+        """The number of documents under a key, and the fence of their buckets."""
+        own = sorted(held[key])
+        at = lambda q: quality.GAMMA ** own[-(-q * len(own) // 100) - 1]
+        lo, hi = at(quality.RULES[rule].low), at(quality.RULES[rule].high)
+        return len(own), hi + quality.REACH * (hi - lo)
 
     def passes(r, rule, x):
-        own = groups.get((r[2], r[3], rule))
-        if not own:
+        if (r[2], r[3], rule) not in held:
             return True
-        limit = max(fence(own if len(own) >= quality.MIN_GROUP else every[rule]), quality.GUARDS[rule])
-        return x <= limit * quality.GAMMA
+        _, limit = fence(rule, rule)
+        for key in ((r[2], rule), (r[2], r[3], rule)):
+            n, own = fence(key, rule)
+            limit = own ** (n / (n + quality.PRIOR)) * limit ** (quality.PRIOR / (n + quality.PRIOR))
+        return x <= max(limit, quality.RULES[rule].floor) * quality.GAMMA
 
     return [r for r, failed, rate in facts if not failed and all(passes(r, k, x) for k, x in rate.items())]
 
