@@ -466,6 +466,27 @@ def test_line_dedup(docs, none):
     assert out.columns == [*docs.columns, "n_dropped"]
     assert collections.Counter((r["doc_id"], r["text"], r["n_dropped"]) for r in out.collect()) == want
     assert lines.drop_boilerplate(none).count() == 0
+    # more sites than are broadcast: the salted join gives the same
+    packed = docs.select(F.struct("doc_id", "text").alias("_row"), F.col("source").alias("_of"))
+    lists = cut(lines.boilerplate(docs, "source").select(F.col("site").alias("_site"), F.col("drop").alias("_drop")), "lists")
+    rows = [sorted(map(str, lines._with_lists(packed, lists, most).select("_row", "_drop").collect())) for most in (0, 100)]
+    assert rows[0] == rows[1]
+
+
+def test_boilerplate_of_a_hot_site(spark):
+    rows = []
+    for i in range(2000):
+        own = [f"an ordinary line {i} {k}" for k in range(3)]
+        own += ["shown in one section of the site"] * (i % 40 == 0) + ["on the few copies of a page"] * (i < 15)
+        rows.append((i, "\n".join(own), "hot"))
+    rows += [(5000 + i, f"page {i} of a small site\nfooter of the small site", "small") for i in range(20)]
+    out = lines.drop_boilerplate(spark.createDataFrame(rows, "doc_id long, text string, source string"), count="n_dropped")
+    for r in out.collect():
+        assert "section" not in r["text"] and "footer" not in r["text"]
+        assert r["n_dropped"] == (1 if r["source"] == "small" else int(r["doc_id"] % 40 == 0))
+        assert r["source"] == "small" or r["text"].count("ordinary") == 3 and ("few copies" in r["text"]) == (r["doc_id"] < 15)
+    every = lines.boilerplate(spark.createDataFrame([(1, "a", "x"), (2, "b", "x")], "doc_id long, text string, source string"), "source", 0.4, 1)
+    assert len(every.first()["drop"]) == 2
 
 
 def brute_keep(rows):
