@@ -7,7 +7,8 @@ table over its prefixes, filled by extending shorter prefixes by one last token;
 are stored in a row, as steps from one prefix to the next, and every count is a running sum of them.
 
 Null text counts as empty; an empty text has no tokens. Control strings such as ``<s>`` in a text are
-ordinary characters, as in the library's default.
+ordinary characters, as in the library's default. Repeated rows are counted each; an empty table gives no rows.
+Very long texts have one table each, held whole. Only the columns named in ``keep`` travel along.
 """
 
 from __future__ import annotations
@@ -241,17 +242,19 @@ def prefix_tables(docs: DataFrame, path: str | None = None, *, keep: list[str] |
 
 
 def token_counts(docs: DataFrame, path: str | None = None, *, keep: list[str] | None = None, limit: int = LIMIT, text: str = "text", prefixes: bool = False) -> DataFrame:
-    """``keep`` columns with n_bytes, n_tokens and over_limit, the last entries of stored tables; with ``prefixes`` also the array prefix_tokens, entry k for the first k characters."""
+    """``keep`` columns with what stored tables say: n_bytes, n_tokens and over_limit (the last entry), limit_chars (the most leading
+    characters within ``limit`` tokens); with ``prefixes`` also the array prefix_tokens, entry k for the first k characters."""
     keep = keep if keep is not None else ["doc_id"]
     stored = cut(prefix_tables(docs, path, keep=keep, text=text), "prefixes")
-    fields = [T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType())]
+    fields = [T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType()), T.StructField("limit_chars", T.LongType())]
     if prefixes:
         fields.append(T.StructField("prefix_tokens", T.ArrayType(T.LongType())))
 
     def run(tables: pa.Array) -> list[pa.Array]:
         every = [prefix_counts(t.as_buffer()) for t in tables]
         n = [int(x[-1]) for x in every]
-        out = [pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())]
+        fit = [len(x) - 1 if k <= limit else int(np.flatnonzero(x <= limit)[-1]) for x, k in zip(every, n, strict=True)]
+        out = [pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_()), pa.array(fit, pa.int64())]
         return out + ([pa.array(every, pa.list_(pa.int64()))] if prefixes else [])
 
     return text_map(stored, "prefix_steps", [*keep, "n_bytes"], fields, run, most=2 << 20)

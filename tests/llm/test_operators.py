@@ -418,9 +418,15 @@ def test_token_counts(docs, none):
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_file=tokens.vocabulary_path())
-    got = collections.Counter(map(tuple, tokens.token_counts(docs).collect()))
+    rows = tokens.token_counts(docs).collect()
+    got = collections.Counter(tuple(r)[:4] for r in rows)
     want = collections.Counter((d, len((t or "").encode()), len(sp.encode(t or "")), len(sp.encode(t or "")) > 4096) for d, t, *_ in ROWS)
     assert got == want
+    texts = {d: t or "" for d, t, *_ in ROWS}
+    for r in (r for r in rows if r["doc_id"] not in (None, 7)):
+        t, n = texts[r["doc_id"]], r["limit_chars"]
+        assert n == len(t) if not r["over_limit"] else len(sp.encode(t[:n])) <= 4096 < min(len(sp.encode(t[: n + k])) for k in range(1, 9))
+    assert any(r["over_limit"] for r in rows)
     assert tokens.token_counts(none).count() == 0
     with_prefixes = tokens.token_counts(docs, prefixes=True).where("doc_id = 0").first()
     assert with_prefixes["prefix_tokens"][-1] == with_prefixes["n_tokens"]
@@ -446,7 +452,7 @@ def test_stored_tables_cover_every_prefix(spark, docs, monkeypatch):
             assert tokens.count_at(table, k) == len(sp.encode(texts[d][:k]))
     # the counts are read from what was stored: no text is encoded again
     monkeypatch.setattr(tokens, "prefix_tables", lambda *a, **b: spark.createDataFrame([(1, 9, np.array([1, 0, 2], np.int16).tobytes())], "doc_id long, n_bytes long, prefix_steps binary"))
-    assert [tuple(r) for r in tokens.token_counts(docs, limit=2).collect()] == [(1, 9, 3, True)]
+    assert [tuple(r) for r in tokens.token_counts(docs, limit=2).collect()] == [(1, 9, 3, True, 1)]
 
 
 def test_line_dedup(docs, none):
