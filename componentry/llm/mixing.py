@@ -12,7 +12,8 @@ Prefix sums and ranks are taken in two levels (part totals, then within parts),
 of all rows is spread over many tasks. Everything is DataFrame code.
 
 Sources are weighed by code point with null last. Null text has size 0; documents of size 0 are never
-taken. Repeated rows are documents of their own. An empty table, or one without words, takes nothing.
+taken. Repeated rows are documents of their own. An empty table, or one without words, takes nothing. A very long text
+covers many blocks, each at the slot of its own. Only the columns named are read, so others never clash.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ BUDGET = 1.5
 MOST_PASSES = 2
 BLOCK_WORDS = 512
 SEED = 17
+PART_ROWS = 200_000
 _CHUNK_BITS = 15
 
 
@@ -56,10 +58,16 @@ def targets(totals: DataFrame, weights: tuple = WEIGHTS, budget: float = BUDGET,
     return rows.select("source", "source_size", "weight", target.alias("target"))
 
 
-def streams(sized: DataFrame, seed: int = SEED) -> DataFrame:
-    """``sized`` (row_id, doc_id, source, size) with ``at``, the words before it in its source's shuffled stream."""
+def streams(sized: DataFrame, seed: int = SEED, rows: int = 0) -> DataFrame:
+    """``sized`` (row_id, doc_id, source, size) with ``at``, the words before it in its source's shuffled stream.
+
+    A stream is cut by leading digits of the hash, as many as bring a stream of all ``rows`` to PART_ROWS a part.
+    """
+    digits = 1
+    while digits < 8 and rows > PART_ROWS * 16**digits:
+        digits += 1
     h = F.md5(F.concat_ws(":", F.lit(seed), "doc_id", "size"))
-    rows = sized.withColumn("_h", h).withColumn("_part", F.substring("_h", 1, 2))
+    rows = sized.withColumn("_h", h).withColumn("_part", F.substring("_h", 1, digits))
     sums = rows.groupBy("source", "_part").agg(F.sum("size").alias("_s"))
     before = Window.partitionBy("source").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     base = sums.select(F.col("source").alias("_src"), F.col("_part").alias("_p"), F.coalesce(F.sum("_s").over(before), F.lit(0)).alias("_base"))
@@ -123,7 +131,7 @@ def mix(sized: DataFrame, *, weights: tuple = WEIGHTS, budget: float = BUDGET, m
     aims = cut(targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, budget, most), "targets")
     aim = small_side(aims.select(F.col("source").alias("_src"), "source_size", "target"), 64)
     documents = sized.join(aim, F.col("source").eqNullSafe(F.col("_src"))).drop("_src")
-    placed = streams(documents.where("size > 0"), seed)
+    placed = streams(documents.where("size > 0"), seed, sized.count())
     # a document in pass p of the stream covers [at + p * source_size, + size); the target ends what is taken
     take = F.round("target").cast("long")
     passes = placed.withColumn("_pass", F.explode(F.sequence(F.lit(0), F.lit(most - 1)))).withColumn("lo", F.col("at") + F.col("_pass") * F.col("source_size"))
@@ -143,13 +151,15 @@ def sizes(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def op1_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, size, source_size, target, taken, and where the mix has the row: its first and last slot and the number of its pieces (null, null, 0: not taken)."""
     sized = sizes(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source", "text"))
     pieces, documents = mix(sized)
     # the words of a row: its pieces summed up; rows without a piece take none
-    none = documents.select("row_id", "doc_id", "size", "source_size", "target", F.lit(0).cast("long").alias("length"))
-    some = pieces.select("row_id", *(F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("size", "long"), ("source_size", "long"), ("target", "double"))), "length")
-    rows = none.unionByName(some).groupBy("row_id").agg(*(F.max(c).alias(c) for c in ("doc_id", "size", "source_size", "target")), F.sum("length").alias("taken"))
-    return rows.select("doc_id", "size", "source_size", "target", "taken")
+    facts = (("doc_id", "long"), ("size", "long"), ("source_size", "long"), ("target", "double"))
+    none = documents.select("row_id", *(c for c, _ in facts), F.lit(0).cast("long").alias("length"), F.lit(None).cast("long").alias("slot"))
+    some = pieces.select("row_id", *(F.lit(None).cast(t).alias(c) for c, t in facts), "length", "slot")
+    rows = none.unionByName(some).groupBy("row_id").agg(*(F.max(c).alias(c) for c, _ in facts), F.sum("length").alias("taken"), F.min("slot").alias("first_slot"), F.max("slot").alias("last_slot"), F.count("slot").alias("n_pieces"))
+    return rows.drop("row_id")
 
 
 OP1_SQL = rf"""
@@ -158,25 +168,40 @@ t AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY so
 w AS (SELECT *, list_extract([{', '.join(f'{float(x)}::DOUBLE' for x in WEIGHTS)}], CAST((row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % {len(WEIGHTS)} + 1 AS INTEGER)) AS weight, {float(MOST_PASSES)}::DOUBLE * source_size AS cap FROM t),
 v AS (SELECT *, cap / weight AS r, (sum(source_size) OVER () * {BUDGET}::DOUBLE - coalesce(sum(cap) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0)) / sum(weight) OVER (ORDER BY cap / weight, source ASC NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM w),
 g AS (SELECT source, source_size, least(cap, coalesce(weight * (SELECT arg_min(level, r) FROM v WHERE level <= r), cap)) AS target FROM v),
-s AS (SELECT d.*, g.source_size, g.target, CAST(floor(g.target + 0.5) AS BIGINT) AS take, CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY md5(concat_ws(':', '{SEED}', CAST(d.doc_id AS VARCHAR), CAST(d.size AS VARCHAR))), d.doc_id, d.size, d.rid) - d.size AS BIGINT) AS pos FROM d JOIN g ON g.source IS NOT DISTINCT FROM d.source)
-SELECT doc_id, size, source_size, target, CAST(greatest(0, least(pos + size, take) - pos) + greatest(0, least(pos + source_size + size, take) - pos - source_size) AS BIGINT) AS taken FROM s
+s AS MATERIALIZED (SELECT d.*, g.source_size, g.target, CAST(floor(g.target + 0.5) AS BIGINT) AS take, CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY md5(concat_ws(':', '{SEED}', CAST(d.doc_id AS VARCHAR), CAST(d.size AS VARCHAR))), d.doc_id, d.size, d.rid) - d.size AS BIGINT) AS pos FROM d JOIN g ON g.source IS NOT DISTINCT FROM d.source),
+b AS (SELECT source, CAST(ceil(target / {BLOCK_WORDS}) AS BIGINT) AS blocks FROM g),
+iv AS MATERIALIZED (SELECT source, blocks, CAST(sum(blocks) OVER o - blocks AS BIGINT) AS first, CAST(sum(blocks) OVER o AS BIGINT) AS last, CAST(sum(blocks) OVER () AS BIGINT) AS n, greatest(1, length(bin(CAST(sum(blocks) OVER () - 1 AS BIGINT)))) AS bits FROM b WHERE blocks > 0 WINDOW o AS (ORDER BY source ASC NULLS LAST)),
+-- slot i has the point of its bits in reverse, and goes to the source in whose interval the point lies
+pt AS MATERIALIZED (SELECT i AS slot, list_sum(list_transform(range(bits), lambda k: ((i >> k) & 1) << (bits - 1 - k)))::HUGEINT AS u, (1::HUGEINT << bits) AS whole, n FROM (SELECT DISTINCT n, bits FROM iv), LATERAL (SELECT unnest(range(n)) AS i)),
+own AS MATERIALIZED (SELECT slot, iv.source, iv.blocks, row_number() OVER (PARTITION BY iv.source ORDER BY slot) - 1 AS rank FROM pt JOIN iv ON u * pt.n >= first::HUGEINT * whole AND u * pt.n < last::HUGEINT * whole),
+spare AS (SELECT slot, row_number() OVER (ORDER BY slot) AS k FROM own WHERE rank >= blocks),
+got AS (SELECT source, count(*) AS got FROM own GROUP BY source),
+short AS (SELECT source, rank, row_number() OVER (ORDER BY rank, source ASC NULLS LAST) AS k FROM (SELECT iv.source, unnest(range(coalesce(got, 0), blocks)) AS rank FROM iv LEFT JOIN got ON got.source IS NOT DISTINCT FROM iv.source)),
+slots AS MATERIALIZED (SELECT slot, source, rank FROM own WHERE rank < blocks UNION ALL SELECT slot, source, rank FROM spare JOIN short USING (k)),
+runs AS (SELECT rid, source, pos + p * source_size AS lo, least(pos + p * source_size + size, take) AS hi FROM s, range({MOST_PASSES}) r(p) WHERE size > 0),
+bl AS (SELECT rid, source, lo, hi, unnest(range(lo // {BLOCK_WORDS}, (hi - 1) // {BLOCK_WORDS} + 1)) AS rank FROM runs WHERE lo < hi),
+pc AS (SELECT rid, slot, least(hi, (bl.rank + 1) * {BLOCK_WORDS}) - greatest(lo, bl.rank * {BLOCK_WORDS}) AS length FROM bl JOIN slots ON slots.rank = bl.rank AND slots.source IS NOT DISTINCT FROM bl.source),
+q AS (SELECT rid, sum(length) AS taken, min(slot) AS first_slot, max(slot) AS last_slot, count(*) AS n_pieces FROM pc GROUP BY rid)
+SELECT doc_id, size, source_size, target, CAST(coalesce(taken, 0) AS BIGINT) AS taken, first_slot, last_slot, coalesce(n_pieces, 0) AS n_pieces FROM s LEFT JOIN q USING (rid)
 """
 
 
 def mixed_documents(docs: DataFrame) -> DataFrame:
     """``docs`` as the mix takes them: a row for each pass over a document, its text cut where the target ends.
 
-    Whole passes keep the text as it is; only the one document at which a source's target ends is shortened.
+    Whole passes keep the text as it is; only the one document at which a source's target ends is shortened. Rows are
+    dealt to parts by a hash, and each part has them in the order of the slots at which they begin: every part is
+    a sample of the mix in the mix's order.
     """
     keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), F.xxhash64("doc_id", "source", "text").alias("_key"), "doc_id", "source", size_column().alias("size"))
     # equal rows are interchangeable: they are numbered within their key
     twin = Window.partitionBy("_key").orderBy("_key")
     sized = cut(keyed.select("_key", "doc_id", "source", "size").withColumn("_twin", F.row_number().over(twin)).withColumn("row_id", F.monotonically_increasing_id()), "sizes")
     pieces, _ = mix(sized.select("row_id", F.col("doc_id").cast("long").alias("doc_id"), "source", "size"))
-    runs = pieces.groupBy("row_id", "_pass").agg(F.sum("length").alias("_words"))
-    runs = cut(runs.join(sized.select("row_id", "_key", "_twin", "size"), "row_id").select("_key", "_twin", "_words", (F.col("_words") == F.col("size")).alias("_whole")), "runs")
+    runs = pieces.groupBy("row_id", "_pass").agg(F.sum("length").alias("_words"), F.min_by("slot", "begin").alias("_slot"))
+    runs = cut(runs.join(sized.select("row_id", "_key", "_twin", "size"), "row_id").select("_key", "_twin", "_slot", "_words", (F.col("_words") == F.col("size")).alias("_whole")), "runs")
     rows = keyed.select("_row", "_key").withColumn("_twin", F.row_number().over(twin))
-    taken = rows.join(runs, ["_key", "_twin"])
+    taken = rows.join(runs, ["_key", "_twin"]).sortWithinPartitions("_slot")
     words = F.regexp_extract_all(F.col("_row.text"), F.lit(r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"), F.lit(0))
     head = F.array_join(F.slice(words, F.lit(1), F.col("_words").cast("int")), "")
     text = F.when(F.col("_whole"), F.col("_row.text")).otherwise(head)
