@@ -5,7 +5,9 @@ below it, or host/segment, a first path segment. Entries become validity interva
 the pattern's next entry; of several on one date the last ``entry_id`` wins. A capture's keys (its domains and its host
 with the first segment) meet the intervals of equal pattern that hold its fetch date, which is an as-of join:
 at most one interval of a pattern holds a date. Null urls and urls without a host match nothing; null dates
-neither. Repeated captures are judged each. An empty list blocks nothing.
+neither. Repeated captures are judged each. An empty list blocks nothing, an empty table gives no rows. A kept column
+named like one of the answers (host, blocked, pattern, listed_on) comes back with ``_given`` behind its name. Hosts
+are cut at every dot, however long.
 """
 
 from __future__ import annotations
@@ -31,21 +33,25 @@ def intervals(entries: DataFrame) -> DataFrame:
     return spans.where("action = 'add' and (valid_to is null or valid_to > listed_on)").select("pattern", F.col("listed_on").alias("valid_from"), "valid_to")
 
 
+ANSWERS = ("host", "blocked", "pattern", "listed_on")
+
+
 def judge(captures: DataFrame, entries: DataFrame, keep: list[str], on: str = "fetched_on", url: str = "url") -> DataFrame:
     """``keep`` columns with host, blocked, and the longest pattern that blocks with the date it was listed on."""
     host, segment = url_parts(url)
     spans = small_side(cut(intervals(entries), "intervals"), 96)
-    rows = captures.select(F.monotonically_increasing_id().alias("_row"), *keep, F.col(on).alias("_on"), host.alias("host"), segment.alias("_segment"))
+    # rows are numbered and then written: both uses below see the same numbers
+    numbered = captures.select(F.monotonically_increasing_id().alias("_row"), F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_keep"), F.col(on).alias("_on"), host.alias("host"), segment.alias("_segment"))
+    rows = cut(numbered, "captures")
     labels = F.split("host", r"\.")
     n = F.size(labels)
     domains = F.when(n > 1, F.transform(F.sequence(F.lit(1), n - 1), lambda i: F.array_join(F.slice(labels, i, n), "."))).otherwise(F.array("host"))
     keys = F.when(F.col("host") != "", F.concat(domains, F.array(F.concat_ws("/", "host", "_segment"))))
-    asked = rows.withColumn("_key", F.explode_outer(F.array_distinct(keys)))
+    asked = rows.select("_row", "_on", F.explode(F.array_distinct(keys)).alias("_key"))
     held = (F.col("_key") == F.col("pattern")) & (F.col("_on") >= F.col("valid_from")) & (F.col("valid_to").isNull() | (F.col("_on") < F.col("valid_to")))
-    best = F.max(F.when(F.col("pattern").isNotNull(), F.struct(F.length("pattern").alias("n"), "pattern", "valid_from")))
-    met = asked.where("_key is not null").join(spans, held, "inner").groupBy("_row").agg(best.alias("b"))
-    out = rows.join(met, "_row", "left")
-    return out.select(*keep, "host", F.col("b").isNotNull().alias("blocked"), F.col("b.pattern").alias("pattern"), F.col("b.valid_from").alias("listed_on"))
+    met = asked.join(spans, held).groupBy("_row").agg(F.max(F.struct(F.length("pattern").alias("n"), "pattern", "valid_from")).alias("b"))
+    kept = [F.col(f"_keep.`{c}`").alias(f"{c}_given" if c in ANSWERS else c) for c in keep]
+    return rows.join(met, "_row", "left").select(*kept, "host", F.col("b").isNotNull().alias("blocked"), F.col("b.pattern").alias("pattern"), F.col("b.valid_from").alias("listed_on"))
 
 
 def dated_list(hosts: DataFrame) -> DataFrame:

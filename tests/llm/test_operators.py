@@ -348,6 +348,12 @@ def test_url_filters(spark):
     want = [(1, False, None), (2, True, "bad.example.com"), (3, False, None), (4, True, "bad.example.com"), (4, True, "bad.example.com"), (5, False, None), (6, True, "ok.net/spam"), (7, False, None), (8, False, None), (9, False, None), (10, False, None)]
     assert got == want
     assert urls.judge(c, e.limit(0), ["page_id"]).where("blocked").count() == 0
+    clash = urls.judge(c.withColumn("host", F.lit("mine")), e, ["page_id", "pattern", "host"])
+    assert clash.columns == ["page_id", "pattern_given", "host_given", *urls.ANSWERS]
+    assert sorted((r["page_id"], r["blocked"], r["pattern"]) for r in clash.collect()) == want and clash.where("host_given <> 'mine' or pattern_given <> 'clash'").count() == 0
+    # a plan whose rows come in another order at each run: the answers still belong to their rows
+    shuffled = urls.judge(c.repartition(5).withColumn("page_id", F.col("page_id")), e, ["page_id", "url"])
+    assert sorted((r["page_id"], r["blocked"], r["pattern"]) for r in shuffled.collect()) == want
     assert urls.judge(c.limit(0), e, ["page_id"]).count() == 0
 
 
