@@ -229,13 +229,60 @@ def test_license_scan(docs, none, spark):
     text = "é " * 50 + licenses.TEMPLATES["mit"].replace("including", "excluding").replace("furnished", "given away") + " tail"
     index = licenses.TemplateIndex(licenses.TEMPLATES)
     (hit,) = [m for m in index.scan(text) if m[0] == "mit"]
-    assert hit[3] >= 95 and text[hit[4] : hit[5]].startswith("Permission is") and text[hit[4] : hit[5]].endswith("Software")
+    assert hit[3] >= 95 and text[hit[4] : hit[5]].startswith("Permission is") and text[hit[4] : hit[5]].endswith("SOFTWARE")
+    assert "mit-permission" in {m[0] for m in index.scan(text)}
     assert index.scan("All sorts of words about rights and licenses, reserved for none.") == []
     twice = index.scan("Released under the MIT License. And again: released, under the mit license!")
     assert [m[0] for m in twice] == ["mit-notice"] * 2
     assert licenses.license_scan(none).count() == 0
 
 
+def most_aligned(want, text):
+    """By the whole table (2 a match, -1 a word left out, put in or changed): matched words of the best local alignment, and the longest run of words in common."""
+    one = 1 << 24  # a score and, behind it, the matched words
+    row, best = np.zeros(len(text), np.int64), 0
+    run, longest = np.zeros(len(text), np.int64), 0
+    steps = np.arange(len(text)) * one
+    for w in want:
+        before = np.concatenate([[0], row[:-1]])
+        cell = np.where(text == w, before + 2 * one + 1, np.maximum(before, row) - one)
+        cell = np.where(cell < one, 0, cell)
+        row = np.maximum.accumulate(cell + steps) - steps
+        row = np.where(row < one, 0, row)
+        best = max(best, int(row.max(initial=0)))
+        run = np.where(text == w, np.concatenate([[0], run[:-1]]) + 1, 0)
+        longest = max(longest, int(run.max(initial=0)))
+    return best % one, longest
+
+
+@needs_data
+def test_license_scan_against_whole_alignment(spark):
+    r = random.Random(8)
+    texts = [x["text"] for x in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("text").collect()]
+    for name, t in licenses.TEMPLATES.items():
+        for share in (0.02, 0.1, 0.15, 0.3):
+            words = [w if r.random() > share else r.choice(["", "other", w + " more"]) for w in t.split()]
+            texts.append("some text before it " * r.randrange(3) + " ".join(words) + " and after")
+    index = licenses.TemplateIndex(licenses.TEMPLATES)
+    hits = missed = 0
+    for t in texts:
+        found = collections.defaultdict(int)
+        for m in index.scan(t or ""):
+            found[m[0]] = max(found[m[0]], m[1])
+        ids = np.array([index.ids.get(w, 0) for w in re.findall("[a-z0-9]+", (t or "").translate(LOWER))], np.int64)
+        for name, want in zip(index.names, index.words):
+            best, run = most_aligned(want.tolist(), ids)
+            if best < max(licenses.GRAM, licenses.COVERAGE * len(want)):
+                assert name not in found
+                continue
+            hits += 1
+            sure = licenses.GRAM + (licenses.WINDOW - 1 if len(want) >= licenses.SHORT else 0)
+            if run >= sure:
+                assert found[name] == best, (name, t[:80])
+            missed += name not in found
+    assert hits > 80 and missed <= 0.02 * hits
+
+
 def test_every_template_is_found_by_itself():
     index = licenses.TemplateIndex(licenses.TEMPLATES)
     for name, text in licenses.TEMPLATES.items():
