@@ -4,6 +4,7 @@ import collections
 import hashlib
 import random
 import re
+import string
 import zlib
 from pathlib import Path
 
@@ -337,15 +338,51 @@ def test_secret_scan(docs, none):
 
 def test_novel_secrets():
     n = secrets.Novelty()
+    found = lambda text, base=(): [text[a:b] for a, b, _ in secrets.novel_spans(text, list(base), n)]
     key = "q7Zk3VxP9sLw2RtYb8NdJm4H"
-    text = f"client_id for the service: {key} and more words"
-    spans = secrets.novel_spans(text, [], n)
-    assert [text[a:b] for a, b, _ in spans] == [key]
-    plain = "the access token for environment_configuration_settings_2 is unset"
-    assert secrets.novel_spans(plain, [], n) == []
-    assert secrets.novel_spans(f"nothing of note {key}", [], n) == []
+    for text in (
+        f"client_id for the service: {key} and more words",
+        f"{key} is the bearer value of this build",
+        f"export CREDENTIAL={key}",
+        f"the private key:\n  {key}\nends here",
+        f"authorization: Bearer {key}, please rotate; again {key}",
+    ):
+        assert set(found(text)) == {key}, text
+    assert found('password = "xK9#mP2$vL5@nQ8w"') == ["xK9#mP2$vL5@nQ8w"]
+    assert found("passphrase 'WQZJXKVBGHPF'") == ["WQZJXKVBGHPF"]
+    assert found("the access token for environment_configuration_settings_2 is unset") == []
+    assert found("see the authorization header of the authentication request in documentation") == []
+    assert found(f"nothing of note {key}") == []
     base = secrets.base_spans(f"token = {key}")
-    assert [k for *_, k in base] == ["assign"] and secrets.novel_spans(f"token = {key}", base, n) == []
+    assert [k for *_, k in base] == ["assign"] and found(f"token = {key}", base) == []
+    assert found("") == [] and secrets.sensitive_stretches("token " * 1000) == [(0, 6000)]
+
+
+@needs_data
+def test_planted_secrets_in_the_given_documents(spark):
+    """Keys that no pattern covers, planted in whole given texts: recall, and what of the words around them is reported."""
+    r = random.Random(3)
+    kinds = {"letters and digits": string.ascii_letters + string.digits, "with marks": string.ascii_letters + string.digits + "#$@!%&*+-", "capitals": string.ascii_uppercase, "digits": string.digits}
+    rows, planted = [], {}
+    texts = [x["text"] for x in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").orderBy("doc_id").select("text").collect() if x["text"]]
+    for i, t in enumerate(texts):
+        kind = list(kinds)[i % len(kinds)]
+        key = "".join(r.choice(kinds[kind]) for _ in range(r.randrange(14, 33)))
+        label = r.choice(["credential {}", "bearer {}", "{} is the passphrase", "private key: '{}'", "signing_key -> {}"])
+        at = r.randrange(len(t) + 1)
+        rows.append((i, t[:at] + " " + label.format(key) + " " + t[at:]))
+        planted[i] = (kind, key)
+    hit, all_, false, words = collections.Counter(), collections.Counter(), 0, 0
+    for d in secrets.secret_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        text, (kind, key) = rows[d["doc_id"]][1], planted[d["doc_id"]]
+        spans = [x.split(":") for x in d["spans"].split(",") if x.startswith("novel")]
+        got = [text[int(a) : int(b)] for _, a, b in spans]
+        all_[kind] += 1
+        hit[kind] += key in got or any(text[a:b] in key or key in text[a:b] for a, b, _ in secrets.base_spans(text))  # a long run of digits is hex too
+        false += sum(x != key for x in got)
+        words += len(secrets.candidates(text)) - 1
+    assert all(hit[k] >= 0.9 * all_[k] for k in all_), (hit, all_)
+    assert false <= 0.05 * words, (false, words)
 
 
 def test_packing(docs, none):
