@@ -312,6 +312,25 @@ def test_knn(spark):
     assert knn.knn_join(empty, empty).count() == 0
 
 
+def test_knn_sends_what_is_needed(spark):
+    """Of clustered vectors each group gets the candidates within its rings, each query the bins within its bound; the result stays exact."""
+    r = np.random.default_rng(2)
+    centres = r.normal(size=(12, 6)) * 4
+    rows = [(i, (centres[i % 12] + r.normal(size=6) * 0.05).tolist()) for i in range(6000)]
+    ints = cut(knn.integer_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")), "v")
+    queries = cut(ints.where("vec_id % 100 = 0"), "q")
+    data, asked, _, facts = knn.voronoi_tiles(ints, queries, 10, shard=200, block=16)
+    n_bins = data.select("bin").distinct().count()
+    assert facts["groups"] > 1 and n_bins >= 5
+    assert data.count() < 0.5 * 6000 * facts["blocks"] and asked.count() < 0.5 * 60 * n_bins
+    v = {i: [int(np.floor(1024 * x)) for x in e] for i, e in rows}
+    want = []
+    for q in range(0, 6000, 100):
+        best = sorted((-sum(a * b for a, b in zip(v[q], v[j])), j) for j in v if j != q)[:10]
+        want += [(q, n, j, -s) for n, (s, j) in enumerate(best, 1)]
+    assert sorted(tuple(x)[1:] for x in knn.knn_join(ints, queries, shard=200, block=16).collect()) == sorted(want)
+
+
 def test_knn_of_huge_components(spark):
     df = spark.createDataFrame([(0, [1e15, 2.0]), (1, [3e14, -1.0]), (2, [-5e15, 4.0])], "vec_id long, embedding array<double>")
     v = cut(knn.integer_vectors(df), "v")
