@@ -3,7 +3,9 @@
 Sets are the distinct word shingles of whole texts, as 64-bit hashes. Two sets link at intersection >= 3/4 of union.
 
 1. Shingles are counted over the corpus in hashed buckets. A block of texts sends a shingle once, whatever
-   its copies there, so a shingle found everywhere costs a row per block, not per text. A set of n needs 3n/4 shingles
+   its copies there, so a shingle found everywhere costs an entry per block, not per text. Blocks and buckets both grow
+   with the root of the corpus, so that a block's part of a bucket stays ``ROW_ENTRIES`` entries or more: the rows exchanged
+   are linear in the corpus, the memory of a task follows its root. A set of n needs 3n/4 shingles
    in common with a partner; so if more than n/4 of its shingles occur in it alone, it has none and drops out.
    Else its rarest n/4 + 1 shingles, less those that are its own, are its keys: linked sets have a key in common.
 2. Equal sets become one class. Classes with a key in common, directly or by others, form a block (components by
@@ -12,12 +14,13 @@ Sets are the distinct word shingles of whole texts, as 64-bit hashes. Two sets l
    group counts, a node keeps the coordinate maxima of what is below. The overlap of two sets is at most the sum
    of their coordinate minima, and of a set and all below a node at most that with the node's maxima: subtrees that
    cannot reach the overlap needed are cut off, surviving pairs are verified on the sets. Pairs that the block has
-   joined already need no second proof. A block too large for one task is cut into pages by set size, and pages
+   joined already need no second proof. A block too large for one task is cut into pages of like set sizes, and pages
    are joined in pairs where their sizes permit a link.
 4. Links give components; each text's component is the smallest doc_id in it.
 
 Null and empty texts have no shingles and link with nothing. Rows that repeat an id are rows of their own and fall
-in classes by their text. A row without an id links like any other, and names no component.
+in classes by their text. A row without an id links like any other, and names no component. Very long texts are read
+whole, a block each; an empty table gives no rows. Only doc_id and text are read, so other columns never clash.
 """
 
 from __future__ import annotations
@@ -35,10 +38,12 @@ from pyspark.sql import types as T
 from componentry.functions.graphs import Graph, normalize_edges
 from componentry.llm.words import set_key, shingle_sets, text_blocks
 from componentry.operators.components import min_owner_balanced
-from componentry.plans.storage import cut, small_side
+from componentry.plans.storage import cut, release, small_side
 
 SIZE = 5
 BUCKET_ENTRIES = 1_000_000
+BLOCK_ENTRIES = 500_000
+ROW_ENTRIES = 64
 BLOCK_BYTES = 3 << 20
 MAX_BLOCK_SETS = 4096
 MAX_BLOCK_SHINGLES = 3_000_000
@@ -48,6 +53,7 @@ LEAF = 16
 _PARTS = T.StructType([T.StructField("bucket", T.LongType()), T.StructField("batch", T.LongType())] + [T.StructField(c, T.BinaryType()) for c in "abcdef"])
 _PROFILE = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("set_key", T.BinaryType()), T.StructField("keys", T.ArrayType(T.LongType()))])
 _SETS = T.StructType([T.StructField("set_key", T.BinaryType()), T.StructField("n", T.LongType()), T.StructField("shingles", T.BinaryType())])
+_PRUNED = T.StructType([T.StructField(n, T.LongType()) for n in ("sets", "pairs", "bounds", "verified")])
 _LINKS = T.StructType([T.StructField("src", T.BinaryType()), T.StructField("dst", T.BinaryType())])
 
 
@@ -57,45 +63,63 @@ def _rows(schema: T.StructType, rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, kinds[f.dataType]) for c, f in zip(cols, schema.fields, strict=True)], names=schema.names)
 
 
-def _bucket_bits(docs: DataFrame) -> int:
-    """log2 of the number of buckets, from the plan's own estimate of the input's bytes."""
+def _exchange(docs: DataFrame) -> tuple[int, int]:
+    """(log2 of the number of buckets, shingles of a block of texts), from the input's bytes."""
     size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    return min(24, max(2, math.ceil(math.log2(max(4, min(size, 1 << 60) / 4 / BUCKET_ENTRIES)))))
-
-
-def _deal(bits: int, size: int):
-    """Per block of texts: a row for each bucket, and one with the texts' own facts."""
+    if size >= 1 << 60:  # the plan has no statistics: count
+        size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    shingles = max(1, size // 4)
+    even = math.isqrt(ROW_ENTRIES * shingles)
+    return max(2, math.ceil(math.log2(max(1, shingles / max(BUCKET_ENTRIES, even))))), max(BLOCK_ENTRIES, even)
+
+
+def _docs_of(raw: bytes, entries: int) -> np.ndarray:
+    """Numbers of texts, in two bytes each where a block has few of them."""
+    return np.frombuffer(raw, np.uint16 if len(raw) == 2 * entries else np.uint32).astype(np.int64)
+
+
+def _deal(bits: int, most: int, size: int):
+    """Per block of texts, of ``most`` shingles: a row for each bucket that it has a part of, and one with the texts' own facts."""
+
+    def rows_of(held: list[tuple], serial: int) -> pa.RecordBatch:
+        ids, valid, keys = (b"".join(x[i] for x in held) for i in range(3))
+        n, hashes = (np.concatenate([x[i] for x in held]) for i in (3, 4))
+        doc = np.repeat(np.arange(len(n), dtype=np.uint16 if len(n) <= 1 << 16 else np.uint32), n)
+        order = np.argsort(hashes, kind="stable")
+        kept, doc = hashes[order] >> np.uint64(32 - bits), doc[order]
+        first = np.flatnonzero(np.concatenate([[True], kept[1:] != kept[:-1]])) if len(kept) else np.zeros(0, np.int64)
+        times = np.diff(np.append(first, len(kept)))
+        alone = times == 1
+        lone, many = first[alone], first[~alone]
+        many_times = times[~alone].astype(np.uint32)
+        low = kept.astype(np.uint32)
+        bucket = (kept >> np.uint64(32)).astype(np.int64)
+        present = np.unique(bucket)
+        cuts = [(np.searchsorted(bucket[at], present), np.searchsorted(bucket[at], present, "right")) for at in (lone, many)]
+        rows = []
+        for k, a, b, c, d in zip(present.tolist(), *(x.tolist() for pair in cuts for x in pair), strict=True):
+            rows.append((k, serial, low[lone[a:b]].tobytes(), doc[lone[a:b]].tobytes(), low[many[c:d]].tobytes(), many_times[c:d].tobytes(), None, None))
+        inside = np.repeat(~alone, times)
+        rows.append((-1 - serial, serial, ids, valid, n.astype(np.int64).tobytes(), keys, kept[inside].tobytes(), doc[inside].tobytes()))
+        return _rows(_PARTS, rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         serial = TaskContext.get().partitionId() << 32
+        held, entries = [], 0
         for batch in batches:
             for a, b in text_blocks(batch, "text", BLOCK_BYTES, 60_000):
                 part = batch.slice(a, b - a)
                 hashes, offsets = shingle_sets(part["text"], size)
                 n = np.diff(offsets)
                 keys = b"".join(set_key(hashes[offsets[i] : offsets[i + 1]]) for i in range(len(n)))
-                doc = np.repeat(np.arange(len(n), dtype=np.uint16), n)
-                order = np.argsort(hashes, kind="stable")
-                ids, doc = hashes[order] >> np.uint64(32 - bits), doc[order]
-                first = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]])) if len(ids) else np.zeros(0, np.int64)
-                times = np.diff(np.append(first, len(ids)))
-                alone = times == 1
-                lone, many = first[alone], first[~alone]
-                low = ids.astype(np.uint32)
-                bucket = (ids >> np.uint64(32)).astype(np.int64)
-                lone_at = np.searchsorted(bucket[lone], np.arange((1 << bits) + 1))
-                many_at = np.searchsorted(bucket[many], np.arange((1 << bits) + 1))
-                many_times = times[~alone].astype(np.uint32)
-                rows = []
-                for k in range(1 << bits):
-                    s, m = slice(lone_at[k], lone_at[k + 1]), slice(many_at[k], many_at[k + 1])
-                    if s.start < s.stop or m.start < m.stop:
-                        rows.append((k, serial, low[lone[s]].tobytes(), doc[lone[s]].tobytes(), low[many[m]].tobytes(), many_times[m].tobytes(), None, None))
-                inside = np.repeat(~alone, times)
                 doc_ids = part["doc_id"]
-                rows.append((-1 - serial, serial, doc_ids.fill_null(0).to_numpy().tobytes(), doc_ids.is_valid().to_numpy(zero_copy_only=False).tobytes(), n.astype(np.int64).tobytes(), keys, ids[inside].tobytes(), doc[inside].tobytes()))
-                yield _rows(_PARTS, rows)
-                serial += 1
+                held.append((doc_ids.fill_null(0).to_numpy().tobytes(), doc_ids.is_valid().to_numpy(zero_copy_only=False).tobytes(), keys, n, hashes))
+                entries += len(hashes) + len(n)
+                if entries >= most:
+                    yield rows_of(held, serial)
+                    held, entries, serial = [], 0, serial + 1
+        if held:
+            yield rows_of(held, serial)
 
     return run
 
@@ -107,7 +131,8 @@ def _count(key: tuple, table: pa.Table) -> pa.Table:
         return table
     rows = table.to_pylist()
     read = lambda name, kind: [np.frombuffer(r[name], kind) for r in rows]
-    lone, docs, many, times = read("a", np.uint32), read("b", np.uint16), read("c", np.uint32), read("d", np.uint32)
+    lone, many, times = read("a", np.uint32), read("c", np.uint32), read("d", np.uint32)
+    docs = [np.frombuffer(r["b"], np.uint16 if len(r["b"]) == 2 * len(x) else np.uint32) for r, x in zip(rows, lone, strict=True)]
     every = np.concatenate([*lone, *many])
     weight = np.concatenate([np.ones(sum(map(len, lone)), np.int64), *(t.astype(np.int64) for t in times)])
     order = np.argsort(every, kind="stable")
@@ -135,11 +160,13 @@ def _choose(key: tuple, table: pa.Table) -> pa.Table:
     home = next(r for r in rows if r["bucket"] < 0)
     rest = [r for r in rows if r["bucket"] >= 0]
     read = lambda name, kind: np.concatenate([np.zeros(0, kind), *(np.frombuffer(r[name], kind) for r in rest)])
-    ids, doc, count = read("a", np.uint64), read("b", np.uint16), read("c", np.uint32)
+    ids, count = read("a", np.uint64), read("c", np.uint32)
+    doc = np.concatenate([np.zeros(0, np.int64), *(_docs_of(r["b"], len(r["a"]) // 8) for r in rest)])
     many, many_count = read("d", np.uint64), read("e", np.uint32)
     order = np.argsort(many)
     many, many_count = many[order], many_count[order]
-    own, own_doc = np.frombuffer(home["e"], np.uint64), np.frombuffer(home["f"], np.uint16)
+    own = np.frombuffer(home["e"], np.uint64)
+    own_doc = _docs_of(home["f"], len(own))
     ids, doc = np.concatenate([ids, own]), np.concatenate([doc, own_doc])
     count = np.concatenate([count, many_count[np.searchsorted(many, own)]])
     n = np.frombuffer(home["c"], np.int64)
@@ -160,7 +187,7 @@ def _choose(key: tuple, table: pa.Table) -> pa.Table:
 def set_profiles(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """(doc_id, n_shingles, set_key, keys) of each row of ``docs`` (doc_id, text); keys null where no partner can exist."""
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    parts = src.mapInArrow(_deal(_bucket_bits(src), size), _PARTS)
+    parts = src.mapInArrow(_deal(*_exchange(src), size), _PARTS)
     counted = parts.groupBy("bucket").applyInArrow(_count, _PARTS)
     return counted.groupBy("batch").applyInArrow(_choose, _PROFILE)
 
@@ -178,6 +205,7 @@ class CountTree:
         # neighbours in the order share size and the largest coordinates, so that maxima stay tight
         self.order = np.lexsort((points.argmax(1), n))
         self.points, self.n, self.leaf = points[self.order], n[self.order], leaf
+        self.pairs = self.tested = self.verified = 0  # of all pairs: bounds computed, sets compared
         self.levels = []
         high, low, top = self.points, self.n, self.n
         while len(high) > leaf:
@@ -188,6 +216,7 @@ class CountTree:
     def _may(self, i: int, high: np.ndarray, low: np.ndarray, top: np.ndarray) -> np.ndarray:
         """Whether set i can link with something under the maxima ``high`` of sizes low to top."""
         size = self.n[i]
+        self.tested += len(high)
         # an overlap of 3/7 of both sizes is needed, and sizes within 3/4 of each other
         return (4 * top >= 3 * size) & (3 * low <= 4 * size) & (7 * np.minimum(high, self.points[i]).sum(1) >= 3 * (size + low))
 
@@ -215,14 +244,15 @@ def linked(a: np.ndarray, b: np.ndarray) -> bool:
     return 100 * both >= 75 * (len(a) + len(b) - both)
 
 
-def join_sets(sets: list[np.ndarray]) -> np.ndarray:
+def join_sets(sets: list[np.ndarray], tree: CountTree | None = None) -> np.ndarray:
     """Label of each set: sets that links join, through any others here, share one."""
-    tree = CountTree(sets)
+    tree = tree or CountTree(sets)
     label = np.arange(len(sets))
     for i in range(1, len(sets)):
         at = tree.partners(i)
         while len(at := at[label[at] != label[i]]):
             j = at[-1]
+            tree.verified += 1
             if linked(sets[tree.order[i]], sets[tree.order[j]]):
                 label[label == label[j]] = label[i]
             at = at[:-1]
@@ -231,28 +261,43 @@ def join_sets(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _solve(key: tuple, table: pa.Table) -> pa.Table:
-    """Links of the blocks in one bin: each set with the first of its label."""
+def _blocks_of(table: pa.Table) -> Iterator[tuple[list, list[np.ndarray]]]:
+    """(set keys, sets) of each block of two sets or more in a bin."""
     block = np.array(table["block"].to_pylist(), object)
     keys, raw = table["set_key"].to_pylist(), table["shingles"].to_pylist()
     order = sorted(range(len(keys)), key=lambda i: (block[i], keys[i]))
-    out, at = [], 0
+    at = 0
     while at < len(order):
         end = at
         while end < len(order) and block[order[end]] == block[order[at]]:
             end += 1
         own = order[at:end]
         at = end
-        if len(own) < 2:
-            continue
-        heads: dict[int, int] = {}
-        for i, x in zip(own, join_sets([np.frombuffer(raw[i], np.uint64) for i in own]), strict=True):
-            head = heads.setdefault(int(x), i)
-            if head != i:
-                out.append((keys[head], keys[i]))
+        if len(own) > 1:
+            yield [keys[i] for i in own], [np.frombuffer(raw[i], np.uint64) for i in own]
+
+
+def _solve(key: tuple, table: pa.Table) -> pa.Table:
+    """Links of the blocks in one bin: each set with the first of its label."""
+    out = []
+    for keys, sets in _blocks_of(table):
+        heads: dict[int, bytes] = {}
+        for k, x in zip(keys, join_sets(sets).tolist(), strict=True):
+            if heads.setdefault(x, k) != k:
+                out.append((heads[x], k))
     return pa.Table.from_batches([_rows(_LINKS, out)])
 
 
+def _prune(key: tuple, table: pa.Table) -> pa.Table:
+    """What the tree does in the blocks of one bin: sets, pairs, bounds computed, pairs verified."""
+    total = np.zeros(4, np.int64)
+    for _, sets in _blocks_of(table):
+        tree = CountTree(sets)
+        join_sets(sets, tree)
+        total += (len(sets), len(sets) * (len(sets) - 1) // 2, tree.tested, tree.verified)
+    return pa.table({n: [int(x)] for n, x in zip(_PRUNED.names, total, strict=True)})
+
+
 def _blocks(classes: DataFrame) -> DataFrame:
     """(set_key, block) of the classes that share a key with another."""
     keyed = classes.select("set_key", F.explode("keys").alias("key"))
@@ -272,9 +317,22 @@ def _sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.select("text").mapInArrow(run, _SETS)
 
 
-def near_duplicates(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """(doc_id, n_shingles, component_id), a row for each row of ``docs`` (doc_id, text)."""
-    src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+def _pages(placed: DataFrame) -> DataFrame:
+    """(set_key, block, bin, a, b): the sets of large blocks in pages of like size, each with every page whose sizes permit a link."""
+    level = F.floor(F.log("n") / math.log(4 / 3))
+    rows = placed.withColumn("level", level)
+    parts = rows.groupBy("block", "level").agg(F.ceil(F.count(F.lit(1)) / PAGE_SETS).alias("parts"))
+    page = F.col("level") * (1 << 32) + F.pmod(F.xxhash64("set_key"), F.col("parts"))
+    paged = cut(rows.join(parts, ["block", "level"]).select("set_key", "block", "n", page.alias("page")), "pages")
+    pages = paged.groupBy("block", "page").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
+    other = pages.select("block", F.col("page").alias("b"), F.col("lo").alias("lo_b"), F.col("hi").alias("hi_b"))
+    pairs = pages.join(other, "block").where("b >= page and 3 * lo_b <= 4 * hi and 3 * lo <= 4 * hi_b").select("block", F.col("page").alias("a"), "b")
+    both = [paged.withColumnRenamed("page", end).join(pairs if end == "a" else pairs.where("a <> b"), ["block", end]) for end in ("a", "b")]
+    return both[0].unionByName(both[1]).select("set_key", "block", F.xxhash64("block").alias("bin"), "a", "b")
+
+
+def _candidates(src: DataFrame, size: int) -> tuple[DataFrame, DataFrame, DataFrame, list[DataFrame]]:
+    """(profiles, classes, sets by the bin in which they are joined, cuts that the last reads)."""
     profiles = cut(set_profiles(src, size), "profiles")
     classes = cut(profiles.where("n_shingles > 0").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("keys", ignorenulls=True).alias("keys")), "classes")
     blocks = cut(_blocks(classes.where("keys is not null")).join(classes.select("set_key", "rep", "n"), "set_key"), "blocks")
@@ -287,26 +345,31 @@ def near_duplicates(docs: DataFrame, size: int = SIZE) -> DataFrame:
     placed = blocks.join(totals.select("block", "large"), "block").select("set_key", "block", "large", "n")
     bins = max(1, facts["small"] // 400_000)
     sets = _sets(again, size).select("set_key", "shingles").dropDuplicates(["set_key"])
-    where = placed.where("not large").select("set_key", "block", F.pmod(F.xxhash64("block"), F.lit(bins)).alias("bin"), F.lit(-1).alias("a"), F.lit(-1).alias("b"))
+    none = F.lit(-1).cast("long")
+    where = placed.where("not large").select("set_key", "block", F.pmod(F.xxhash64("block"), F.lit(bins)).alias("bin"), none.alias("a"), none.alias("b"))
     if facts["large"]:
-        rank = F.row_number().over(Window.partitionBy("block").orderBy("n", "set_key"))
-        paged = cut(placed.where("large").withColumn("page", F.floor((rank - 1) / PAGE_SETS).cast("int")), "pages")
-        pages = paged.groupBy("block", "page").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
-        other = pages.select("block", F.col("page").alias("b"), F.col("lo").alias("lo_b"))
-        pairs = pages.join(other, "block").where("b >= page and 3 * lo_b <= 4 * hi").select("block", F.col("page").alias("a"), "b")
-        for end in ("a", "b"):
-            own = pairs if end == "a" else pairs.where("a <> b")
-            spread = paged.withColumnRenamed("page", end).join(own, ["block", end])
-            where = where.unionByName(spread.select("set_key", "block", F.xxhash64("block").alias("bin"), "a", "b"))
-    found = sets.join(where, "set_key").groupBy("bin", "a", "b").applyInArrow(_solve, _LINKS)
-    links = cut(normalize_edges(found), "links")
+        where = where.unionByName(_pages(placed.where("large")))
+    return profiles, classes, sets.join(where, "set_key"), [blocks, wanted, totals]
+
+
+def near_duplicates(docs: DataFrame, size: int = SIZE) -> DataFrame:
+    """(doc_id, n_shingles, component_id), a row for each row of ``docs`` (doc_id, text)."""
+    profiles, classes, joined, held = _candidates(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), size)
+    links = cut(normalize_edges(joined.groupBy("bin", "a", "b").applyInArrow(_solve, _LINKS)), "links")
     labels = min_owner_balanced(Graph(links), stats=False).components.select(F.col("id").alias("set_key"), F.col("component").alias("label"))
     named = cut(classes.select("set_key", "rep").join(labels, "set_key", "left").select("set_key", "rep", F.coalesce("label", "set_key").alias("label")), "named")
     least = named.groupBy("label").agg(F.min("rep").alias("component_id"))
     book = named.join(least, "label").select("set_key", "component_id")
+    release(*held, links, classes)
     return profiles.join(book, "set_key", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
+def tree_work(docs: DataFrame, size: int = SIZE) -> DataFrame:
+    """One row: sets in blocks, their pairs, the bounds that the R-trees compute instead, and the pairs left to verify."""
+    _, _, joined, _ = _candidates(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), size)
+    return joined.groupBy("bin", "a", "b").applyInArrow(_prune, _PRUNED).agg(*(F.sum(c).alias(c) for c in _PRUNED.names))
+
+
 def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` (all columns) with one document of each class of near duplicates: that with the smallest doc_id.
 
