@@ -1,6 +1,8 @@
 """A corpus pipeline: quality rules, line dedup, near duplicates, source mix, packing.
 
-Each stage works on all that its predecessor kept; all but the last return the columns of ``documents``.
+Each stage works on all that its predecessor kept; all but the last return the columns of ``documents``, whatever
+further columns there are. Every stage gives no rows for no rows, reads whole texts however long, and treats repeated
+rows and ties alike at every run.
 """
 
 from __future__ import annotations
@@ -12,27 +14,39 @@ from componentry.plans.storage import cut
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that pass the base rules and the adaptive thresholds."""
+    """Documents that pass the base rules and the adaptive thresholds of their language and source.
+
+    Null and empty texts have no words and go. Null language or source: a group of its own. Repeated rows are judged alike.
+    """
     return quality.keep_good(docs)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without their source's boilerplate lines."""
+    """Documents without their source's boilerplate lines; no row goes.
+
+    Null texts stay null, a text all of boilerplate becomes empty; rows without a source form one site.
+    """
     return lines.drop_boilerplate(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near duplicates."""
+    """One document of each class of near duplicates, that with the smallest doc_id.
+
+    Of rows that repeat id and text one stays; texts without a word and rows without an id stay as they are.
+    """
     return jaccard.keep_one(docs)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them."""
+    """Documents as often as the mix takes them, in its order within each part.
+
+    Texts without a word are never taken; rows without a source are a source; repeated rows are documents of their own.
+    """
     return mixing.mixed_documents(docs)
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sequences of token pieces."""
+    """Sequences of token pieces; a null or empty text is the end id alone, repeated rows are packed each."""
     return packing.pack_documents(docs)
 
 
