@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import time
+import uuid
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,33 +23,47 @@ def label_prop_baseline(g: Graph, *, order: str = "natural", seed: int = 42, blo
 
 
 def superstep_min(g: Graph, *, supersteps: int = 8, max_rounds: int = 10_000, **opts) -> RunResult:
-    """neighbor_min with resident state: adjacency and labels stay cached and dealt alike; files are written every ``supersteps`` rounds only."""
-    import time
+    """neighbor_min with resident state: adjacency and labels stay cached and dealt alike; files are written every ``supersteps`` rounds only.
+
+    Every id tells every neighbour its label in each superstep, so a round's messages are the adjacency's rows.
+    """
+    from componentry.operators.components import resident
 
-    spark = g.edges.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    nbrs = adjacency(g.edges).repartition(parts, "id").persist()
-    labels = g.ids.select("id", F.col("id").alias("label")).repartition(parts, "id").persist()
+    parts = int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     stats, rounds = [], 0
-    while True:
-        if rounds >= max_rounds:
-            raise NotConverged(f"superstep: no end after {rounds} rounds", stats)
-        rounds += 1
-        began = time.perf_counter()
-        sent = nbrs.join(labels, "id").groupBy(F.col("nbr").alias("id")).agg(F.min("label").alias("heard"))
-        new = labels.join(sent, "id", "left").select("id", F.least("label", "heard").alias("label"), (F.col("heard") < F.col("label")).alias("moved"))
-        keep = cut(new, "superstep") if rounds % supersteps == 0 else new.persist()
-        moved = keep.agg(F.count_if("moved").alias("m"), F.count(F.lit(1)).alias("n")).first()
-        labels.unpersist()
-        labels = keep.select("id", "label")
-        stats.append({"run": "superstep", "round": rounds, "phase": "round", "messages_emitted": moved["n"], "state_rows": moved["n"], "changed": moved["m"] > 0, "seconds": round(time.perf_counter() - began, 3)})
-        if not moved["m"]:
-            break
-    out = cut(labels, "superstep")
-    nbrs.unpersist()
+    with resident(g) as nbrs:
+        sent_rows = nbrs.count()
+        held = g.ids.select("id", F.col("id").alias("label"), F.lit(uuid.uuid4().hex).alias("run")).drop("run").repartition(parts, "id").persist()
+        labels = held
+        try:
+            while True:
+                if rounds >= max_rounds:
+                    raise NotConverged(f"superstep: no end after {rounds} rounds", stats)
+                rounds += 1
+                began = time.perf_counter()
+                heard = nbrs.join(labels, "id").groupBy(F.col("nbr").alias("id")).agg(F.min("label").alias("heard"))
+                new = labels.join(heard, "id", "left").select("id", F.least("label", "heard").alias("label"), (F.col("heard") < F.col("label")).alias("moved"))
+                fresh = cut(new, "superstep") if rounds % supersteps == 0 else new.persist()
+                moved = fresh.agg(F.count_if("moved").alias("m"), F.count(F.lit(1)).alias("n")).first()
+                _let_go(held)
+                held, labels = fresh, fresh.select("id", "label")
+                stats.append({"run": "superstep", "round": rounds, "phase": "round", "messages_emitted": sent_rows, "state_rows": moved["n"], "changed": moved["m"] > 0, "seconds": round(time.perf_counter() - began, 3)})
+                if not moved["m"]:
+                    break
+            out = cut(labels, "superstep")
+        finally:
+            _let_go(held)
     return RunResult(out.select("id", F.col("label").alias("component")), stats)
 
 
+def _let_go(held: DataFrame) -> None:
+    """Free a cached frame, or delete the files of a cut."""
+    if hasattr(held, "_componentry_path"):
+        release(held)
+    else:
+        held.unpersist()
+
+
 def exact_components_local(g: Graph, *, row_cap: int = 5_000_000) -> dict:
     """Union-find on the driver, for tests and tiny graphs: id -> least id. Refuses more than ``row_cap`` edges."""
     if g.edges.limit(row_cap + 1).count() > row_cap:
@@ -60,21 +77,26 @@ def exact_components_local(g: Graph, *, row_cap: int = 5_000_000) -> dict:
 
 
 def recursive_cte_components(edges: DataFrame, depth: int = 8) -> DataFrame:
-    """Least id within ``depth`` hops by a recursive SQL query: exact for components of no larger radius.
+    """Least id within ``depth`` hops by a recursive SQL query, for tiny graphs; NotConverged if the last hop still lowered a label.
 
-    The engine's recursion has UNION ALL only, so paths are expanded up to the bound; for tiny graphs.
+    The engine's recursion has UNION ALL only, so paths are expanded up to the bound.
     """
     spark = edges.sparkSession
     nbrs = cut(adjacency(edges), "cte")
-    nbrs.createOrReplaceTempView("_cte_nbrs")
-    out = spark.sql(
+    view = f"_cte_nbrs_{uuid.uuid4().hex}"
+    nbrs.createOrReplaceTempView(view)
+    found = spark.sql(
         f"""WITH RECURSIVE reach(id, seen, hops) AS (
-              SELECT DISTINCT id, id AS seen, 0 FROM _cte_nbrs
+              SELECT DISTINCT id, id AS seen, 0 FROM {view}
               UNION ALL
-              SELECT n.nbr, r.seen, r.hops + 1 FROM reach r JOIN _cte_nbrs n ON n.id = r.id WHERE r.hops < {int(depth)} AND r.seen < n.nbr)
-            SELECT id, min(seen) AS component FROM reach GROUP BY id"""
+              SELECT n.nbr, r.seen, r.hops + 1 FROM reach r JOIN {view} n ON n.id = r.id WHERE r.hops < {int(depth)} AND r.seen < n.nbr)
+            SELECT id, min(seen) AS component, min(CASE WHEN hops < {int(depth)} THEN seen END) AS earlier FROM reach GROUP BY id"""
     )
-    return out
+    out = cut(found, "cte")
+    spark.catalog.dropTempView(view)
+    if not out.where("component < earlier").isEmpty():
+        raise NotConverged(f"recursive query: labels still fall at hop {depth}", [])
+    return out.select("id", "component")
 
 
 __all__ = ["exact_components_local", "label_prop_baseline", "recursive_cte_components", "release", "superstep_min"]

@@ -6,7 +6,9 @@ All return RunResult with ``components(id, component)``, component = least id (i
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -18,6 +20,7 @@ from componentry.plans.rounds import Loop, NotConverged, RunResult, export_by_la
 from componentry.plans.storage import cut, release, small_side
 
 TAU = 100_000
+HUB_ROWS = 1024
 
 
 def _ordered(g: Graph, order: str, seed: int, run: Callable[[Graph], RunResult]) -> RunResult:
@@ -38,10 +41,20 @@ def _loop(name: str, opts: dict) -> Loop:
     return Loop(name, **{k: v for k, v in opts.items() if k in ("max_rounds", "detect", "row_cap", "stats")})
 
 
-def _resident(nbrs: DataFrame) -> DataFrame:
-    """Adjacency dealt by id once and kept so, on disk where memory lacks: rounds move labels, never edges."""
+@contextmanager
+def resident(g: Graph) -> Iterator[DataFrame]:
+    """Adjacency dealt by id once and kept so, on disk where memory lacks: rounds move labels, never edges.
+
+    The cache knows frames by their plans; a mark that is true of every row makes this one the run's own, so that
+    runs side by side over one graph do not drop each other's.
+    """
+    nbrs = adjacency(g.edges).where(F.lit(uuid.uuid4().hex) != "")
     parts = int(nbrs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return nbrs.repartition(parts, "id").persist()
+    nbrs = nbrs.repartition(parts, "id").persist()
+    try:
+        yield nbrs
+    finally:
+        nbrs.unpersist()
 
 
 def neighbor_min(g: Graph, *, order: str = "natural", seed: int = 42, frontier: bool = False, **opts) -> RunResult:
@@ -49,20 +62,20 @@ def neighbor_min(g: Graph, *, order: str = "natural", seed: int = 42, frontier:
 
     def run(g: Graph) -> RunResult:
         loop = _loop("neighbor_min", {"max_rounds": 10_000} | opts)
-        nbrs = _resident(adjacency(g.edges))
         loop.start(init_self(g.ids).withColumn("fresh", F.lit(True)))
 
-        def send(state: DataFrame) -> DataFrame:
-            live = state.where("fresh") if frontier else state
-            own = state.select("key", "member", F.lit(True).alias("own"))
-            return own.unionByName(emit.neighbor_min(live, nbrs).withColumn("own", F.lit(False)))
-
         def merge(messages: DataFrame) -> DataFrame:
             seen = messages.groupBy("key").agg(F.min("member").alias("member"), F.min(F.when(F.col("own"), F.col("member"))).alias("was"))
             return seen.select("key", "member", (F.col("member") < F.col("was")).alias("fresh"))
 
-        loop.until_stable(send, merge)
-        nbrs.unpersist()
+        with resident(g) as nbrs:
+
+            def send(state: DataFrame) -> DataFrame:
+                live = state.where("fresh") if frontier else state
+                own = state.select("key", "member", F.lit(True).alias("own"))
+                return own.unionByName(emit.neighbor_min(live, nbrs).withColumn("own", F.lit(False)))
+
+            loop.until_stable(send, merge)
         return RunResult(loop.state.select(F.col("key").alias("id"), F.col("member").alias("component")), loop.stats)
 
     return _ordered(g, order, seed, run)
@@ -144,18 +157,40 @@ def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract:
     return _ordered(g, order, seed, run)
 
 
+def _splitting(loop: Loop) -> Callable[[DataFrame], DataFrame]:
+    """A merge step that spreads the rows of hubs: keys with over four times a partition's even share of the messages.
+
+    Hubs are looked for where one is to be expected: at the start, and once the largest cluster comes near that share.
+    Fewer than a quarter as many keys as partitions can be hubs, so their list is small.
+    """
+
+    def merge(messages: DataFrame) -> DataFrame:
+        parts = int(messages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        rows = loop.stats[-1]["state_rows"] if loop.stats else messages.count()
+        even = max(HUB_ROWS, 4 * 2 * rows // parts)
+        if rows > even and (not loop.stats or 4 * loop.largest > even):
+            hubs = cut(messages.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > even).select("key"), "hubs")
+            if not hubs.isEmpty():
+                return emit.merge_split(messages, hubs, min(parts, 64))
+        return emit.merge_union(messages, size=True)
+
+    return merge
+
+
 def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural", seed: int = 42, precontract: bool = False, **opts) -> RunResult:
     """min_owner in which clusters over ``tau`` keep their upper half, then the plain method over the clusters found.
 
-    No key gathers much more than tau rows in a round of the first stage, so no task grows with the largest component.
+    ``tau`` bounds what a cluster sends on, not what a key holds: a hub holds its neighbours from the start. The rows of
+    such keys are dealt over many tasks (see ``_splitting``), so no task grows with the largest component.
     """
 
     def run(g: Graph) -> RunResult:
         g = _contracted(g, precontract)
         first = _loop("min_owner_balanced", opts)
-        first.start(emit.merge_union(init_closed(g), size=True))
+        merge = _splitting(first)
+        first.start(merge(init_closed(g)))
         most = tau if tau is not None else (1 << 62)
-        first.until_stable(lambda s: emit.min_owner_balanced(s, most), lambda m: emit.merge_union(m, size=True), "stage 1")
+        first.until_stable(lambda s: emit.min_owner_balanced(s, most), merge, "stage 1")
         if first.state.where(F.col("size") > most).isEmpty():
             # no key kept anything back: this is a fixed point of the plain method
             return RunResult(export_owner_clusters(first.state), first.stats, {"stage1_rounds": first.rounds, "stage2_rounds": 0})
@@ -167,8 +202,9 @@ def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural
         release(first.state)
         heads = named.select(F.col("component").alias("id")).distinct()
         second = _loop("min_owner_balanced", opts)
-        second.start(emit.merge_union(init_closed(Graph(quotient, heads))), "stage 2")
-        second.until_stable(emit.min_owner, emit.merge_union, "stage 2")
+        merge = _splitting(second)
+        second.start(merge(init_closed(Graph(quotient, heads))), "stage 2")
+        second.until_stable(emit.min_owner, merge, "stage 2")
         book = export_owner_clusters(second.state).select(F.col("id").alias("head"), "component")
         out = named.withColumnRenamed("component", "head").join(small_side(book), "head").select("id", "component")
         stats = first.stats + second.stats
@@ -187,28 +223,23 @@ def upper_core(g: Graph, *, order: str = "natural", seed: int = 42, repair: str
 
     def run(g: Graph) -> RunResult:
         loop = _loop("upper_core", {"max_rounds": 300} | opts)
-        nbrs = _resident(adjacency(g.edges))
-        start = init_self(g.ids)
-        loop.start(start)
-        keep = lambda state: lambda m: emit.merge_keep_plus_min(state, m)
+        loop.start(emit.with_owner(init_self(g.ids)))
+
+        def grow(**told: bool) -> None:
+            state = loop.state
+            loop.step(lambda s: emit.tell(s, nbrs, **told), lambda m: emit.merge_keep_plus_min(state, m), "grow", compare=False)
 
         def last(state: DataFrame) -> DataFrame:
-            sent = emit.upper_core(emit.with_owner(state))
+            sent = emit.upper_core(state)
             return sent.unionByName(state.select("key", F.col("key").alias("member")).distinct()) if keep_self else sent
 
-        while True:
-            state = loop.state
-            before = cut(state.groupBy("key").agg(F.min("member").alias("before")), "before")
-            loop.step(lambda s: emit.neighbor_min(s, nbrs, wide=repair == "wide"), keep(state), "grow", compare=False)
-            state = loop.state
-            told = state.join(before, "key") if repair == "root_forward" else state
-            loop.step(lambda s, told=told: emit.neighbor_min(told, nbrs, root_forward=repair == "root_forward", wide=repair == "wide"), keep(state), "grow", compare=False)
-            changed = loop.step(last, lambda m: m.repartition("key").dropDuplicates(["key", "member"]), "core")
-            release(before)
-            if not changed:
-                break
-        nbrs.unpersist()
-        return RunResult(export_by_label(loop.state), loop.stats, {"repair": repair})
+        with resident(g) as nbrs:
+            while True:
+                grow(wide=repair == "wide")
+                grow(wide=repair == "wide", root_forward=repair == "root_forward")
+                if not loop.step(last, emit.merge_union, "core"):
+                    break
+        return RunResult(loop.state.where("member = owner").select(F.col("key").alias("id"), F.col("owner").alias("component")), loop.stats, {"repair": repair})
 
     return _ordered(g, order, seed, run)
 
@@ -216,17 +247,16 @@ def upper_core(g: Graph, *, order: str = "natural", seed: int = 42, repair: str
 def hybrid_mode_switch(g: Graph, *, tau: int = TAU, **opts) -> RunResult:
     """upper_core whose large clusters fall back to labels: keys over ``tau`` members, and their members, keep the least id only."""
     loop = _loop("hybrid_mode_switch", {"max_rounds": 10_000} | opts)
-    nbrs = _resident(adjacency(g.edges))
     loop.start(emit.with_owner(init_self(g.ids), size=True))
+    with resident(g) as nbrs:
 
-    def send(state: DataFrame) -> DataFrame:
-        least = state.select("key", F.col("owner").alias("member")).distinct()
-        flood = emit.neighbor_min(state.select("key", "member"), nbrs)
-        held = state.where(f"size <= {tau} and member >= key")
-        return least.unionByName(flood).unionByName(emit.pairs(held, ("owner", "member"), ("member", "owner")))
+        def send(state: DataFrame) -> DataFrame:
+            least = state.select("key", F.col("owner").alias("member")).distinct()
+            flood = emit.neighbor_min(state.select("key", "member"), nbrs)
+            held = state.where(f"size <= {tau} and member >= key")
+            return least.unionByName(flood).unionByName(emit.pairs(held, ("owner", "member"), ("member", "owner")))
 
-    loop.until_stable(send, lambda m: emit.merge_union(m, size=True))
-    nbrs.unpersist()
+        loop.until_stable(send, lambda m: emit.merge_union(m, size=True))
     # labels settle by flooding; whatever clusters hold beyond that is dropped at the end
     return RunResult(export_by_label(loop.state), loop.stats)
 

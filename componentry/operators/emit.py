@@ -58,6 +58,17 @@ def min_owner_balanced(state: DataFrame, tau: int) -> DataFrame:
     return pairs(state.withColumn("to", to), ("to", "member"), ("member", "to"))
 
 
+def tell(state: DataFrame, nbrs: DataFrame, root_forward: bool = False, wide: bool = False) -> DataFrame:
+    """neighbor_min over a state with ``owner`` (and ``before``, for ``root_forward``): each key has one row whose member is the owner."""
+    least = state.where("member = owner")
+    out = nbrs.join(least.select("key", "owner"), nbrs["id"] == F.col("key")).select(F.col("nbr").alias("key"), F.col("owner").alias("member"))
+    if root_forward:
+        out = out.unionByName(least.where("before is not null").select(F.col("before").alias("key"), F.col("owner").alias("member")))
+    if wide:
+        out = out.unionByName(state.select(F.col("member").alias("key"), F.col("owner").alias("member")))
+    return out
+
+
 # -- merge steps
 
 
@@ -73,6 +84,20 @@ def merge_union(messages: DataFrame, size: bool = False) -> DataFrame:
     return with_owner(messages.repartition("key").dropDuplicates(list(BOTH)), size)
 
 
+def merge_split(messages: DataFrame, hubs: DataFrame, parts: int) -> DataFrame:
+    """merge_union with sizes, in which the rows of each of ``hubs`` (key, few) are dealt over ``parts`` by their member.
+
+    What a hub's rows must know together, owner and size, is summed up from all parts and handed back to them.
+    """
+    heads = messages.join(F.broadcast(hubs), "key").groupBy("key").agg(F.min("member").alias("_head"), F.count_distinct("member").alias("_all"))
+    rows = messages.join(F.broadcast(heads), "key", "left")
+    salt = F.when(F.col("_head").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("member"), F.lit(parts)))
+    rows = rows.withColumn("_salt", salt).repartition("key", "_salt").distinct()
+    w = Window.partitionBy("key", "_salt")
+    owner, size = F.coalesce("_head", F.min("member").over(w)), F.coalesce("_all", F.count(F.lit(1)).over(w))
+    return rows.select(*BOTH, owner.alias("owner"), size.alias("size"))
+
+
 def merge_sorted(messages: DataFrame) -> DataFrame:
     """merge_union over one sort by (key, member): repeats are adjacent, and a key's first row is its owner."""
     w = Window.partitionBy("key").orderBy("member")
@@ -86,5 +111,10 @@ def merge_min_label(messages: DataFrame) -> DataFrame:
 
 
 def merge_keep_plus_min(state: DataFrame, messages: DataFrame) -> DataFrame:
-    """A key keeps its cluster and adds the least id received."""
-    return state.select(*BOTH).unionByName(merge_min_label(messages)).repartition("key").dropDuplicates(list(BOTH))
+    """A key keeps its cluster and adds the least id received: one exchange. ``owner`` is its least member, ``before`` that of ``state``."""
+    w = Window.partitionBy("key")
+    kind = state.schema["key"].dataType
+    rows = state.select(*BOTH, F.col("owner").alias("_was")).unionByName(messages.withColumn("_was", F.lit(None).cast(kind))).repartition("key")
+    rows = rows.withColumn("_heard", F.min(F.when(F.col("_was").isNull(), F.col("member"))).over(w)).withColumn("before", F.max("_was").over(w))
+    rows = rows.where("_was is not null or member = _heard")
+    return rows.select(*BOTH, F.least("before", "_heard").alias("owner"), "before").distinct()

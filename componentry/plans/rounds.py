@@ -79,6 +79,7 @@ class Loop:
         self.run, self.max_rounds, self.detect, self.row_cap, self.counts = run, max_rounds, detect, row_cap, stats
         self.stats: list[dict] = []
         self.state: DataFrame | None = None
+        self.largest = 0  # most rows of a key, where the state has ``size``
         self._print: tuple = ()
         self._round = 0
 
@@ -91,9 +92,11 @@ class Loop:
         began = time.perf_counter()
         seen = Observation(uuid.uuid4().hex)
         cols = [c.strip() for c in judged.split(",")]
-        observed = state.observe(seen, F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.xxhash64(*cols).cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)")).alias("h"))
+        sizes = [F.coalesce(F.max("size"), F.lit(0).cast("long")).alias("m")] if "size" in state.columns else []
+        observed = state.observe(seen, *sizes, F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.xxhash64(*cols).cast("decimal(38,0)")), F.lit(0).cast("decimal(38,0)")).alias("h"))
         before, self.state = self.state, cut(observed, self.run)
         got = self._read(seen)
+        self.largest = got.get("m", 0)
         mark = (got["n"], got["h"])
         if self.detect == "exact" and before is not None and compare:
             a, b = before.select(*cols), self.state.select(*cols)

@@ -18,11 +18,13 @@ _made: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; only where none is set, a folder of this machine (tests)."""
+    """The cluster's checkpoint folder. Where none is set, a local session (tests) gets a folder of its machine; a cluster's is refused."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         own = spark.sparkContext.getCheckpointDir()
         if own is None:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
             spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="componentry-"))
             own = spark.sparkContext.getCheckpointDir()
         found = own
