@@ -63,7 +63,7 @@ def streams(sized: DataFrame, seed: int = SEED, rows: int = 0) -> DataFrame:
 
     A stream is cut by leading digits of the hash, as many as bring a stream of all ``rows`` to PART_ROWS a part.
     """
-    digits = 1
+    digits = 2
     while digits < 8 and rows > PART_ROWS * 16**digits:
         digits += 1
     h = F.md5(F.concat_ws(":", F.lit(seed), "doc_id", "size"))

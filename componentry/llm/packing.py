@@ -6,8 +6,12 @@ table of lengths: fill a sequence greedily with the longest piece that fits, the
 can give way to two unpacked pieces that fill the widened gap more tightly, swap it for them. A shard leaves
 one sequence partly empty at most beyond what its lengths force, so many shards cost little.
 
+Where the swaps cost a shard a sequence in the end, as they can with few short pieces, the fill without them stands;
+the column ``swapped`` says which it was.
+
 Null text counts as empty: its document is the single end id. Repeated rows are packed each. An empty table
-gives no rows.
+gives no rows. Very long texts are cut into pieces, never shortened. Only doc_id and the text are read, so other
+columns never clash.
 """
 
 from __future__ import annotations
@@ -111,6 +115,10 @@ class WordMerger:
         return list(map(self.ids[found].tobytes().__getitem__, map(slice, [0, *ends], ends)))
 
 
+#: what must come out of the chunks as it does of the whole text: spaces, line ends, letters, marks, digits, special tokens
+_PROBES = ("one two  three\nfour", " Lead and trail ", "It's the end, of all. Or not?", "Größe, façade. naïve ÉTÉ", "a1b2 3,4 5.6 x-y", "...,, #tag @name (in) [sq] {cu}", "日本 語, тест. 한글", "<|endoftext|> inside, here.", "tab\there\rback", "e\u0301 \u00a0 nbsp, \u2014 dash.")
+
+
 class WordIds:
     """Ids of texts as little-endian 32-bit bytes, from a bounded cache of space separated chunks.
 
@@ -130,6 +138,10 @@ class WordIds:
         self.known: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.marks = {m: np.array(self._ids(m), "<u4").tobytes() for m in ",."} | {"": b""}
+        for probe in _PROBES:
+            if self.encode([probe]) != [np.array(self._ids(probe), "<u4").tobytes()]:
+                raise ValueError(f"this vocabulary does not encode chunks apart: {probe!r}")
+        self.known, self.old = {}, {}
 
     def _ids(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
@@ -237,15 +249,14 @@ def _fill(count: list[int], size: int, swap: bool) -> list[list[int]]:
     return bins
 
 
-def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """(bin, offset) of each length. Works on counts per length, so equal pieces are interchangeable.
-
-    Where the swaps cost a bin in the end, as they can with few short pieces, the fill without them stands.
-    """
+def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, np.ndarray, bool]:
+    """(bin, offset) of each length, and whether the fill with swaps stands. Works on counts per length, so equal pieces are interchangeable."""
     count = [0] * (size + 1)
     for n, c in zip(*np.unique(lengths, return_counts=True), strict=True):
         count[n] = int(c)
-    bins = min((_fill(count, size, swap) for swap in (True, False)), key=len)
+    swapped, plain = _fill(count, size, True), _fill(count, size, False)
+    better = len(swapped) <= len(plain)
+    bins = swapped if better else plain
     # hand the places out to the pieces of each length
     places: dict[int, list[tuple[int, int]]] = {}
     for b, own in enumerate(bins):
@@ -255,20 +266,20 @@ def best_two_fit(lengths: np.ndarray, size: int = LENGTH) -> tuple[np.ndarray, n
             at += n
     taken = {n: iter(x) for n, x in places.items()}
     out = np.array([next(taken[n]) for n in lengths.tolist()], np.int64).reshape(-1, 2)
-    return out[:, 0], out[:, 1]
+    return out[:, 0], out[:, 1], better
 
 
 def pack(pieces: DataFrame, *, length: int = LENGTH, shard_pieces: int = SHARD_PIECES) -> DataFrame:
-    """``pieces`` with sequence_id and offset. ``pieces`` is counted here: pass a cut."""
+    """``pieces`` with sequence_id, offset and swapped. ``pieces`` is counted here: pass a cut."""
     n = pieces.count()
     shards = max(1, -(-n // shard_pieces))
     dealt = pieces.withColumn("_shard", F.pmod(F.xxhash64("row_key", "piece"), F.lit(shards)).cast("int"))
-    schema = T.StructType([*PIECES.fields[:-1], T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])
+    schema = T.StructType([*PIECES.fields[:-1], T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType()), T.StructField("swapped", T.BooleanType())])
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["doc_id", "row_key", "ids_crc32", "piece"], kind="stable")
-        bins, at = best_two_fit(rows["length"].to_numpy(), length)
-        return pd.DataFrame({**{c: rows[c] for c in PIECES.names[:-1]}, "sequence_id": (int(key[0]) << 32) + bins, "offset": at})
+        bins, at, swapped = best_two_fit(rows["length"].to_numpy(), length)
+        return pd.DataFrame({**{c: rows[c] for c in PIECES.names[:-1]}, "sequence_id": (int(key[0]) << 32) + bins, "offset": at, "swapped": swapped})
 
     return dealt.groupBy("_shard").applyInPandas(run, schema)
 

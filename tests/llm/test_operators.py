@@ -429,16 +429,31 @@ def test_packing(docs, none):
     assert packing.pack_documents(none).count() == 0
 
 
+@needs_data
+def test_word_engine_on_the_given_documents(spark):
+    """Ids of all words, and of all whole texts, of a given table as the tokeniser has them."""
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(packing.vocabulary_path())
+    texts = [r["text"] or "" for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("text").collect()]
+    encoder = packing.WordIds(packing.vocabulary_path(), cache=5000)  # small: generations change
+    words = sorted({w for t in texts for w in re.findall(r"[^\W\d_]+", t.lower())})
+    assert len(words) > 10_000
+    for part in (texts, words):
+        want = [np.array(e.ids, "<u4").tobytes() for e in library.encode_batch_fast(part, add_special_tokens=False)]
+        assert [x for at in range(0, len(part), 500) for x in encoder.encode(part[at : at + 500])] == want
+
+
 def test_best_two_fit_is_close_to_the_bound():
     r = np.random.default_rng(0)
     for lengths in (r.integers(1, 2049, 3000), r.integers(600, 1100, 2000), np.full(500, 700), np.array([2048, 1, 1, 2047])):
-        bins, at = packing.best_two_fit(lengths)
+        bins, at, _ = packing.best_two_fit(lengths)
         used = np.bincount(bins, lengths)
         assert (used <= 2048).all() and (at >= 0).all()
         assert len(used) <= max(np.ceil(lengths.sum() / 2048), (lengths > 1024).sum(), -(-len(lengths) // 2) if lengths.min() > 682 else 0) * 1.12 + 1
     # the swap closes gaps that the greedy fill leaves: 6 + 3 becomes 6 + 2 + 2
-    bins, _ = packing.best_two_fit(np.array([6, 3, 2, 2]), 10)
-    assert len(set(bins.tolist())) == 2 and np.bincount(bins, [6, 3, 2, 2]).max() == 10
+    bins, _, swapped = packing.best_two_fit(np.array([6, 3, 2, 2]), 10)
+    assert swapped and len(set(bins.tolist())) == 2 and np.bincount(bins, [6, 3, 2, 2]).max() == 10
 
 
 def test_url_filters(spark):
