@@ -85,8 +85,9 @@ def lighter(wedges: DataFrame, theta: float) -> DataFrame:
 
 
 def sample_edges(edges: DataFrame, percent: int, seed: int = 42) -> DataFrame:
-    """A fixed share of the edges by a hash of both ends: the same edges at every run, nested in larger shares."""
-    return edges.where(F.pmod(F.xxhash64(F.lit(seed), "src", "dst"), F.lit(10_000)) < percent * 100)
+    """A fixed share of the edges by a digest of both ends: the same edges at every run and in any engine, nested in larger shares."""
+    digest = F.md5(F.concat_ws(":", F.lit(seed), "src", "dst"))
+    return edges.where(F.conv(F.substring(digest, 1, 8), 16, 10).cast("long") % 10_000 < percent * 100)
 
 
 def mix64(x: Column, seed: int) -> Column:

@@ -22,10 +22,11 @@ def label_prop_baseline(g: Graph, *, order: str = "natural", seed: int = 42, blo
     return RunResult(out.components, [s | {"run": "label_prop"} for s in out.stats], {"blocks": blocks})
 
 
-def superstep_min(g: Graph, *, supersteps: int = 8, max_rounds: int = 10_000, **opts) -> RunResult:
+def superstep_min(g: Graph, *, supersteps: int = 4, max_rounds: int = 10_000, **opts) -> RunResult:
     """neighbor_min with resident state: adjacency and labels stay cached and dealt alike; files are written every ``supersteps`` rounds only.
 
-    Every id tells every neighbour its label in each superstep, so a round's messages are the adjacency's rows.
+    Every id tells every neighbour its label in each superstep, so a round's messages are the adjacency's rows. A round's plan
+    has that of the round before twice, so few rounds may pass between files.
     """
     from componentry.operators.components import resident
 

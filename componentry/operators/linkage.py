@@ -172,32 +172,52 @@ def split(members: set, edges: list[tuple]) -> tuple[set, set]:
 # -- sequential
 
 
-def slc_sequential(wedges: list[tuple], stop: Stop, vertices: set | None = None, row_cap: int = 1_000_000) -> dict:
-    """id -> least id of its cluster, by merging the closest pair again and again on the driver; ``wedges`` are (w, src, dst)."""
+def slc_sequential(wedges: list[tuple], stop: Stop, vertices: set | None = None, scope: str = "cluster", row_cap: int = 1_000_000) -> dict:
+    """id -> least id of its cluster, by merging the closest pair of clusters until nothing is left to merge; ``wedges`` are (w, src, dst).
+
+    ``scope="cluster"``: a merge counts if both sides count and neither is stopped at its distance; a pair whose merge does not
+    count goes on as one cluster that has given up growing, and each id stays in the last cluster of its own that counted.
+    ``scope="run"``: the first pair of which either side is stopped ends the whole run.
+    """
     if len(wedges) > row_cap:
         raise ValueError(f"over {row_cap} edges")
+    if scope not in ("cluster", "run"):
+        raise ValueError(scope)
     ids = {x for e in wedges for x in e[1:]} | (vertices or set())
-    sets = DisjointSets()
-    node = {}
-    for i in ids:
-        node[sets.find(i)] = Node(1, [i])
-    for w, a, b in sorted(wedges):
-        ra, rb = sets.find(a), sets.find(b)
-        if ra == rb:
-            continue
-        x, y = node.pop(ra), node.pop(rb)
-        counts = x.counts and y.counts and not stop(x.size, w) and not stop(y.size, w)
-        sets.join(ra, rb)
-        node[sets.find(a)] = Node(x.size + y.size, [], counts, (x, y))
-    out: dict = {}
-    for top in node.values():
-        for n in cut_tree(top):
-            own, todo = [], [n]
-            while todo:
-                x = todo.pop()
-                own += x.members
-                todo += x.halves
-            out.update(dict.fromkeys(own, min(own)))
+    numbers = {i: n for n, i in enumerate(ids)}
+    held = {n: {i} for i, n in numbers.items()}  # the live clusters by number
+    counts = dict.fromkeys(held, True)
+    far: dict[int, dict[int, tuple]] = {n: {} for n in held}  # the least edge to each cluster beside
+    for e in wedges:
+        a, b = numbers[e[1]], numbers[e[2]]
+        if a != b and (b not in far[a] or e < far[a][b]):
+            far[a][b] = far[b][a] = e
+    pairs = [(e, a, b) for a, own in far.items() for b, e in own.items() if a < b]
+    heapq.heapify(pairs)
+    out: dict = {i: i for i in ids}
+    new = len(ids)
+    while pairs:
+        e, a, b = heapq.heappop(pairs)
+        if a not in held or b not in held or far[a].get(b) != e:
+            continue  # one of them has been merged since
+        stopped = stop(len(held[a]), e[0]) or stop(len(held[b]), e[0])
+        if stopped and scope == "run":
+            break
+        whole = held.pop(a) | held.pop(b)
+        counts[new] = counts.pop(a) & counts.pop(b) & (not stopped)
+        held[new], far[new] = whole, {}
+        if counts[new]:
+            out.update(dict.fromkeys(whole, min(whole)))
+        for side in (far.pop(a), far.pop(b)):
+            for c, x in side.items():
+                if c in held and c != new and (c not in far[new] or x < far[new][c]):
+                    far[new][c] = x
+        for c, x in far[new].items():
+            far[c].pop(a, None)
+            far[c].pop(b, None)
+            far[c][new] = x
+            heapq.heappush(pairs, (x, c, new))
+        new += 1
     return out
 
 
@@ -324,7 +344,6 @@ def slc_dendrogram_cut(wedges: DataFrame, stop: Stop, *, vertices: DataFrame | N
     assign = cut(ids.select("id", F.col("id").alias("component")), "assign")
     clusters = cut(ids.select(F.col("id").alias("c"), F.lit(1).cast("long").alias("size"), F.lit(False).alias("frozen")), "clusters")
     edges = cut(wedges.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.struct("w", "src", "dst").alias("e")), "cedges")
-    halted = F.udf(lambda size, near: bool(stop(int(size), float(near))), T.BooleanType())
     stats, r = [], 0
     while not edges.isEmpty():
         r += 1
@@ -337,7 +356,7 @@ def slc_dendrogram_cut(wedges: DataFrame, stop: Stop, *, vertices: DataFrame | N
         back = near.select(F.col("c").alias("to"), F.col("to").alias("back"))
         seen = facts.join(mate, "to").join(back, "to", "left")
         mutual = ~F.col("to_frozen") & (F.col("back") == F.col("c"))
-        stopped = halted("size", "e.w") | halted("to_size", "e.w")
+        stopped = stop.column(F.col("size"), F.col("e.w")) | stop.column(F.col("to_size"), F.col("e.w"))
         verdict = cut(seen.select("c", "to", "size", "to_size", F.when(F.col("to_frozen"), "freeze").when(mutual & stopped, "freeze").when(mutual, "merge").otherwise("wait").alias("v")), "verdict")
         moves = verdict.where("v = 'merge' and c > to").select(F.col("c").alias("old"), F.col("to").alias("new"))
         cold = verdict.where("v = 'freeze'").select("c", F.lit(True).alias("cold"))

@@ -235,19 +235,22 @@ def bounds(n: int, d: int) -> dict:
     return {"2log2_d": 2 * log(d), "4log2_n": 4 * log(n), "3log2_n": 3 * log(n), "d": float(d), "log2_d": log(d)}
 
 
-def timed(run: Callable[[], RunResult], repeats: int = 1, time_limit: float | None = None) -> dict:
-    """Mean seconds, jobs and rounds of ``run``; a run that stops at a cap or passes the limit is a DNF."""
-    seconds, out = [], None
-    for _ in range(repeats):
+def timed(run: Callable[[], RunResult], repeats: int = 1, spark: SparkSession | None = None, time_limit: float | None = None) -> dict:
+    """Mean seconds, rounds and components of ``run``, and the jobs of its first time where ``spark`` is given; a run that stops at a cap or passes the limit is a DNF."""
+    seconds, out, jobs = [], None, None
+    for k in range(repeats):
         began = time.perf_counter()
         try:
-            out = run()
+            if k == 0 and spark is not None:
+                out, jobs = job_count(spark, run)
+            else:
+                out = run()
             out.components.count()
         except NotConverged as stop:
             return {"dnf": True, "why": str(stop), "seconds": round(time.perf_counter() - began, 2)}
         seconds.append(time.perf_counter() - began)
     mean = statistics.mean(seconds)
-    return {"dnf": time_limit is not None and mean > time_limit, "seconds": round(mean, 2), "rounds_run": out.rounds_run, "rounds_productive": out.rounds_productive, "peak_state_rows": out.peak_state_rows, "peak_messages": out.peak_messages}
+    return {"dnf": time_limit is not None and mean > time_limit, "seconds": round(mean, 2), "rounds_run": out.rounds_run, "rounds_productive": out.rounds_productive, "peak_state_rows": out.peak_state_rows, "peak_messages": out.peak_messages, "jobs": jobs, "components": out.components}
 
 
 def job_count(spark: SparkSession, run: Callable[[], RunResult]) -> tuple[RunResult, int]:
@@ -270,15 +273,15 @@ def balance(state: DataFrame, key: str = "key") -> DataFrame:
 
 
 def contention(run: Callable[[], RunResult], k: int) -> dict:
-    """Largest and median seconds of ``k`` simultaneous runs."""
+    """Largest and median seconds of ``k`` simultaneous runs, and the components that each found."""
 
-    def one(_: int) -> float:
+    def one(_: int) -> tuple[float, DataFrame]:
         began = time.perf_counter()
-        run().components.count()
-        return time.perf_counter() - began
+        out = run().components
+        out.count()
+        return time.perf_counter() - began, out
 
     with ThreadPoolExecutor(k) as pool:
-        took = list(pool.map(one, range(k)))
-    return {"k": k, "max": round(max(took), 2), "median": round(statistics.median(took), 2)}
-
-
+        done = list(pool.map(one, range(k)))
+    took = [t for t, _ in done]
+    return {"k": k, "max": round(max(took), 2), "median": round(statistics.median(took), 2), "components": [c for _, c in done]}

@@ -7,6 +7,10 @@ import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
+from pyspark.sql import Column
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
 
 class NonLocalStopError(ValueError):
     """The test needs to know other clusters."""
@@ -19,6 +23,10 @@ class Stop:
     def __call__(self, size: int, nearest: float) -> bool:
         raise NotImplementedError
 
+    def column(self, size: Column, nearest: Column) -> Column:
+        """The test over columns: a worker's call for each row, unless the kind of test has an expression for it."""
+        return F.udf(lambda s, d: bool(self(int(s), float(d))), T.BooleanType())(size, nearest)
+
 
 @dataclass(frozen=True)
 class DistanceStop(Stop):
@@ -29,6 +37,9 @@ class DistanceStop(Stop):
     def __call__(self, size: int, nearest: float) -> bool:
         return nearest > self.theta
 
+    def column(self, size: Column, nearest: Column) -> Column:
+        return nearest > self.theta
+
 
 @dataclass(frozen=True)
 class SizeStop(Stop):
@@ -39,6 +50,9 @@ class SizeStop(Stop):
     def __call__(self, size: int, nearest: float) -> bool:
         return size >= self.k
 
+    def column(self, size: Column, nearest: Column) -> Column:
+        return size >= self.k
+
 
 @dataclass(frozen=True)
 class LocalStop(Stop):

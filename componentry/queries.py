@@ -32,35 +32,26 @@ EDGE_SQL = {
     "order_chain_global": _CANON.format("SELECT o_orderkey AS a, lead(o_orderkey) OVER (ORDER BY o_orderdate, o_orderkey) AS b FROM orders"),
     "doc_exact": _CANON.format("SELECT min(doc_id) OVER (PARTITION BY text) AS a, doc_id AS b FROM documents WHERE text IS NOT NULL"),
     "doc_line": _CANON.format(
-        "SELECT min(doc_id) OVER (PARTITION BY line) AS a, doc_id AS b, count(*) OVER (PARTITION BY line) AS n FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40) QUALIFY n BETWEEN 2 AND 20"
-    ),
-    "doc_line_whole": _CANON.format(
         "SELECT min(doc_id) OVER (PARTITION BY line) AS a, doc_id AS b FROM (SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 40)"
     ),
     "event_chain": _CANON.format(
         "SELECT event_id AS a, CASE WHEN lead(ts) OVER w <= ts + INTERVAL 6 HOUR THEN lead(event_id) OVER w END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"
     ),
     "event_json": _CANON.format("SELECT min(event_id) OVER (PARTITION BY user_id, k) AS a, event_id AS b FROM (SELECT event_id, user_id, regexp_extract(props, '\"k\": *([0-9]+)', 1) AS k FROM events) WHERE k <> ''"),
-    "event_type_pairs": _CANON.format(
-        "WITH g AS (SELECT event_id, user_id, event_type, count(*) OVER (PARTITION BY user_id, event_type) AS n, min(event_id) OVER (PARTITION BY user_id, event_type) AS h FROM events) "
-        "SELECT x.event_id AS a, y.event_id AS b FROM g x JOIN g y USING (user_id, event_type) WHERE x.n <= 10 UNION ALL SELECT h, event_id FROM g WHERE n > 10"
-    ),
+    "event_type": _CANON.format("SELECT min(event_id) OVER (PARTITION BY user_id, event_type) AS a, event_id AS b FROM events WHERE user_id IS NOT NULL AND event_type IS NOT NULL"),
     "event_within": _CANON.format("SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y USING (user_id) WHERE y.ts BETWEEN x.ts AND x.ts + INTERVAL 1 HOUR"),
     "conversation_chain": _CANON.format("SELECT conv_id * 1000 + turn AS a, lead(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations"),
     "part_tree": "SELECT p_partkey // 2 AS src, p_partkey AS dst FROM part WHERE p_partkey >= 2",
 }
-_GRAMS = "SELECT DISTINCT {id} AS id, unnest(list_transform(range(1, len(w) - {k} + 2), lambda i: array_to_string(w[i:i + {k} - 1], ' '))) AS gram FROM (SELECT {id}, list_filter(string_split(replace(lower(text), chr(10), ' '), ' '), lambda x: x <> ''){cap} AS w FROM {table})"
-_DOC_GRAMS = _GRAMS.format(id="doc_id", k=3, table="documents", cap="[1:400]")
+_GRAMS = "SELECT DISTINCT {id} AS id, unnest(list_transform(range(1, len(w) - {k} + 2), lambda i: array_to_string(w[i:i + {k} - 1], ' '))) AS gram FROM (SELECT {id}, list_filter(string_split(replace(lower(text), chr(10), ' '), ' '), lambda x: x <> '') AS w FROM {table})"
+# equal sets: the least id stands for all
 JACCARD_SQL = f"""
-WITH g AS ({_DOC_GRAMS}), n AS (SELECT id, count(*) AS n FROM g GROUP BY id), kept AS (SELECT gram FROM g GROUP BY gram HAVING count(*) BETWEEN 2 AND 50),
-r AS (SELECT g.* FROM g JOIN kept USING (gram)), p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM r x JOIN r y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
-SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN n a ON a.id = src JOIN n b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared"""
+WITH g AS ({_GRAMS.format(id="doc_id", k=3, table="documents")}), sets AS (SELECT id, count(*) AS n, md5(string_agg(gram, chr(31) ORDER BY gram)) AS k FROM g GROUP BY id), rep AS (SELECT id, n, min(id) OVER (PARTITION BY k) AS c FROM sets),
+r AS (SELECT g.id, gram FROM g JOIN rep USING (id) WHERE id = c), p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM r x JOIN r y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
+SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN rep a ON a.id = src JOIN rep b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared
+UNION ALL SELECT c, id, n, n, n, 0.0 FROM rep WHERE id <> c"""
 EDGE_SQL["doc_jaccard"] = JACCARD_SQL
-EDGE_SQL["doc_jaccard_whole"] = f"""
-WITH g AS ({_GRAMS.format(id="doc_id", k=3, table="documents", cap="")}), n AS (SELECT id, count(*) AS n FROM g GROUP BY id),
-p AS (SELECT x.id AS src, y.id AS dst, count(*) AS shared FROM g x JOIN g y USING (gram) WHERE x.id < y.id GROUP BY x.id, y.id)
-SELECT src, dst, shared, a.n AS n_src, b.n AS n_dst, round(1 - shared / (a.n + b.n - shared), 6) AS w FROM p JOIN n a ON a.id = src JOIN n b ON b.id = dst WHERE shared * 2 >= a.n + b.n - shared"""
-EDGE_SQL["passage"] = _CANON.format(f"SELECT 2 * d.id AS a, 2 * b.id + 1 AS b FROM ({_GRAMS.format(id='doc_id', k=8, table='documents', cap='')}) d JOIN ({_GRAMS.format(id='item_id', k=8, table='benchmark', cap='')}) b USING (gram)")
+EDGE_SQL["passage"] = _CANON.format(f"SELECT 2 * d.id AS a, 2 * b.id + 1 AS b FROM ({_GRAMS.format(id='doc_id', k=8, table='documents')}) d JOIN ({_GRAMS.format(id='item_id', k=8, table='benchmark')}) b USING (gram)")
 EDGE_SQL["embedding_cos"] = """
 WITH v AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings WHERE embedding IS NOT NULL),
 p AS (SELECT x.id AS src, y.id AS dst, list_inner_product(x.v, y.v)::HUGEINT AS d, list_inner_product(x.v, x.v)::HUGEINT * list_inner_product(y.v, y.v)::HUGEINT AS s FROM v x JOIN v y ON x.id < y.id)
@@ -132,9 +123,9 @@ METHODS: dict[str, Callable[[Graph], object]] = {
 }
 #: which graphs each method runs on as queries
 RUNS = {m: ("doc_line",) for m in METHODS} | {
-    "min_owner": ("order_chain_customer", "order_chain_global", "doc_line", "doc_exact", "event_chain", "customer_part_sparse", "embedding_cos", "part_tree", "conversation_chain", "part_supplier_sparse", "doc_line_whole"),
+    "min_owner": ("order_chain_customer", "order_chain_global", "doc_line", "doc_exact", "event_chain", "customer_part_sparse", "embedding_cos", "part_tree", "conversation_chain", "part_supplier_sparse"),
     "all_members": ("doc_exact", "doc_jaccard"),
-    "min_owner_balanced": ("customer_part", "part_supplier", "part_supplier_sparse", "doc_line_whole"),
+    "min_owner_balanced": ("customer_part", "part_supplier", "part_supplier_sparse", "doc_line"),
     "label_prop": ("doc_line", "customer_part"),
     "upper_core": ("doc_line", "customer_part_sparse"),
 }
@@ -221,9 +212,34 @@ def _windowed(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _udtf(spark: SparkSession, d: str) -> DataFrame:
+    """The table function on each customer's own graph."""
     sqlapi.register(spark)
-    _edges(spark, d, "doc_exact").createOrReplaceTempView("_doc_exact")
-    return spark.sql("SELECT c.id, c.component FROM (SELECT collect_list(src) AS s, collect_list(dst) AS t FROM _doc_exact) g, LATERAL components_of(g.s, g.t) c")
+    orders = read_table(spark, d, "orders", ["o_orderkey", "o_custkey"])
+    _edges(spark, d, "order_chain_customer").join(orders, F.col("src") == F.col("o_orderkey")).createOrReplaceTempView("_customer_chains")
+    return spark.sql("SELECT c.id, c.component FROM (SELECT o_custkey, collect_list(src) AS s, collect_list(dst) AS t FROM _customer_chains GROUP BY o_custkey) g, LATERAL components_of(g.s, g.t) c")
+
+
+def _page_components(spark: SparkSession, d: str) -> DataFrame:
+    """Components of pages and link targets: pages by id, each named by the least page of its component."""
+    got = components.min_owner(_graph(spark, d, "page_link")).components
+    pages = got.where("pmod(id, 2) = 0").select((F.col("id") / 2).cast("long").alias("page_id"), "component")
+    least = pages.groupBy("component").agg(F.min("page_id").alias("first_page"))
+    return pages.join(least, "component").select("page_id", "first_page")
+
+
+def _table(name: str, make: Callable[[SparkSession, str], DataFrame], *columns: str) -> Query:
+    """Columns of an experiment's table, which is run once a session."""
+    return lambda spark, d: _once(spark, (name, d), lambda: make(spark, d)).select(*columns)
+
+
+_RESULT = ("workload", "method", "v", "e", "largest", "n_components", "dnf")
+_COST = ("rounds_run", "rounds_productive", "jobs", "peak_messages", "peak_state_rows", "seconds")
+_BOUNDS = ("shape", "power", "v", "e", "d", "orders", "n_components", "rounds_within", "data_within")
+#: sizes of the registered sweeps; ``workloads.sweep`` goes to 2^19
+_POWERS = range(5, 15)
+_SWEEPS = {s: (f"sweep_{s}", lambda spark, d, s=s: workloads.sweep(spark, s, _POWERS)) for s in ("path", "tree")}
+_GROUPS = {k: (f"group{k}", lambda spark, d, g=g: workloads.compare(spark, d, g, repeats=1)) for k, g in ((1, workloads.GROUP_1), (2, workloads.GROUP_2))}
+_SPARSE, _CLUSTERS, _CONTENDED = ("sparsify", workloads.sparsify), ("clustering", workloads.clustering), ("contention", workloads.contention)
 
 
 def _udaf(spark: SparkSession, d: str) -> DataFrame:
@@ -276,7 +292,7 @@ def queries() -> dict[str, Query]:
     out |= {
         "cc_min_owner_with_isolated": _with_isolated,
         "cc_sql_surface": lambda s, d: (sqlapi.register(s, d), sqlapi.components(s, "SELECT min(doc_id) OVER (PARTITION BY text) AS src, doc_id AS dst FROM documents"))[1],
-        "cc_recursive_cte": lambda s, d: baselines.recursive_cte_components(_edges(s, d, "doc_exact"), 3).select("id", "component"),
+        "cc_recursive_cte": lambda s, d: baselines.recursive_cte_components(_edges(s, d, "doc_exact"), 3),
         "isolated_orders": _isolated,
         "st_connected_doc_line": _st,
         "component_sizes": lambda s, d: measures.component_sizes(_comps(s, d, _ORDERS)),
@@ -334,14 +350,74 @@ def queries() -> dict[str, Query]:
         "component_percentiles": lambda s, d: measures.percentiles(_orders(s, d), _comps(s, d, _ORDERS), "o_orderkey", "o_totalprice"),
         "graph_density": lambda s, d: measures.density(measures.profile(_edges(s, d, _ORDERS), _comps(s, d, _ORDERS))).select("v", "e", F.round("density", 9).alias("density"), F.round("mean_degree", 6).alias("mean_degree")),
         "slc_rounds_retire_doc": lambda s, d: linkage.slc_rounds(_wedges(s, d, "doc_jaccard"), DistanceStop(0.2), retire=True).components,
-        "workload_group1": lambda s, d: workloads.compare(s, d, (("doc_exact", "doc_line"), workloads.GROUP_1[1])).drop("seconds"),
-        "workload_group2": lambda s, d: workloads.compare(s, d, workloads.GROUP_2).drop("seconds"),
-        "workload_sparsify": lambda s, d: workloads.sparsify(s, d, percents=(10, 2)),
-        "workload_clustering": lambda s, d: workloads.clustering(s, d, names=("embedding_cos",)).drop("seconds"),
-        "workload_contention": lambda s, d: workloads.contention(s, d, (1, 3)).select("method", "k"),
-        "sweep_path": lambda s, d: workloads.sweep(s, "path", range(5, 7), range(1, 2)),
-        "sweep_tree": lambda s, d: workloads.sweep(s, "tree", range(5, 7), range(1, 2)),
+        "cc_min_owner_page_link": _page_components,
+        "workload_sparsify": _table(*_SPARSE, "workload", "percent", "e", "v", "largest", "n_components"),
+        "workload_sparsify_cost": _table(*_SPARSE, "workload", "percent", "diameter", "rounds_run"),
+        "workload_clustering": _table(*_CLUSTERS, "workload", "stop", "at", "hashing", "v", "largest", "n_clusters", "dnf"),
+        "workload_clustering_cost": _table(*_CLUSTERS, "workload", "stop", "at", "hashing", "rounds_run", "seconds"),
+        "workload_contention": _table(*_CONTENDED, "method", "k", "n_runs", "v", "largest", "n_components", "all_agree"),
+        "workload_contention_times": _table(*_CONTENDED, "method", "k", "max_s", "median_s"),
     }
+    for k, group in _GROUPS.items():
+        out[f"workload_group{k}"] = _table(*group, *_RESULT)
+        out[f"workload_group{k}_cost"] = _table(*group, "workload", "method", *_COST)
+    for shape, swept in _SWEEPS.items():
+        out[f"sweep_{shape}"] = _table(*swept, *_BOUNDS)
+        out[f"sweep_{shape}_rounds"] = _table(*swept, "shape", "power", "worst_rounds", "rounds_run", "two_log_d", "mean_peak", "worst_peak")
+    return out
+
+
+def size_cut_sql(wedges: str, k: int) -> str:
+    """(id, component) of the cut of the merge tree by size ``k``: an edge merges if its ends are not joined by lighter ones, and what these join to each end is smaller than ``k``."""
+    return cc_sql("SELECT src, dst FROM accepted", "SELECT src FROM o UNION SELECT dst FROM o").replace(
+        "WITH RECURSIVE ",
+        f"""WITH RECURSIVE o AS MATERIALIZED (SELECT row_number() OVER (ORDER BY w, src, dst) AS r, src, dst FROM ({wedges})),
+ob AS MATERIALIZED (SELECT r, src AS id, dst AS nbr FROM o UNION ALL SELECT r, dst, src FROM o),
+reach(r, side, id) AS (SELECT r, side, id FROM (SELECT r, 0 AS side, src AS id FROM o UNION ALL SELECT r, 1, dst FROM o) UNION SELECT reach.r, side, nbr FROM reach JOIN ob ON ob.id = reach.id AND ob.r < reach.r),
+sized AS MATERIALIZED (SELECT r, side, count(*) AS n FROM reach GROUP BY r, side),
+closed AS MATERIALIZED (SELECT DISTINCT x.r FROM reach x JOIN reach y ON y.r = x.r AND y.id = x.id AND x.side = 0 AND y.side = 1),
+accepted AS MATERIALIZED (SELECT src, dst FROM o WHERE r NOT IN (SELECT r FROM closed) AND r IN (SELECT r FROM sized GROUP BY r HAVING max(n) < {k})), """,
+    )
+
+
+def _sampled_sql(edges: str, percent: int) -> str:
+    return f"SELECT src, dst FROM ({edges}) WHERE ('0x' || substr(md5('42:' || src || ':' || dst), 1, 8))::BIGINT % 10000 < {percent * 100}"
+
+
+def _outcome_sql(cc: str, n: str = "n_components") -> str:
+    return f"SELECT CAST(coalesce(sum(s), 0) AS BIGINT) AS v, coalesce(max(s), 0) AS largest, count(*) AS {n}, sum(s::HUGEINT * s * s) AS cubes FROM (SELECT component, count(*) AS s FROM ({cc}) GROUP BY component)"
+
+
+def _experiments_sql() -> dict[str, str]:
+    """Results of the experiments: what each run has to find, whatever its cost."""
+    out = {}
+    for k, (names, methods) in ((1, workloads.GROUP_1), (2, workloads.GROUP_2)):
+        # all_members ends where its last round would send more than the cap: each member the whole component, from each member
+        rows = [
+            f"SELECT '{name}' AS workload, method, CASE WHEN NOT dnf THEN v END AS v, (SELECT count(*) FROM ({EDGE_SQL[name]})) AS e, CASE WHEN NOT dnf THEN largest END AS largest, CASE WHEN NOT dnf THEN n_components END AS n_components, dnf "
+            f"FROM (SELECT *, method = 'all_members' AND cubes > {workloads.MEMBER_CAP} AS dnf FROM ({_outcome_sql(_cc(EDGE_SQL[name]))}), (SELECT unnest({list(methods)}) AS method))"
+            for name in names
+        ]
+        out[f"workload_group{k}"] = " UNION ALL ".join(rows)
+    rows = []
+    for name in ("customer_part", "part_supplier"):
+        for p in (50, 10, 5, 2, 1):
+            part = _sampled_sql(EDGE_SQL[name], p)
+            rows.append(f"SELECT '{name}' AS workload, {p} AS percent, (SELECT count(*) FROM ({part})) AS e, v, largest, n_components FROM ({_outcome_sql(_cc(part))})")
+    out["workload_sparsify"] = " UNION ALL ".join(rows)
+    rows = []
+    for name in ("doc_jaccard", "embedding_cos"):
+        own = EDGE_SQL[name]
+        ids = f"SELECT src FROM ({own}) UNION SELECT dst FROM ({own})"
+        for stop in workloads.STOPS:
+            distance = isinstance(stop, DistanceStop)
+            cut_ = _cc(f"SELECT src, dst FROM ({own}) WHERE w <= {stop.theta}", ids) if distance else size_cut_sql(own, stop.k) + " SELECT id, component FROM cc"
+            kind, at = ("distance", stop.theta) if distance else ("size", stop.k)
+            rows.append(f"SELECT '{name}' AS workload, '{kind}' AS stop, CAST({at} AS DOUBLE) AS at, hashing, v, largest, n_clusters, false AS dnf FROM ({_outcome_sql(cut_, 'n_clusters')}), (SELECT unnest(['min_owner', 'all_members']) AS hashing)")
+    out["workload_clustering"] = " UNION ALL ".join(rows)
+    out["workload_contention"] = f"SELECT method, k, k AS n_runs, v, largest, n_components, true AS all_agree FROM ({_outcome_sql(_cc(EDGE_SQL['doc_line']))}), (SELECT unnest({list(workloads.KS)}) AS k), (SELECT unnest(['min_owner', 'superstep']) AS method)"
+    for shape, v, e, d in (("path", "n", "n - 1", "n - 1"), ("tree", "n - 1", "n - 2", "2 * (power - 1)")):
+        out[f"sweep_{shape}"] = f"SELECT '{shape}' AS shape, power, {v} AS v, {e} AS e, {d} AS d, 10 AS orders, CAST(10 AS BIGINT) AS n_components, true AS rounds_within, true AS data_within FROM (SELECT CAST(power AS INTEGER) AS power, CAST(1 AS BIGINT) << CAST(power AS BIGINT) AS n FROM (SELECT unnest(range({_POWERS.start}, {_POWERS.stop})) AS power))"
     return out
 
 
@@ -413,7 +489,11 @@ def oracle_sql() -> dict[str, str]:
         "streaming_open_chain": EDGE_SQL["event_chain"],
         "session_windows": 'WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), n AS (SELECT user_id, ts, sum(first) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS "end", count(*) AS n FROM n GROUP BY user_id, k',
         "windowed_components": f"WITH RECURSIVE d AS MATERIALIZED ({days}), nb AS MATERIALIZED (SELECT start, a AS id, b AS nbr FROM d UNION ALL SELECT start, b, a FROM d), cc(start, id, component) USING KEY (start, id) AS (SELECT DISTINCT start, id, id AS component FROM nb UNION SELECT nb.start, nb.nbr, min(cc.component) FROM cc JOIN nb ON nb.id = cc.id AND nb.start = cc.start JOIN recurring.cc AS old ON old.id = nb.nbr AND old.start = nb.start WHERE cc.component < old.component GROUP BY nb.start, nb.nbr) SELECT start, id, component FROM cc",
-        "udtf_components": _cc(EDGE_SQL["doc_exact"]),
         "udaf_components": f"SELECT o_custkey, CAST(1 AS BIGINT) AS n_components FROM ({EDGE_SQL[_ORDERS]}) JOIN orders ON o_orderkey = src GROUP BY o_custkey",
+        "udtf_components": _cc(EDGE_SQL[_ORDERS]),
+        "sampled_edges": _sampled_sql(EDGE_SQL["part_supplier"], 10),
+        "slc_size_rounds_doc": size_cut_sql(JACCARD_SQL, 3) + " SELECT id, component FROM cc",
+        "slc_size_cut_doc": size_cut_sql(JACCARD_SQL, 3) + " SELECT id, component FROM cc",
+        "cc_min_owner_page_link": "WITH RECURSIVE l AS MATERIALIZED (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages), nb AS MATERIALIZED (SELECT DISTINCT x.page_id AS id, y.page_id AS nbr FROM l x JOIN l y USING (href)), cc(id, component) USING KEY (id) AS (SELECT DISTINCT id, id AS component FROM nb UNION SELECT nb.nbr, min(cc.component) FROM cc JOIN nb ON nb.id = cc.id JOIN recurring.cc AS old ON old.id = nb.nbr WHERE cc.component < old.component GROUP BY nb.nbr) SELECT id AS page_id, component AS first_page FROM cc",
     }
-    return out
+    return out | _experiments_sql()

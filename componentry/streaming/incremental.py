@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -12,19 +13,35 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from componentry.functions.graphs import Graph, normalize_edges
 from componentry.operators.components import min_owner
-from componentry.plans.storage import cut, release
+from componentry.plans.storage import cut, drop_path, release, shared_dir
 
 
 class ComponentStore:
     """Labels kept over micro-batches: a batch's edges are joined to the labels, and only the quotient is solved.
 
-    A generation on shared storage replaces the one before; a batch that is given again (same number) changes nothing.
+    Each batch writes a generation of labels below ``path``, named by the batch, and then removes the ones before. A store
+    opened on the same path, after a restart from the stream's checkpoint, goes on from the last whole generation; a batch
+    that is given again (same number) changes nothing. Without a path the store lasts as long as the session.
     """
 
-    def __init__(self, spark: SparkSession):
+    def __init__(self, spark: SparkSession, path: str | None = None):
         self.spark = spark
-        self.labels: DataFrame | None = None
-        self.batch = -1
+        self.path = path or f"{shared_dir(spark)}/componentry/store-{uuid.uuid4().hex}"
+        self.batch = max(self._generations(), default=-1)
+        self.labels: DataFrame | None = spark.read.parquet(self._place(self.batch)) if self.batch >= 0 else None
+
+    def _place(self, batch: int) -> str:
+        return f"{self.path}/batch={batch:012d}"
+
+    def _generations(self) -> list[int]:
+        """Batches whose labels were written whole."""
+        jvm = self.spark._jvm
+        root = jvm.org.apache.hadoop.fs.Path(self.path)
+        fs = root.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if not fs.exists(root):
+            return []
+        names = [f.getPath().getName() for f in fs.listStatus(root)]
+        return [int(n[6:]) for n in names if n.startswith("batch=") and fs.exists(jvm.org.apache.hadoop.fs.Path(f"{self.path}/{n}/_SUCCESS"))]
 
     def add(self, edges: DataFrame, batch: int) -> None:
         if batch <= self.batch:
@@ -35,12 +52,16 @@ class ComponentStore:
         known = ids.join(old, "id", "left").select("id", F.coalesce("component", "id").alias("component"))
         known = cut(known, "known")
         a, b = known.select(F.col("id").alias("src"), F.col("component").alias("ca")), known.select(F.col("id").alias("dst"), F.col("component").alias("cb"))
-        quotient = edges.join(a, "src").join(b, "dst").select(F.col("ca").alias("src"), F.col("cb").alias("dst"))
-        moved = min_owner(Graph(cut(normalize_edges(quotient), "quotient")), stats=False).components.select(F.col("id").alias("component"), F.col("component").alias("to"))
+        quotient = cut(normalize_edges(edges.join(a, "src").join(b, "dst").select(F.col("ca").alias("src"), F.col("cb").alias("dst"))), "quotient")
+        moved = min_owner(Graph(quotient), stats=False).components.select(F.col("id").alias("component"), F.col("component").alias("to"))
         fresh = known.join(old.select("id"), "id", "left_anti")
-        labels = cut(old.unionByName(fresh).join(moved, "component", "left").select("id", F.coalesce("to", "component").alias("component")), "labels")
-        release(self.labels, edges, known)
-        self.labels, self.batch = labels, batch
+        labels = old.unionByName(fresh).join(moved, "component", "left").select("id", F.coalesce("to", "component").alias("component"))
+        labels.write.mode("overwrite").parquet(self._place(batch))
+        release(edges, known, quotient)
+        for before in self._generations():
+            if before < batch:
+                drop_path(self.spark, self._place(before))
+        self.labels, self.batch = self.spark.read.parquet(self._place(batch)), batch
 
 
 def components(stream: DataFrame, store: ComponentStore):

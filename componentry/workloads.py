@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from componentry.functions.graphs import Graph, graph, sample_edges
 from componentry.operators import baselines, components, linkage, measures, secondary_sort
 from componentry.operators.stops import DistanceStop, SizeStop
-from componentry.plans.rounds import RunResult
+from componentry.plans.rounds import Loop, RunResult
+from componentry.plans.storage import cut, release
 from componentry.sources import builders, generators
 from componentry.sources.io import read_table
 
@@ -58,11 +60,7 @@ def _long_lines(spark: SparkSession, d: str) -> DataFrame:
 
 
 def doc_line(spark: SparkSession, d: str) -> DataFrame:
-    """Documents that share a line held by 2 to 20 of them; ``doc_line_whole`` has all shared lines."""
-    return builders.share_key(_long_lines(spark, d), "doc_id", "line", 2, 20)
-
-
-def doc_line_whole(spark: SparkSession, d: str) -> DataFrame:
+    """Documents that share a line of 40 characters or more."""
     return builders.share_key(_long_lines(spark, d), "doc_id", "line")
 
 
@@ -70,10 +68,6 @@ def doc_jaccard(spark: SparkSession, d: str) -> DataFrame:
     return builders.jaccard(read_table(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text")
 
 
-def doc_jaccard_whole(spark: SparkSession, d: str) -> DataFrame:
-    return builders.jaccard_whole(read_table(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text")
-
-
 def page_link(spark: SparkSession, d: str) -> DataFrame:
     return builders.page_link(read_table(spark, d, "pages", ["page_id", "html"]))
 
@@ -91,8 +85,8 @@ def event_json(spark: SparkSession, d: str) -> DataFrame:
     return builders.json_key(read_table(spark, d, "events", ["event_id", "user_id", "props"]))
 
 
-def event_type_pairs(spark: SparkSession, d: str) -> DataFrame:
-    return builders.share_key_pairs(read_table(spark, d, "events", ["event_id", "user_id", "event_type"]), "event_id", "user_id", "event_type", max_group=10)
+def event_type(spark: SparkSession, d: str) -> DataFrame:
+    return builders.share_key(read_table(spark, d, "events", ["event_id", "user_id", "event_type"]), "event_id", "user_id", "event_type")
 
 
 def event_within(spark: SparkSession, d: str) -> DataFrame:
@@ -116,7 +110,7 @@ def part_tree(spark: SparkSession, d: str) -> DataFrame:
 
 GRAPHS: dict[str, Build] = {
     f.__name__: f
-    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_line_whole, doc_jaccard, doc_jaccard_whole, page_link, embedding_cos, event_chain, event_json, event_type_pairs, event_within, conversation_chain, passage, part_tree)
+    for f in (customer_part, customer_part_sparse, part_supplier, part_supplier_sparse, order_chain_customer, order_chain_global, doc_exact, doc_line, doc_jaccard, page_link, embedding_cos, event_chain, event_json, event_type, event_within, conversation_chain, passage, part_tree)
 }
 
 
@@ -128,17 +122,18 @@ def part_supplier_price(spark: SparkSession, d: str) -> DataFrame:
 
 def order_gap(spark: SparkSession, d: str) -> DataFrame:
     """Weighted chain of each customer's orders: days between."""
-    from pyspark.sql import Window
-
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     orders = read_table(spark, d, "orders", ["o_orderkey", "o_custkey", "o_orderdate"])
     rows = orders.select("o_orderkey", F.lead("o_orderkey").over(w).alias("n"), F.datediff(F.lead("o_orderdate").over(w), F.col("o_orderdate")).cast("double").alias("w")).where("n is not null")
     return rows.select(F.least("o_orderkey", "n").alias("src"), F.greatest("o_orderkey", "n").alias("dst"), "w")
 
 
+#: rows that a round of all_members may send
+MEMBER_CAP = 20_000_000
+
 METHODS: dict[str, Callable[[Graph], RunResult]] = {
     "neighbor_min": lambda g: components.neighbor_min(g),
-    "all_members": lambda g: components.all_members(g, member_cap=20_000_000),
+    "all_members": lambda g: components.all_members(g, member_cap=MEMBER_CAP),
     "min_owner": lambda g: components.min_owner(g),
     "min_owner_sorted": lambda g: secondary_sort.min_owner_sorted(g),
     # like the baseline, which shrinks edge blocks to forests
@@ -153,63 +148,97 @@ GROUP_1 = (("doc_exact", "doc_line", "customer_part_sparse"), ("label_prop", "mi
 GROUP_2 = (("customer_part", "part_supplier", "part_supplier_sparse"), ("label_prop", "min_owner_balanced"))
 
 
-def compare(spark: SparkSession, d: str, group: tuple = GROUP_1, repeats: int = 1) -> DataFrame:
-    """(workload, method, dnf, rounds, seconds, peak rows) of a comparison table."""
+def _outcome(components: DataFrame) -> tuple[int, int, int]:
+    """Vertices, largest component and number of components."""
+    row = measures.component_sizes(components).agg(F.sum("size"), F.max("size"), F.count(F.lit(1))).first()
+    return row[0] or 0, row[1] or 0, row[2]
+
+
+def compare(spark: SparkSession, d: str, group: tuple = GROUP_1, repeats: int = 4) -> DataFrame:
+    """A comparison table: a row for each workload and method, seconds the mean of ``repeats`` runs, jobs those of the first."""
     rows = []
     for name in group[0]:
-        g = graph(GRAPHS[name](spark, d).select("src", "dst"))
+        edges = cut(GRAPHS[name](spark, d).select("src", "dst"), name)
         for method in group[1]:
-            got = measures.timed(lambda g=g, m=method: METHODS[m](g), repeats)
-            rows.append((name, method, bool(got["dnf"]), got.get("rounds_run"), got.get("rounds_productive"), got.get("peak_messages"), got.get("peak_state_rows"), float(got["seconds"])))
-    return spark.createDataFrame(rows, "workload string, method string, dnf boolean, rounds_run int, rounds_productive int, peak_messages long, peak_state_rows long, seconds double")
+            got = measures.timed(lambda e=edges, m=method: METHODS[m](graph(e)), repeats, spark)
+            v, n, c = _outcome(got["components"]) if not got["dnf"] else (None, None, None)
+            rows.append((name, method, v, edges.count(), n, c, bool(got["dnf"]), got.get("rounds_run"), got.get("rounds_productive"), got.get("jobs"), got.get("peak_messages"), got.get("peak_state_rows"), float(got["seconds"])))
+    return spark.createDataFrame(rows, "workload string, method string, v long, e long, largest long, n_components long, dnf boolean, rounds_run int, rounds_productive int, jobs int, peak_messages long, peak_state_rows long, seconds double")
+
 
+def sweep(spark: SparkSession, shape: str = "path", powers: range = range(5, 20), orders: int = 10) -> DataFrame:
+    """Rounds and peak data of min_owner on paths or trees of 2^k vertices: the worst and the mean of ``orders`` random vertex orders.
 
-def sweep(spark: SparkSession, shape: str = "path", powers: range = range(5, 10), seeds: range = range(1, 4), method: str = "min_owner") -> DataFrame:
-    """Rounds and peak data of a method on paths or trees of 2^k vertices over random vertex orders, beside the round bounds."""
+    The orders of a size run side by side as one graph of so many copies; after each round every copy's rows are counted and
+    fingerprinted alone, which tells its own rounds and peak.
+    """
     rows = []
     for p in powers:
         n = 1 << p
         edges = generators.path(spark, n) if shape == "path" else generators.tree(spark, n - 1)
         v, e, d = (n, n - 1, n - 1) if shape == "path" else (n - 1, n - 2, 2 * (p - 1))
-        for seed in seeds:
-            run = getattr(components, method)(graph(edges), order="random", seed=seed)
-            m = measures.exchange(run, v, e)
-            b = measures.bounds(n, d)
-            rows.append((shape, p, seed, m["rounds_run"], m["rounds_productive"], float(m["state_ratio"]), float(m["message_ratio"]), float(b["2log2_d"]), float(b["4log2_n"]), float(b["3log2_n"])))
-    return spark.createDataFrame(rows, "shape string, power int, seed int, rounds_run int, rounds_productive int, state_ratio double, message_ratio double, two_log_d double, four_log_n double, three_log_n double")
+        ids = graph(edges).ids.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(orders - 1))))
+        order = Window.partitionBy("copy").orderBy(F.xxhash64("copy", "id"), "id")
+        book = cut(ids.select("copy", "id", (F.col("copy").cast("long") * (1 << 40) + F.row_number().over(order)).alias("rank")), "orders")
+        a, b = book.select("copy", F.col("id").alias("src"), F.col("rank").alias("a")), book.select("copy", F.col("id").alias("dst"), F.col("rank").alias("b"))
+        copies = cut(edges.join(a, "src").join(b, ["copy", "dst"]).select(F.col("a").alias("src"), F.col("b").alias("dst")), "copies")
+        seen: dict[int, list[tuple]] = {c: [] for c in range(orders)}
+
+        def count(loop: Loop, seen: dict = seen) -> bool:
+            part = F.expr("key div 1099511627776").alias("copy")
+            for r in loop.state.groupBy(part).agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("key", "member").cast("decimal(38,0)")).alias("h")).collect():  # a row for each copy
+                seen[r["copy"]].append((r["n"], r["h"]))
+            return False
+
+        run = components.min_owner(graph(copies), after=count)
+        productive = [sum(x != y for x, y in zip(own, own[1:], strict=False)) for own in seen.values()]
+        peaks = [max(x[0] for x in own) / (v + e) for own in seen.values()]
+        whole = _outcome(run.components)
+        release(book, copies)
+        bound = 2 * math.log2(d)
+        rows.append((shape, p, v, e, d, orders, whole[2], max(productive), run.rounds_run, bound, max(productive) <= bound, round(sum(peaks) / orders, 4), round(max(peaks), 4), sum(peaks) / orders <= 3.0))
+    return spark.createDataFrame(rows, "shape string, power int, v long, e long, d long, orders int, n_components long, worst_rounds int, rounds_run int, two_log_d double, rounds_within boolean, mean_peak double, worst_peak double, data_within boolean")
+
+
+def sparsify(spark: SparkSession, d: str, names: tuple = ("customer_part", "part_supplier"), percents: tuple = (50, 10, 5, 2, 1)) -> DataFrame:
+    """Edges, components, diameter (double sweep from the least id) and rounds as edges are sampled away."""
+    rows = []
+    for name in names:
+        edges = cut(GRAPHS[name](spark, d), name)
+        for p in percents:
+            part = cut(sample_edges(edges, p), "sample")
+            run = components.min_owner(graph(part))
+            rows.append((name, p, part.count(), *_outcome(run.components), measures.diameter(part), run.rounds_run))
+    return spark.createDataFrame(rows, "workload string, percent int, e long, v long, largest long, n_components long, diameter int, rounds_run int")
 
 
-def sparsify(spark: SparkSession, d: str, name: str = "part_supplier", percents: tuple = (50, 10, 5, 2, 1)) -> DataFrame:
-    """Diameter (double sweep), components and rounds as edges are sampled away."""
-    rows = []
-    edges = GRAPHS[name](spark, d)
-    for p in percents:
-        part = sample_edges(edges, p)
-        run = components.min_owner(graph(part))
-        sizes = measures.largest(run.components).first()
-        rows.append((p, measures.diameter(part), sizes["n"] or 0, sizes["n_components"], run.rounds_run))
-    return spark.createDataFrame(rows, "percent int, diameter int, largest long, n_components long, rounds_run int")
+STOPS = (*(DistanceStop(t) for t in (0.2, 0.5, 0.8)), *(SizeStop(k) for k in (2, 5, 20)))
 
 
-def clustering(spark: SparkSession, d: str, hashings: tuple = ("min_owner", "all_members"), names: tuple = ("doc_jaccard", "embedding_cos")) -> DataFrame:
-    """Rounds, seconds and clusters of single linkage by workload, stop test and hashing."""
+def clustering(spark: SparkSession, d: str, hashings: tuple = ("min_owner", "all_members"), names: tuple = ("doc_jaccard", "embedding_cos"), stops: tuple = STOPS, member_cap: int = MEMBER_CAP) -> DataFrame:
+    """Rounds, seconds and clusters of single linkage by workload, stop test and hashing; past ``member_cap`` rows a run is a DNF."""
     rows = []
-    stops = [*(DistanceStop(t) for t in (0.2, 0.5)), *(SizeStop(k) for k in (2, 5))]
     for name in names:
-        wedges = GRAPHS[name](spark, d).select("src", "dst", "w")
+        wedges = cut(GRAPHS[name](spark, d).select("src", "dst", "w"), name)
         for stop in stops:
+            kind, at = ("distance", float(stop.theta)) if isinstance(stop, DistanceStop) else ("size", float(stop.k))
             for h in hashings:
-                got = measures.timed(lambda w=wedges, s=stop, h=h: linkage.slc_rounds(w, s, hashing=h))
-                rows.append((name, repr(stop), h, got.get("rounds_run"), float(got["seconds"])))
-    return spark.createDataFrame(rows, "workload string, stop string, hashing string, rounds_run int, seconds double")
+                got = measures.timed(lambda w=wedges, s=stop, h=h: linkage.slc_rounds(w, s, hashing=h, member_cap=member_cap))
+                v, n, c = _outcome(got["components"]) if not got["dnf"] else (None, None, None)
+                rows.append((name, kind, at, h, v, n, c, bool(got["dnf"]), got.get("rounds_run"), float(got["seconds"])))
+    return spark.createDataFrame(rows, "workload string, stop string, at double, hashing string, v long, largest long, n_clusters long, dnf boolean, rounds_run int, seconds double")
+
+
+KS = (1, 5, 10, 15)
 
 
-def contention(spark: SparkSession, d: str, ks: tuple = (1, 5), name: str = "doc_line") -> DataFrame:
-    """Largest and median seconds of k simultaneous runs, files each round against resident supersteps."""
-    edges = GRAPHS[name](spark, d).select("src", "dst")
+def contention(spark: SparkSession, d: str, ks: tuple = KS, name: str = "doc_line") -> DataFrame:
+    """Largest and median seconds of k simultaneous runs, files each round against resident supersteps; each run's result is looked at."""
+    edges = cut(GRAPHS[name](spark, d).select("src", "dst"), name)
     rows = []
     for k in ks:
         for method in ("min_owner", "superstep"):
             got = measures.contention(lambda m=method: METHODS[m](graph(edges)), k)
-            rows.append((method, k, got["max"], got["median"]))
-    return spark.createDataFrame(rows, "method string, k int, max_s double, median_s double")
+            ends = [_outcome(x) for x in got["components"]]
+            rows.append((method, k, len(ends), min(e[0] for e in ends), min(e[1] for e in ends), min(e[2] for e in ends), len(set(ends)) == 1, got["max"], got["median"]))
+    return spark.createDataFrame(rows, "method string, k int, n_runs int, v long, largest long, n_components long, all_agree boolean, max_s double, median_s double")

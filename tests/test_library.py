@@ -96,6 +96,30 @@ def test_stream_in_any_batches(spark):
         assert {r[0]: r[1] for r in store.labels.collect()} == want
 
 
+def test_store_goes_on_after_a_restart(spark, tmp_path):
+    edges = [(1, 2), (3, 4), (2, 3), (8, 9)]
+    first = incremental.ComponentStore(spark, f"{tmp_path}/labels")
+    for k, e in enumerate(edges[:2]):
+        first.add(spark.createDataFrame([e], "src long, dst long"), k)
+    # a generation that was not written to its end does not count
+    (tmp_path / "labels" / "batch=000000000009").mkdir()
+    again = incremental.ComponentStore(spark, f"{tmp_path}/labels")
+    assert again.batch == 1
+    again.add(spark.createDataFrame([(1, 4)], "src long, dst long"), 1)  # given again: no effect
+    for k, e in enumerate(edges[2:], 2):
+        again.add(spark.createDataFrame([e], "src long, dst long"), k)
+    assert dict(map(tuple, again.labels.collect())) == {1: 1, 2: 1, 3: 1, 4: 1, 8: 8, 9: 8}
+    assert incremental.ComponentStore(spark, f"{tmp_path}/labels").labels.count() == 6
+
+
+def test_edges_once_within_the_watermark(spark, tmp_path):
+    rows = [("2024-01-01 00:00:00", 1, 2), ("2024-01-01 00:10:00", 1, 2), ("2024-01-01 00:20:00", 3, 4), ("2024-01-01 00:20:00", 2, 1)]
+    spark.createDataFrame(rows, "ts string, src long, dst long").selectExpr("cast(ts as timestamp) ts", "src", "dst").write.parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema("ts timestamp, src long, dst long").parquet(f"{tmp_path}/in")
+    out = incremental.drain(incremental.distinct_edges(stream, "ts"), "once_edges")
+    assert sorted((r["src"], r["dst"]) for r in out.collect()) == [(1, 2), (2, 1), (3, 4)]
+
+
 def test_late_edges_are_dropped_beyond_the_watermark(spark, tmp_path):
     # a watermark takes effect on late rows one batch after the batch that moved it
     rows = [[("2024-01-01 00:10:00", 1, 2)], [("2024-01-01 09:00:00", 3, 4)], [("2024-01-01 09:10:00", 3, 4)], [("2024-01-01 00:20:00", 5, 6), ("2024-01-01 08:30:00", 7, 8)], [("2024-01-02 09:00:00", 9, 9)]]
@@ -116,9 +140,45 @@ def test_sql_functions(spark):
     assert {r[0]: r[1] for r in rows} == {1: 1, 2: 1, 3: 1, 7: 7, 8: 7}
 
 
-def test_skewed_pairs_become_a_star(spark):
-    df = spark.range(500).selectExpr("id", "1 as k")
-    assert builders.share_key_pairs(df, "id", "k", max_group=10).count() == 499
+def test_large_groups_become_a_star(spark):
+    df = spark.range(500).selectExpr("id", "1 as k", "'text' as t", "cast(null as string) as none")
+    assert builders.share_key(df, "id", "k").count() == builders.share_key(df, "id", "k", "t").count() == 499
+    assert builders.share_key(df, "id", "k", "none").count() == 0
+
+
+def test_recall_of_the_hashed_joins(spark):
+    """Pairs that hashing finds, of those that the exact joins find, on the given tables."""
+    d = "/root/testdata/sf0.01"
+    docs, vectors = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/embeddings.parquet")
+    exact = builders.jaccard(docs, "doc_id", "text").select("src", "dst")
+    assert exact.intersect(builders.minhash(docs, "doc_id", "text")).count() >= 0.9 * exact.count() > 50
+    near = builders.cosine(vectors, "vec_id", "embedding").select("src", "dst")
+    assert near.intersect(builders.hyperplane_cosine(vectors, "vec_id", "embedding")).count() >= 0.9 * near.count() > 30
+    # columns that nothing asks for may be left out
+    assert builders.cosine(vectors, "vec_id", "embedding").count() == near.count() == near.distinct().count()
+
+
+def test_chain_without_parts(spark):
+    before = builders.CHAIN_ROWS
+    builders.CHAIN_ROWS = 10
+    try:
+        for kind in ("long", "timestamp"):
+            df = spark.range(95).selectExpr("id", f"cast(id * id div 7 as {kind}) as at")
+            assert sorted(map(tuple, builders.chain(df, "id", ["at", "id"]).collect())) == [(i, i + 1) for i in range(94)]
+        assert builders.chain(df.limit(0), "id", ["at", "id"]).count() == 0
+    finally:
+        builders.CHAIN_ROWS = before
+
+
+def test_job_counts_and_experiments(spark, tmp_path):
+    from componentry import workloads
+
+    run, jobs = measures.job_count(spark, lambda: components.min_owner(graph(generators.path(spark, 6))))
+    assert jobs >= run.rounds_run
+    rows = {(r["shape"], r["power"]): r for r in workloads.sweep(spark, "path", range(4, 6), 3).collect()}
+    assert all(r["rounds_within"] and r["data_within"] and r["n_components"] == 3 for r in rows.values())
+    alone = [measures.exchange(components.min_owner(graph(generators.path(spark, 16)), order="random", seed=k), 16, 15)["rounds_productive"] for k in range(3)]
+    assert abs(rows["path", 4]["worst_rounds"] - max(alone)) <= 3
 
 
 def test_advisor():
@@ -142,8 +202,8 @@ def test_component_members_query_returns_large_groups(spark, tmp_path):
 
 def test_a_line_of_many_documents_links_them_all(spark, tmp_path):
     spark.range(60).selectExpr("id as doc_id", "concat('own words ', id, '\n', repeat('a shared line ', 4)) as text").write.parquet(f"{tmp_path}/documents.parquet")
-    assert queries()["edges_doc_line_whole"](spark, str(tmp_path)).count() == 59
-    assert queries()["cc_min_owner_doc_line_whole"](spark, str(tmp_path)).select("component").distinct().count() == 1
+    assert queries()["edges_doc_line"](spark, str(tmp_path)).count() == 59
+    assert queries()["cc_min_owner_doc_line"](spark, str(tmp_path)).select("component").distinct().count() == 1
 
 
 def test_jaccard_whole_has_large_groups_and_late_words(spark, tmp_path):
@@ -151,7 +211,7 @@ def test_jaccard_whole_has_large_groups_and_late_words(spark, tmp_path):
     rows = [(i, "one text that sixty documents hold") for i in range(60)]
     rows += [(100, head + " " + " ".join(f"a{i}" for i in range(900))), (101, head + " " + " ".join(f"b{i}" for i in range(900))), (102, "x " + " ".join(f"a{i}" for i in range(900)))]
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
-    got = {(r["src"], r["dst"]): r["w"] for r in queries()["edges_doc_jaccard_whole"](spark, str(tmp_path)).collect()}
-    assert {p for p in got if p[1] < 100} == {(i, j) for j in range(60) for i in range(j)} and got[0, 59] == 0
+    got = {(r["src"], r["dst"]): r["w"] for r in queries()["edges_doc_jaccard"](spark, str(tmp_path)).collect()}
+    assert {p for p in got if p[1] < 100} == {(0, j) for j in range(1, 60)} and got[0, 59] == 0
     # 100 and 101 are alike in their first 400 words only; 100 and 102 in what follows
     assert {p for p in got if p[1] >= 100} == {(100, 102)}
