@@ -126,7 +126,8 @@ def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract:
     """A cluster goes whole to its least member, the others hear only of that member. One exchange a round.
 
     ``precontract``: each input partition first keeps a spanning forest of its edges. ``retire``: finished
-    components (a star that a round left as it was) leave the later rounds.
+    components (a star that a round left as it was) leave the later rounds. ``after`` is shown the loop at the start and
+    after each productive round, and ends the run where it says True.
     """
 
     def run(g: Graph) -> RunResult:
@@ -134,7 +135,10 @@ def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract:
         loop = _loop("min_owner", opts)
         loop.start(emit.merge_union(init_closed(g)))
         if not retire:
-            loop.until_stable(emit.min_owner, emit.merge_union)
+            after = opts.get("after")
+            if after is not None:
+                after(loop)
+            loop.until_stable(emit.min_owner, emit.merge_union, after=after)
             return RunResult(export_owner_clusters(loop.state), loop.stats)
         done: list[DataFrame] = []
 
@@ -157,21 +161,29 @@ def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract:
     return _ordered(g, order, seed, run)
 
 
-def _splitting(loop: Loop) -> Callable[[DataFrame], DataFrame]:
+def _splitting(loop: Loop, tau: int) -> Callable[[DataFrame], DataFrame]:
     """A merge step that spreads the rows of hubs: keys with over four times a partition's even share of the messages.
 
     Hubs are looked for where one is to be expected: at the start, and once the largest cluster comes near that share.
-    Fewer than a quarter as many keys as partitions can be hubs, so their list is small.
+    Fewer than a quarter as many keys as partitions can be hubs, so their list is small. Sizes are counted exactly
+    where they may be over ``tau``; below, a hub's messages stand for them.
     """
 
     def merge(messages: DataFrame) -> DataFrame:
-        parts = int(messages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        spark = messages.sparkSession
+        parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
         rows = loop.stats[-1]["state_rows"] if loop.stats else messages.count()
         even = max(HUB_ROWS, 4 * 2 * rows // parts)
         if rows > even and (not loop.stats or 4 * loop.largest > even):
-            hubs = cut(messages.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > even).select("key"), "hubs")
-            if not hubs.isEmpty():
-                return emit.merge_split(messages, hubs, min(parts, 64))
+            counts = messages.groupBy("key").agg(F.min("member").alias("head"), F.count(F.lit(1)).alias("all"), F.max(F.col("member") == F.col("key")).alias("self")).where(F.col("all") > even)
+            found = counts.collect()  # fewer than a quarter of the partitions
+            if any(r["all"] > tau for r in found):
+                large = spark.createDataFrame([(r["key"],) for r in found], messages.select("key").schema)
+                exact = {r["key"]: r["n"] for r in messages.join(F.broadcast(large), "key").distinct().groupBy("key").agg(F.count(F.lit(1)).alias("n")).collect()}
+                found = [r.asDict() | {"all": exact[r["key"]]} for r in found]
+            if found:
+                heads = spark.createDataFrame([tuple(r[c] for c in ("key", "head", "all", "self")) for r in found], counts.schema)
+                return emit.merge_split(messages, heads, min(parts, 64))
         return emit.merge_union(messages, size=True)
 
     return merge
@@ -187,9 +199,9 @@ def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural
     def run(g: Graph) -> RunResult:
         g = _contracted(g, precontract)
         first = _loop("min_owner_balanced", opts)
-        merge = _splitting(first)
-        first.start(merge(init_closed(g)))
         most = tau if tau is not None else (1 << 62)
+        merge = _splitting(first, most)
+        first.start(merge(init_closed(g)))
         first.until_stable(lambda s: emit.min_owner_balanced(s, most), merge, "stage 1")
         if first.state.where(F.col("size") > most).isEmpty():
             # no key kept anything back: this is a fixed point of the plain method
@@ -202,7 +214,7 @@ def min_owner_balanced(g: Graph, *, tau: int | None = TAU, order: str = "natural
         release(first.state)
         heads = named.select(F.col("component").alias("id")).distinct()
         second = _loop("min_owner_balanced", opts)
-        merge = _splitting(second)
+        merge = _splitting(second, most)
         second.start(merge(init_closed(Graph(quotient, heads))), "stage 2")
         second.until_stable(emit.min_owner, merge, "stage 2")
         book = export_owner_clusters(second.state).select(F.col("id").alias("head"), "component")

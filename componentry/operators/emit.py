@@ -84,17 +84,18 @@ def merge_union(messages: DataFrame, size: bool = False) -> DataFrame:
     return with_owner(messages.repartition("key").dropDuplicates(list(BOTH)), size)
 
 
-def merge_split(messages: DataFrame, hubs: DataFrame, parts: int) -> DataFrame:
-    """merge_union with sizes, in which the rows of each of ``hubs`` (key, few) are dealt over ``parts`` by their member.
+def merge_split(messages: DataFrame, heads: DataFrame, parts: int) -> DataFrame:
+    """merge_union with sizes, in which the rows of hubs are dealt over ``parts`` by their member.
 
-    What a hub's rows must know together, owner and size, is summed up from all parts and handed back to them.
+    ``heads`` (key, head, all, self) has the few hubs with what their rows must know together: owner, size, and whether the
+    hub holds itself. That it does is said once for each row of its neighbours, so those rows are left out and put back once.
     """
-    heads = messages.join(F.broadcast(hubs), "key").groupBy("key").agg(F.min("member").alias("_head"), F.count_distinct("member").alias("_all"))
-    rows = messages.join(F.broadcast(heads), "key", "left")
-    salt = F.when(F.col("_head").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("member"), F.lit(parts)))
-    rows = rows.withColumn("_salt", salt).repartition("key", "_salt").distinct()
+    rows = messages.join(F.broadcast(heads), "key", "left").where("head is null or member <> key")
+    salt = F.when(F.col("head").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("member"), F.lit(parts)))
+    rows = rows.unionByName(heads.where("self").withColumn("member", F.col("key"))).withColumn("_salt", salt)
+    rows = rows.select(*BOTH, "head", "all", "_salt").repartition("key", "_salt").distinct()
     w = Window.partitionBy("key", "_salt")
-    owner, size = F.coalesce("_head", F.min("member").over(w)), F.coalesce("_all", F.count(F.lit(1)).over(w))
+    owner, size = F.coalesce("head", F.min("member").over(w)), F.coalesce("all", F.count(F.lit(1)).over(w))
     return rows.select(*BOTH, owner.alias("owner"), size.alias("size"))
 
 

@@ -129,3 +129,58 @@ def test_upper_core_without_repair_splits(spark):
     assert split > 1
     whole = components.upper_core(g)
     assert whole.components.select("component").distinct().count() == 1
+
+
+def test_rows_of_a_hub_are_spread(spark):
+    """A star of 6000 leaves over 64 partitions: no partition gets much more than its share, and the answer is exact."""
+    from pyspark.sql import functions as F
+
+    from componentry.operators import emit
+    from componentry.plans.rounds import init_closed
+
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "64")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        edges = [(0, i) for i in range(1, 6001)] + [(10_000 + i, 10_001 + i) for i in range(0, 4000, 2)]
+        g = graph(spark.createDataFrame(edges, "src long, dst long"))
+        run = components.min_owner_balanced(g)
+        assert dict(map(tuple, run.components.collect())) == union_find(edges)
+        seen = []
+        real = emit.merge_split
+        emit.merge_split = lambda *a: seen.append(real(*a)) or seen[-1]
+        try:
+            components.min_owner_balanced(g)
+            assert dict(map(tuple, components.min_owner_balanced(g, tau=50).components.collect())) == union_find(edges)
+        finally:
+            emit.merge_split = real
+        assert len(seen) >= 2
+        dealt = seen[0].groupBy(F.spark_partition_id()).count().agg(F.max("count"), F.sum("count")).first()
+        assert dealt[0] < 0.1 * dealt[1]
+        plain = emit.merge_union(init_closed(g), size=True)
+        assert sorted(map(tuple, seen[0].select("key", "member", "owner").collect())) == sorted(map(tuple, plain.select("key", "member", "owner").collect()))
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+def test_recursive_query_tells_of_a_small_depth(spark):
+    edges = graph(spark.createDataFrame([(i, i + 1) for i in range(6)], "src long, dst long")).edges
+    assert baselines.recursive_cte_components(edges, 8).select("component").distinct().count() == 1
+    with pytest.raises(NotConverged):
+        baselines.recursive_cte_components(edges, 3)
+
+
+def test_runs_side_by_side(spark):
+    """Simultaneous runs over one graph keep caches of their own, free them, and find the same."""
+    from componentry import workloads
+    from componentry.operators import measures
+
+    held = len(spark.sparkContext._jsc.getPersistentRDDs())
+    edges = spark.createDataFrame(shuffled_path(12, 2) + [(50, 51)], "src long, dst long")
+    for method in ("superstep", "neighbor_min", "min_owner"):
+        got = measures.contention(lambda m=method: workloads.METHODS[m](graph(edges)), 4)
+        assert got["median"] <= got["max"] and len(got["components"]) == 4
+        for c in got["components"]:
+            assert dict(map(tuple, c.collect())) == union_find(shuffled_path(12, 2) + [(50, 51)])
+    assert len(spark.sparkContext._jsc.getPersistentRDDs()) == held
