@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from componentry.functions.graphs import Graph, adjacency, graph, mix64, normalize_edges, touched
 from componentry.operators import emit
-from componentry.operators.contract import forest_edges
+from componentry.operators.contract import star_edges
 from componentry.plans.rounds import Loop, NotConverged, RunResult, export_by_label, export_owner_clusters, init_closed, init_self, original_order
 from componentry.plans.storage import cut, release, small_side
 
@@ -108,7 +108,7 @@ def all_members(g: Graph, *, order: str = "natural", seed: int = 42, member_cap:
 
 
 def _contracted(g: Graph, precontract: bool) -> Graph:
-    return Graph(forest_edges(g.edges), g.vertices) if precontract else g
+    return Graph(star_edges(g.edges), g.vertices) if precontract else g
 
 
 def finished_components(state: DataFrame) -> DataFrame:
@@ -125,7 +125,7 @@ def finished_components(state: DataFrame) -> DataFrame:
 def min_owner(g: Graph, *, order: str = "natural", seed: int = 42, precontract: bool = False, retire: bool = False, **opts) -> RunResult:
     """A cluster goes whole to its least member, the others hear only of that member. One exchange a round.
 
-    ``precontract``: each input partition first keeps a spanning forest of its edges. ``retire``: finished
+    ``precontract``: blocks of edges first become stars around their least ids. ``retire``: finished
     components (a star that a round left as it was) leave the later rounds. ``after`` is shown the loop at the start and
     after each productive round, and ends the run where it says True.
     """

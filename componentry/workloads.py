@@ -136,8 +136,8 @@ METHODS: dict[str, Callable[[Graph], RunResult]] = {
     "all_members": lambda g: components.all_members(g, member_cap=MEMBER_CAP),
     "min_owner": lambda g: components.min_owner(g),
     "min_owner_sorted": lambda g: secondary_sort.min_owner_sorted(g),
-    # like the baseline, which shrinks edge blocks to forests
     "min_owner_balanced": lambda g: components.min_owner_balanced(g, precontract=True),
+    "min_owner_balanced_plain": lambda g: components.min_owner_balanced(g),
     "min_owner_random": lambda g: components.min_owner(g, order="random"),
     "upper_core": lambda g: components.upper_core(g),
     "label_prop": lambda g: baselines.label_prop_baseline(g),
@@ -145,7 +145,7 @@ METHODS: dict[str, Callable[[Graph], RunResult]] = {
 }
 
 GROUP_1 = (("doc_exact", "doc_line", "customer_part_sparse"), ("label_prop", "min_owner", "upper_core", "all_members"))
-GROUP_2 = (("customer_part", "part_supplier", "part_supplier_sparse"), ("label_prop", "min_owner_balanced"))
+GROUP_2 = (("customer_part", "part_supplier", "part_supplier_sparse"), ("label_prop", "min_owner_balanced", "min_owner_balanced_plain"))
 
 
 def _outcome(components: DataFrame) -> tuple[int, int, int]:

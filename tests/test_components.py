@@ -69,6 +69,22 @@ def test_exact_partition(spark, name):
     assert dict(map(tuple, RUNS[name](g).components.collect())) == union_find(edges, ids)
 
 
+def test_contraction_joins_what_the_edges_join(spark):
+    from componentry.operators.contract import forest_edges, star_edges
+
+    r = random.Random(6)
+    edges = [(r.randrange(300) - 50, r.randrange(300) - 50) for _ in range(260)]
+    df = spark.createDataFrame(edges, "src long, dst long").repartition(3)
+    pairs = spark.createDataFrame([((0, a), (0, b)) for a, b in edges], "src struct<k: int, i: long>, dst struct<k: int, i: long>")
+    for shrink in (star_edges, forest_edges):
+        for rows in (10, 1000):
+            got = [tuple(x) for x in shrink(df, rows).collect()]
+            assert union_find(got, {x for e in edges for x in e}) == union_find(edges)
+            if shrink is star_edges:
+                assert all(a < b for a, b in got)
+        assert union_find([(a["i"], b["i"]) for a, b in shrink(pairs).collect()], {x for e in edges for x in e}) == union_find(edges)
+
+
 def test_empty(spark):
     g = graph(spark.createDataFrame([], "src long, dst long"))
     for f in (components.min_owner, components.neighbor_min, components.all_members, components.min_owner_balanced, components.upper_core):
