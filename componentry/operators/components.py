@@ -178,12 +178,11 @@ def _splitting(loop: Loop, tau: int) -> Callable[[DataFrame], DataFrame]:
             counts = messages.groupBy("key").agg(F.min("member").alias("head"), F.count(F.lit(1)).alias("all"), F.max(F.col("member") == F.col("key")).alias("self")).where(F.col("all") > even)
             found = counts.collect()  # fewer than a quarter of the partitions
             if any(r["all"] > tau for r in found):
-                large = spark.createDataFrame([(r["key"],) for r in found], messages.select("key").schema)
-                exact = {r["key"]: r["n"] for r in messages.join(F.broadcast(large), "key").distinct().groupBy("key").agg(F.count(F.lit(1)).alias("n")).collect()}
-                found = [r.asDict() | {"all": exact[r["key"]]} for r in found]
+                few = F.broadcast(spark.createDataFrame(found, counts.schema))
+                exact = messages.join(few.select("key"), "key").distinct().groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+                found = few.join(exact, "key").select("key", "head", F.col("n").alias("all"), "self").collect()
             if found:
-                heads = spark.createDataFrame([tuple(r[c] for c in ("key", "head", "all", "self")) for r in found], counts.schema)
-                return emit.merge_split(messages, heads, min(parts, 64))
+                return emit.merge_split(messages, spark.createDataFrame(found, counts.schema), min(parts, 64))
         return emit.merge_union(messages, size=True)
 
     return merge

@@ -170,6 +170,11 @@ def test_rows_of_a_hub_are_spread(spark):
             assert dict(map(tuple, components.min_owner_balanced(g, tau=50).components.collect())) == union_find(edges)
         finally:
             emit.merge_split = real
+        # ids of other kinds, over and under tau
+        named = g.edges.selectExpr("cast(lpad(src, 6, '0') as binary) as src", "cast(lpad(dst, 6, '0') as binary) as dst")
+        for tau in (50, 100_000):
+            got = components.min_owner_balanced(components.Graph(named), tau=tau).components.selectExpr("cast(cast(id as string) as int) i", "cast(cast(component as string) as int) c")
+            assert dict(map(tuple, got.collect())) == union_find(edges)
         assert len(seen) >= 2
         dealt = seen[0].groupBy(F.spark_partition_id()).count().agg(F.max("count"), F.sum("count")).first()
         assert dealt[0] < 0.1 * dealt[1]
