@@ -1,7 +1,8 @@
 """Token counts: exact counts at every prefix by dynamic programming, so budgets need no second encoding.
 
-In the vocabulary used no piece has the space mark after another character, and none has a line feed.
-So no token crosses the start of a run of spaces or a line feed, and a text is a sequence of segments
+In the vocabulary used no piece has the space mark after another character, and none has a line feed; nor has any a
+letter with, say, a comma behind it: which signs never follow a letter is read from the vocabulary. No token crosses
+the start of a run of spaces, a line feed or the end of a word before such a sign, so a text is a sequence of segments
 that are encoded alone: count(prefix) = count(segments before) + count(part of the segment). A segment has a
 table over its prefixes, filled by extending shorter prefixes by one last token; the tables of a text's segments
 are stored in a row, as steps from one prefix to the next, and every count is a running sum of them.
@@ -28,12 +29,12 @@ from componentry.llm.words import text_map
 from componentry.plans.storage import cut
 
 MARK = "▁"
-#: a run of spaces (or marks) belongs to the word behind it
-SEGMENT = re.compile(r"\n|[ ▁]+[^ ▁\n]*|[^ ▁\n]+")
+LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff"
 LIMIT = 4096
 CACHE = 400_000
-#: prefixes of up to so many characters keep their last token for the segments that share them
+#: prefixes of up to so many characters are kept for the segments that share them
 SHARED = 16
+_SHORT = (3, 2, 1)
 
 
 def vocabulary_path(name: str = "piece_bpe_32k.model") -> str:
@@ -43,7 +44,7 @@ def vocabulary_path(name: str = "piece_bpe_32k.model") -> str:
 
 
 class PrefixCounter:
-    """Counts of one vocabulary: whole segments through a bounded cache, prefixes of a segment by tables."""
+    """Counts of one vocabulary, by tables of segments kept in a bounded cache of two generations."""
 
     def __init__(self, path: str, cache: int = CACHE):
         import sentencepiece
@@ -52,42 +53,34 @@ class PrefixCounter:
         sp = self.sp
         plain = [i for i in range(sp.get_piece_size()) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))]
         self.score = {sp.id_to_piece(i): sp.get_score(i) for i in plain}
-        self.longest = max(map(len, self.score), default=1)
         if any(MARK in p.lstrip(MARK) or "\n" in p for p in self.score):
             raise ValueError("pieces of this vocabulary cross segment starts")
-        self.limit, self.counts, self.older = cache, {}, {}
+        letter = re.compile(f"[{LETTERS}]").fullmatch
+        follow = {b for p in self.score for a, b in zip(p, p[1:], strict=False) if letter(a)}
+        ends = "".join(re.escape(c) for c in map(chr, range(33, 127)) if not letter(c) and c not in follow)
+        # spaces, other signs, letters; signs that may follow a letter go on, those that never do start anew
+        other = f"[^ {MARK}\\n{LETTERS}]*[{LETTERS}]*"
+        self.segment = re.compile(f"\\n|(?=.)[ {MARK}]*{other}(?:[^ {MARK}\\n{LETTERS}{ends}]{other})*")
+        self.limit = cache
         self.steps, self.older_steps = {}, {}
         self._splits: dict[str, tuple[int, bool] | None] = {}
         self._joins: dict[tuple[str, str], bool] = {}
-        self._tails: dict[str, str] = {}
+        self._heads: dict[str, bytes] = {}
         self.whole = frozenset(p for p in self.score if self._split(p) is not None)
+        # lengths that a last token can have, longest first, by the last four characters
+        found: dict[str, set[int]] = {}
+        for p in self.whole:
+            if len(p) > 3:
+                found.setdefault(p[-4:], set()).add(len(p))
+        self._ends = {g: (*sorted(x, reverse=True), *_SHORT) for g, x in found.items()}
 
     def segments(self, text: str) -> list[str]:
         """Segments in order; the library puts one space before a text."""
-        return SEGMENT.findall(" " + text) if text else []
-
-    def count_all(self, segs: list[str]) -> list[int]:
-        """Tokens of each segment; what the cache lacks is encoded in one call."""
-        if len(self.counts) > self.limit:  # the young generation is full: it becomes the old one
-            self.counts, self.older = {}, self.counts
-        known, older = self.counts, self.older
-        new = {s for s in segs if s not in known}
-        if new:
-            again = new & older.keys()
-            known.update((s, older[s]) for s in again)
-            new = list(new - again)
-            # the library adds the leading space itself: segments that begin with one give it up here
-            bare = [s for s in new if s[0] in (" ", MARK)]
-            known.update(zip(bare, (len(x) for x in self.sp.encode([s[1:] for s in bare], num_threads=1)), strict=True))
-            known.update((s, 1) for s in bare if len(s) == 1)  # a lone mark; as a whole text it would be empty
-            # a line feed, or what follows one, stands without a space: behind another line feed, less its two tokens
-            rest = [s for s in new if s[0] not in (" ", MARK)]
-            known.update(zip(rest, (len(x) - 2 for x in self.sp.encode(["\n" + s for s in rest], num_threads=1)), strict=True))
-        return [known[s] for s in segs]
+        return self.segment.findall(" " + text) if text else []
 
     def prefix_steps(self, text: str) -> bytes:
         """The stored table of a text: by how much each character of it, and of the space put before it, changes the count."""
-        if len(self.steps) > self.limit:  # as in count_all
+        if len(self.steps) > self.limit:  # the young generation is full: it becomes the old one
             self.steps, self.older_steps = {}, self.steps
         known, older = self.steps, self.older_steps
         segs = self.segments(text)
@@ -162,30 +155,40 @@ class PrefixCounter:
         return 1 if piece in self.score else len(piece.encode("utf-8", "surrogatepass"))
 
     def table(self, segment: str) -> list[int]:
-        """Tokens of every prefix of ``segment`` (0 to its length): each prefix is a shorter one and one last token."""
+        """Tokens of every prefix of ``segment`` (0 to its length): each prefix is a shorter one and one last token.
+
+        Segments that begin alike share the lengths of last tokens and the counts of their common prefixes.
+        """
         s = segment.replace(" ", MARK)
-        score, whole, longest, joins, tails = self.score, self.whole, self.longest, self._joins, self._tails
-        last: list[str | None] = [None]
-        counts = [0]
-        for i in range(1, len(s) + 1):
-            head = s[:i] if i <= SHARED else None
-            piece = tails.get(head)
-            if piece is None:
-                for j in range(max(0, i - longest), i):
-                    piece = s[j:i]
-                    if piece not in whole and j < i - 1:
-                        continue
-                    if j == 0:
-                        break
-                    hit = joins.get((last[j], piece))
-                    if self._joined(last[j], piece) if hit is None else hit:
-                        break
-                if head is not None:
-                    if len(tails) > self.limit:
-                        tails.clear()
-                    tails[head] = piece
-            last.append(piece)
-            counts.append(counts[i - len(piece)] + (1 if piece in score else self._width(piece)))
+        heads, score, whole, ends, joins = self._heads, self.score, self.whole, self._ends, self._joins
+        n = len(s)
+        k = min(n, SHARED)
+        while k and (kept := heads.get(s[:k])) is None:
+            k -= 1
+        if k:
+            widths, counts = list(kept[: k + 1]), list(kept[k + 1 :])
+        else:
+            widths, counts = [0], [0]
+        for i in range(k + 1, n + 1):
+            for width in ends.get(s[i - 4 : i], _SHORT) if i > 3 else _SHORT:
+                j = i - width
+                if j < 0:
+                    continue
+                piece = s[j:i]
+                if width > 1 and piece not in whole:
+                    continue
+                if not j:
+                    break
+                before = s[j - widths[j] : j]
+                hit = joins.get((before, piece))
+                if self._joined(before, piece) if hit is None else hit:
+                    break
+            widths.append(i - j)
+            counts.append(counts[j] + (1 if piece in score else self._width(piece)))
+            if i <= SHARED:
+                heads[s[:i]] = bytes(widths + counts)
+        if len(heads) > self.limit:
+            heads.clear()
         return counts
 
     def count_at(self, text: str, chars: int) -> int:
