@@ -148,7 +148,8 @@ def cosine(df: DataFrame, id_col: str, vec: str, percent: int = 40, scale: int =
         w = np.round(1 - dot[p, q] / np.sqrt(size[p, q].astype(float)), 6)
         return pa.table({"src": np.minimum(ia[p], ib[q]), "dst": np.maximum(ia[p], ib[q]), "w": w})
 
-    return left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(solve, schema)
+    # written out: where one frame is used twice in a plan, the engine may prune what the grouped call reads
+    return cut(left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(solve, schema), "cosine")
 
 
 def hyperplane_cosine(df: DataFrame, id_col: str, vec: str, percent: int = 40, tables: int = 24, bits: int = 5, scale: int = 256, seed: int = 5, width: int = 64) -> DataFrame:
