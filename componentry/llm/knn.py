@@ -255,7 +255,8 @@ def knn_join(vectors: DataFrame, queries: DataFrame, k: int = 10, pivots: int =
         return pa.table(dict(zip(empty, cols, strict=True)))
 
     keys = ("g", "block", "bin")
-    found = data.groupBy(*keys).cogroup(asked.groupBy(*keys)).applyInArrow(solve, _FOUND)
+    # written out: where one frame is used twice in a plan, the engine may prune what the grouped call reads
+    found = cut(data.groupBy(*keys).cogroup(asked.groupBy(*keys)).applyInArrow(solve, _FOUND), "found")
     rank = F.row_number().over(Window.partitionBy("query_row").orderBy(F.col("score").desc(), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_row", "query_id", "rank", "vec_id", "score")
 

@@ -308,6 +308,8 @@ def test_knn(spark):
             best = sorted(((-sum(a * b for a, b in zip(q, x)), j) for m, j, x in ok if m != k))[:10]
             want += [(i, n, j, -s) for n, (s, j) in enumerate(best, 1)]
     assert sorted(tuple(x)[1:] for x in got.collect()) == sorted(want)
+    pruned = got.select("query_id", "vec_id")
+    assert pruned.intersect(got.select("query_id", "vec_id")).count() == pruned.distinct().count()
     empty = cut(knn.integer_vectors(df.limit(0)), "v")
     assert knn.knn_join(empty, empty).count() == 0
 
