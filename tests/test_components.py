@@ -7,6 +7,7 @@ import pytest
 from componentry.functions.graphs import graph
 from componentry.operators import baselines, components, secondary_sort
 from componentry.plans.rounds import NotConverged
+from componentry.queries import queries
 
 
 def union_find(edges, ids=()):
@@ -205,3 +206,11 @@ def test_runs_side_by_side(spark):
         for c in got["components"]:
             assert dict(map(tuple, c.collect())) == union_find(shuffled_path(12, 2) + [(50, 51)])
     assert len(spark.sparkContext._jsc.getPersistentRDDs()) == held
+
+
+def test_all_members_of_a_large_group_of_copies(spark, tmp_path):
+    """A group of n sends n^2 rows in its last round: 700^3 would be over any cap."""
+    spark.range(700).selectExpr("id as doc_id", "'the same text' as text").write.parquet(f"{tmp_path}/documents.parquet")
+    assert [tuple(r) for r in queries()["cc_all_members_doc_exact"](spark, str(tmp_path)).groupBy("component").count().collect()] == [(0, 700)]
+    run = components.all_members(graph(spark.range(1, 700).selectExpr("0L as src", "id as dst")), once=True, member_cap=700 * 700 * 2)
+    assert run.peak_messages <= 700 * 700 * 2 and run.components.select("component").distinct().count() == 1
