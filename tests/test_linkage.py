@@ -97,3 +97,12 @@ def test_stops():
         check_monotone(LocalStop(lambda size, near: size == 3))
     with pytest.raises(NonLocalStopError):
         cluster_count_stop(4)
+
+
+def test_a_long_chain_in_one_worker():
+    """Falling weights: the merge tree is one deep path, and every merge has live clusters beside it."""
+    n = 20_000
+    edges = [(1.0 + (n - i) / n, i, i + 1) for i in range(n)] + [(9.0, n, n + 1)]
+    nodes = linkage.merge_tree(set(range(n + 1)), edges, SizeStop(10**9))
+    assert [(x.size, x.nearest, x.counts) for x in nodes] == [(n + 1, 9.0, True)]
+    assert sorted(linkage.cut_tree(nodes[0])[0].members) == list(range(n + 1))
