@@ -2,10 +2,7 @@
 
 Sets are the distinct word shingles of whole texts, as 64-bit hashes. Two sets link at intersection >= 3/4 of union.
 
-1. Shingles are counted over the corpus in hashed buckets. A block of texts sends a shingle once, whatever
-   its copies there, so a shingle found everywhere costs an entry per block, not per text. Blocks and buckets both grow
-   with the root of the corpus, so that a block's part of a bucket stays ``ROW_ENTRIES`` entries or more: the rows exchanged
-   are linear in the corpus, the memory of a task follows its root. A set of n needs 3n/4 shingles
+1. Shingles are counted over the corpus (operators/sets.py). A set of n needs 3n/4 shingles
    in common with a partner; so if more than n/4 of its shingles occur in it alone, it has none and drops out.
    Else its rarest n/4 + 1 shingles, less those that are its own, are its keys: linked sets have a key in common.
 2. Equal sets become one class. Classes with a key in common, directly or by others, form a block (components by
@@ -30,7 +27,6 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -38,18 +34,20 @@ from pyspark.sql import types as T
 from componentry.functions.graphs import Graph, normalize_edges
 from componentry.llm.words import set_key, shingle_sets, text_blocks
 from componentry.operators.components import min_owner_balanced
+from componentry.operators.sets import BLOCK_BYTES, arrow_rows, set_profiles
 from componentry.plans.storage import cut, release, small_side
 
 SIZE = 5
-BUCKET_ENTRIES = 1_000_000
-BLOCK_ENTRIES = 500_000
-ROW_ENTRIES = 64
-BLOCK_BYTES = 3 << 20
 MAX_BLOCK_SETS = 4096
 MAX_BLOCK_SHINGLES = 3_000_000
 PAGE_SETS = 1024
 LEAF = 16
 
+_SETS = 4096
+MAX_BLOCK_SHINGLES = 3_000_000
+PAGE_SETS = 1024
+LEAF = 16
+
 _PARTS = T.StructType([T.StructField("bucket", T.LongType()), T.StructField("batch", T.LongType())] + [T.StructField(c, T.BinaryType()) for c in "abcdef"])
 _PROFILE = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("set_key", T.BinaryType()), T.StructField("keys", T.ArrayType(T.LongType()))])
 _SETS = T.StructType([T.StructField("set_key", T.BinaryType()), T.StructField("n", T.LongType()), T.StructField("shingles", T.BinaryType())])
@@ -57,141 +55,6 @@ _PRUNED = T.StructType([T.StructField(n, T.LongType()) for n in ("sets", "pairs"
 _LINKS = T.StructType([T.StructField("src", T.BinaryType()), T.StructField("dst", T.BinaryType())])
 
 
-def _rows(schema: T.StructType, rows: list[tuple]) -> pa.RecordBatch:
-    kinds = {T.LongType(): pa.int64(), T.BinaryType(): pa.binary(), T.ArrayType(T.LongType()): pa.list_(pa.int64())}
-    cols = list(zip(*rows, strict=True)) or [()] * len(schema)
-    return pa.RecordBatch.from_arrays([pa.array(c, kinds[f.dataType]) for c, f in zip(cols, schema.fields, strict=True)], names=schema.names)
-
-
-def _exchange(docs: DataFrame) -> tuple[int, int]:
-    """(log2 of the number of buckets, shingles of a block of texts), from the input's bytes."""
-    size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    if size >= 1 << 60:  # the plan has no statistics: count
-        size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    shingles = max(1, size // 4)
-    even = math.isqrt(ROW_ENTRIES * shingles)
-    return max(2, math.ceil(math.log2(max(1, shingles / max(BUCKET_ENTRIES, even))))), max(BLOCK_ENTRIES, even)
-
-
-def _docs_of(raw: bytes, entries: int) -> np.ndarray:
-    """Numbers of texts, in two bytes each where a block has few of them."""
-    return np.frombuffer(raw, np.uint16 if len(raw) == 2 * entries else np.uint32).astype(np.int64)
-
-
-def _deal(bits: int, most: int, size: int):
-    """Per block of texts, of ``most`` shingles: a row for each bucket that it has a part of, and one with the texts' own facts."""
-
-    def rows_of(held: list[tuple], serial: int) -> pa.RecordBatch:
-        ids, valid, keys = (b"".join(x[i] for x in held) for i in range(3))
-        n, hashes = (np.concatenate([x[i] for x in held]) for i in (3, 4))
-        doc = np.repeat(np.arange(len(n), dtype=np.uint16 if len(n) <= 1 << 16 else np.uint32), n)
-        order = np.argsort(hashes, kind="stable")
-        kept, doc = hashes[order] >> np.uint64(32 - bits), doc[order]
-        first = np.flatnonzero(np.concatenate([[True], kept[1:] != kept[:-1]])) if len(kept) else np.zeros(0, np.int64)
-        times = np.diff(np.append(first, len(kept)))
-        alone = times == 1
-        lone, many = first[alone], first[~alone]
-        many_times = times[~alone].astype(np.uint32)
-        low = kept.astype(np.uint32)
-        bucket = (kept >> np.uint64(32)).astype(np.int64)
-        present = np.unique(bucket)
-        cuts = [(np.searchsorted(bucket[at], present), np.searchsorted(bucket[at], present, "right")) for at in (lone, many)]
-        rows = []
-        for k, a, b, c, d in zip(present.tolist(), *(x.tolist() for pair in cuts for x in pair), strict=True):
-            rows.append((k, serial, low[lone[a:b]].tobytes(), doc[lone[a:b]].tobytes(), low[many[c:d]].tobytes(), many_times[c:d].tobytes(), None, None))
-        inside = np.repeat(~alone, times)
-        rows.append((-1 - serial, serial, ids, valid, n.astype(np.int64).tobytes(), keys, kept[inside].tobytes(), doc[inside].tobytes()))
-        return _rows(_PARTS, rows)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        serial = TaskContext.get().partitionId() << 32
-        held, entries = [], 0
-        for batch in batches:
-            for a, b in text_blocks(batch, "text", BLOCK_BYTES, 60_000):
-                part = batch.slice(a, b - a)
-                hashes, offsets = shingle_sets(part["text"], size)
-                n = np.diff(offsets)
-                keys = b"".join(set_key(hashes[offsets[i] : offsets[i + 1]]) for i in range(len(n)))
-                doc_ids = part["doc_id"]
-                held.append((doc_ids.fill_null(0).to_numpy().tobytes(), doc_ids.is_valid().to_numpy(zero_copy_only=False).tobytes(), keys, n, hashes))
-                entries += len(hashes) + len(n)
-                if entries >= most:
-                    yield rows_of(held, serial)
-                    held, entries, serial = [], 0, serial + 1
-        if held:
-            yield rows_of(held, serial)
-
-    return run
-
-
-def _count(key: tuple, table: pa.Table) -> pa.Table:
-    """Corpus counts of a bucket's shingles, told back to the blocks that have them; facts of texts pass through."""
-    bucket = key[0].as_py()
-    if bucket < 0:
-        return table
-    rows = table.to_pylist()
-    read = lambda name, kind: [np.frombuffer(r[name], kind) for r in rows]
-    lone, many, times = read("a", np.uint32), read("c", np.uint32), read("d", np.uint32)
-    docs = [np.frombuffer(r["b"], np.uint16 if len(r["b"]) == 2 * len(x) else np.uint32) for r, x in zip(rows, lone, strict=True)]
-    every = np.concatenate([*lone, *many])
-    weight = np.concatenate([np.ones(sum(map(len, lone)), np.int64), *(t.astype(np.int64) for t in times)])
-    order = np.argsort(every, kind="stable")
-    first = np.concatenate([[True], every[order][1:] != every[order][:-1]])
-    group = np.empty(len(every), np.int64)
-    group[order] = np.cumsum(first) - 1
-    count = np.bincount(group, weight).astype(np.int64)[group]
-    at, out = 0, []
-    base = np.uint64(bucket) << np.uint64(32)
-    counts = []
-    for x in (*lone, *many):
-        counts.append(count[at : at + len(x)])
-        at += len(x)
-    for r, x, d, y, c, e in zip(rows, lone, docs, many, counts[: len(rows)], counts[len(rows) :], strict=True):
-        shared = c > 1
-        if shared.any() or len(y):
-            ids = x[shared].astype(np.uint64) | base
-            out.append((bucket, r["batch"], ids.tobytes(), d[shared].tobytes(), np.minimum(c[shared], 2**32 - 1).astype(np.uint32).tobytes(), (y.astype(np.uint64) | base).tobytes(), np.minimum(e, 2**32 - 1).astype(np.uint32).tobytes(), None))
-    return pa.Table.from_batches([_rows(_PARTS, out)])
-
-
-def _choose(key: tuple, table: pa.Table) -> pa.Table:
-    """Keys of each text of one block: its rarest shared shingles, as many as n/4 + 1 less those it has alone."""
-    rows = table.to_pylist()
-    home = next(r for r in rows if r["bucket"] < 0)
-    rest = [r for r in rows if r["bucket"] >= 0]
-    read = lambda name, kind: np.concatenate([np.zeros(0, kind), *(np.frombuffer(r[name], kind) for r in rest)])
-    ids, count = read("a", np.uint64), read("c", np.uint32)
-    doc = np.concatenate([np.zeros(0, np.int64), *(_docs_of(r["b"], len(r["a"]) // 8) for r in rest)])
-    many, many_count = read("d", np.uint64), read("e", np.uint32)
-    order = np.argsort(many)
-    many, many_count = many[order], many_count[order]
-    own = np.frombuffer(home["e"], np.uint64)
-    own_doc = _docs_of(home["f"], len(own))
-    ids, doc = np.concatenate([ids, own]), np.concatenate([doc, own_doc])
-    count = np.concatenate([count, many_count[np.searchsorted(many, own)]])
-    n = np.frombuffer(home["c"], np.int64)
-    shared = np.bincount(doc, minlength=len(n))
-    want = np.where(n > 0, n // 4 + 1 - (n - shared), 0)
-    order = np.lexsort((ids, count, doc))
-    ids, doc = ids[order].astype(np.int64), doc[order]
-    start = np.cumsum(shared) - shared
-    keep = np.arange(len(doc)) - start[doc] < want[doc]
-    ids, doc = ids[keep], doc[keep]
-    at = np.searchsorted(doc, np.arange(len(n) + 1))
-    doc_ids, valid = np.frombuffer(home["a"], np.int64), np.frombuffer(home["b"], bool)
-    keys = home["d"]
-    out = [(int(doc_ids[i]) if valid[i] else None, int(n[i]), keys[16 * i : 16 * i + 16] if n[i] else None, ids[at[i] : at[i + 1]] if at[i] < at[i + 1] else None) for i in range(len(n))]
-    return pa.Table.from_batches([_rows(_PROFILE, out)])
-
-
-def set_profiles(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """(doc_id, n_shingles, set_key, keys) of each row of ``docs`` (doc_id, text); keys null where no partner can exist."""
-    src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    parts = src.mapInArrow(_deal(*_exchange(src), size), _PARTS)
-    counted = parts.groupBy("bucket").applyInArrow(_count, _PARTS)
-    return counted.groupBy("batch").applyInArrow(_choose, _PROFILE)
-
-
 class CountTree:
     """R-tree over the count vectors of sets in order of size; a node keeps coordinate maxima and the range of sizes."""
 
@@ -285,7 +148,7 @@ def _solve(key: tuple, table: pa.Table) -> pa.Table:
         for k, x in zip(keys, join_sets(sets).tolist(), strict=True):
             if heads.setdefault(x, k) != k:
                 out.append((heads[x], k))
-    return pa.Table.from_batches([_rows(_LINKS, out)])
+    return pa.Table.from_batches([arrow_rows(_LINKS, out)])
 
 
 def _prune(key: tuple, table: pa.Table) -> pa.Table:
@@ -312,7 +175,7 @@ def _sets(docs: DataFrame, size: int) -> DataFrame:
             for a, b in text_blocks(batch, "text", BLOCK_BYTES):
                 hashes, offsets = shingle_sets(batch.slice(a, b - a)["text"], size)
                 own = [hashes[offsets[i] : offsets[i + 1]] for i in range(len(offsets) - 1)]
-                yield _rows(_SETS, [(set_key(s), len(s), s.tobytes()) for s in own])
+                yield arrow_rows(_SETS, [(set_key(s), len(s), s.tobytes()) for s in own])
 
     return docs.select("text").mapInArrow(run, _SETS)
 
@@ -333,7 +196,7 @@ def _pages(placed: DataFrame) -> DataFrame:
 
 def _candidates(src: DataFrame, size: int) -> tuple[DataFrame, DataFrame, DataFrame, list[DataFrame]]:
     """(profiles, classes, sets by the bin in which they are joined, cuts that the last reads)."""
-    profiles = cut(set_profiles(src, size), "profiles")
+    profiles = cut(set_profiles(src, size=size), "profiles")
     classes = cut(profiles.where("n_shingles > 0").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("keys", ignorenulls=True).alias("keys")), "classes")
     blocks = cut(_blocks(classes.where("keys is not null")).join(classes.select("set_key", "rep", "n"), "set_key"), "blocks")
     # only texts that stand for a class in a block are read again

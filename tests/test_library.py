@@ -215,3 +215,52 @@ def test_jaccard_whole_has_large_groups_and_late_words(spark, tmp_path):
     assert {p for p in got if p[1] < 100} == {(0, j) for j in range(1, 60)} and got[0, 59] == 0
     # 100 and 101 are alike in their first 400 words only; 100 and 102 in what follows
     assert {p for p in got if p[1] >= 100} == {(100, 102)}
+
+
+def test_shapes_are_read_from_a_table(spark, tmp_path):
+    """Keys with a gap: 0 to 39 and 60 to 99."""
+    spark.range(100).where("id < 40 or id >= 60").withColumnRenamed("id", "o_orderkey").write.parquet(f"{tmp_path}/orders.parquet")
+    got = dict(map(tuple, queries()["generated_shapes"](spark, str(tmp_path)).collect()))
+    assert got == {"path": 78, "tree": 38 + 20, "star": 79, "cycle": 79, "clique": 8 * 45, "grid": 78 - 2 + 30}
+
+
+def test_dealt_chain_is_contracted(spark, tmp_path):
+    """The edges of a stretch of time lie side by side, so blocks of them become few stars: far fewer rounds than a path takes."""
+    from componentry import workloads
+
+    spark.range(5000).selectExpr("pmod(id * 2311, 5000) as o_orderkey", "cast(date'2020-01-01' + cast(id div 10 as int) as date) as o_orderdate").write.parquet(f"{tmp_path}/orders.parquet")
+    edges = workloads.order_chain_dealt(spark, str(tmp_path))
+    whole = workloads.order_chain_global(spark, str(tmp_path))
+    assert edges.count() == whole.count() == 4999 and edges.exceptAll(whole).isEmpty()
+    run = components.min_owner(graph(edges), precontract=True)
+    assert run.rounds_run <= 6 < components.min_owner(graph(whole)).rounds_run
+    assert run.components.where("component = 0").count() == 5000
+
+
+def test_hyperplane_copies_stay_linear(spark):
+    """300 equal vectors are a star, not all pairs; a bucket cut into parts finds what a whole one does."""
+    rows = [(i, [1.0 if k == 0 else 0.0 for k in range(64)]) for i in range(300)] + [(300 + i, [1.0 if k == 0 else 0.01 * (i + 1) if k == i + 1 else 0.0 for k in range(64)]) for i in range(40)]
+    df = spark.createDataFrame(rows, "id long, v array<float>")
+    got = {tuple(r) for r in builders.hyperplane_cosine(df, "id", "v").collect()}
+    assert {p for p in got if p[1] < 300} == {(0, i) for i in range(1, 300)} and len(got) < 300 + 41 * 41
+    before = builders.BUCKET_ROWS
+    builders.BUCKET_ROWS = 7
+    try:
+        assert {tuple(r) for r in builders.hyperplane_cosine(df, "id", "v").collect()} == got
+    finally:
+        builders.BUCKET_ROWS = before
+
+
+def test_pages_of_a_large_block(spark, monkeypatch):
+    """One family of near copies, joined whole and in pages: the same pairs, each once; copies by their class."""
+    from componentry.operators import sets
+
+    rows = [(i, " ".join(f"w{k}" for k in range(i, i + 40))) for i in range(60)] + [(100 + i, " ".join(f"w{k}" for k in range(i, i + 40))) for i in range(5)]
+    df = spark.createDataFrame(rows, "id long, text string")
+    want = {(i, j) for i in range(60) for j in range(i + 1, 60) if 2 * (38 - (j - i)) >= 38 + (j - i)} | {(i, 100 + i) for i in range(5)}
+    for sets_of_page, shingles in ((1024, 1_000_000), (7, 1_000_000), (1024, 200)):
+        monkeypatch.setattr(sets, "PAGE_SETS", sets_of_page)
+        monkeypatch.setattr(sets, "PAGE_SHINGLES", shingles)
+        got = [(r["src"], r["dst"]) for r in builders.jaccard(df, "id", "text").collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+    assert {tuple(r) for r in builders.minhash(df, "id", "text").collect()} <= want
