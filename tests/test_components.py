@@ -214,3 +214,28 @@ def test_all_members_of_a_large_group_of_copies(spark, tmp_path):
     assert [tuple(r) for r in queries()["cc_all_members_doc_exact"](spark, str(tmp_path)).groupBy("component").count().collect()] == [(0, 700)]
     run = components.all_members(graph(spark.range(1, 700).selectExpr("0L as src", "id as dst")), once=True, member_cap=700 * 700 * 2)
     assert run.peak_messages <= 700 * 700 * 2 and run.components.select("component").distinct().count() == 1
+
+
+def test_resident_rounds_of_a_small_graph_start_few_tasks(spark):
+    """A small graph's resident rounds are a few tasks each, whatever the partitions; a larger one's are dealt, with the same result."""
+    from componentry import workloads
+
+    edges = shuffled_path(5, 2) + [(50, 51)]
+    g = components.Graph(graph(spark.createDataFrame(edges, "src long, dst long")).edges.coalesce(1).localCheckpoint())
+    before, rows = spark.conf.get("spark.sql.shuffle.partitions"), getattr(components, "RESIDENT_ROWS", 0)
+    spark.conf.set("spark.sql.shuffle.partitions", "12")
+    try:
+        spark.sparkContext.setJobGroup("resident", "resident")
+        run = baselines.superstep_min(g)
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        tracker = spark.sparkContext.statusTracker()
+        stages = {s for j in tracker.getJobIdsForGroup("resident") for s in tracker.getJobInfo(j).stageIds}
+        assert sum(i.numCompletedTasks for i in map(tracker.getStageInfo, stages) if i) < 12 * run.rounds_run
+        components.RESIDENT_ROWS = 0
+        assert components.resident_parts(g) == 12
+        for f in (baselines.superstep_min, components.neighbor_min, components.upper_core):
+            assert dict(map(tuple, f(g).components.collect())) == union_find(edges) == dict(map(tuple, run.components.collect()))
+    finally:
+        components.RESIDENT_ROWS = rows
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert workloads._outcomes([run.components, run.components.limit(0), run.components.where("id < 50")]) == [(7, 5, 2), (0, 0, 0), (5, 5, 1)]
