@@ -264,3 +264,30 @@ def test_pages_of_a_large_block(spark, monkeypatch):
         got = [(r["src"], r["dst"]) for r in builders.jaccard(df, "id", "text").collect()]
         assert len(got) == len(set(got)) and set(got) == want
     assert {tuple(r) for r in builders.minhash(df, "id", "text").collect()} <= want
+
+
+def test_sweeps_stay_in_the_component(spark, monkeypatch):
+    """Both sweeps in one task, or by joins over the edges of the component alone: the same number, and other components are not read."""
+    edges = [(0, 1), (1, 2), (2, 3), (3, 4), (2, 9), (9, 10), (10, 11), (11, 12)] + [(100 + i, 101 + i) for i in range(40)]
+    df = spark.createDataFrame(edges, "src long, dst long")
+    comps = components.min_owner(graph(df)).components
+    calls, real = [], measures.bfs
+    monkeypatch.setattr(measures, "bfs", lambda e, s: calls.append(e.count()) or real(e, s))
+    assert measures.diameter(df, components=comps) == 6 and calls == []
+    monkeypatch.setattr(measures, "SWEEP_EDGES", 3)
+    assert measures.diameter(df, components=comps) == 6 and calls == [8, 8]
+    assert measures.diameter(df.limit(0), components=comps) == 0
+
+
+def test_samples_are_taken_from_larger_ones(spark, monkeypatch):
+    """A graph's edges are digested once, not for each share; the shares are those of the whole, in any order."""
+    from componentry import workloads
+    from componentry.functions.graphs import sample_edges
+
+    whole = spark.range(400).selectExpr("id as src", "1000 + id % 7 as dst")
+    read = []
+    monkeypatch.setitem(workloads.GRAPHS, "customer_part", lambda s, d: whole)
+    monkeypatch.setattr(workloads, "sample_edges", lambda e, p: read.append(e.count()) or sample_edges(e, p))
+    got = {r["percent"]: r["e"] for r in workloads.sparsify(spark, "", ("customer_part",), (5, 50, 20)).collect()}
+    assert got == {p: sample_edges(whole, p).count() for p in (50, 20, 5)}
+    assert read == [400, got[50], got[20]]
