@@ -106,3 +106,25 @@ def test_a_long_chain_in_one_worker():
     nodes = linkage.merge_tree(set(range(n + 1)), edges, SizeStop(10**9))
     assert [(x.size, x.nearest, x.counts) for x in nodes] == [(n + 1, 9.0, True)]
     assert sorted(linkage.cut_tree(nodes[0])[0].members) == list(range(n + 1))
+
+
+def test_many_clusters_a_worker_call(spark, monkeypatch):
+    """Clusters that overlap, cut by tables of any length: each is solved as if alone."""
+    wedges = [(w, a + 20 * seed, b + 20 * seed) for seed in range(8) for w, a, b in random_weighted(seed)]
+    ids = sorted({x for e in wedges for x in e[1:]})
+    r = random.Random(4)
+    held = {k: {k, *r.sample(ids, r.randrange(12))} for k in ids} | {-1: set(ids), -2: {10**9}}
+    clusters = spark.createDataFrame([(k, m) for k, own in held.items() for m in own], "key long, member long").repartition(3)
+    attached = linkage.attach_edges(clusters, spark.createDataFrame(wedges, "w double, src long, dst long"))
+    for stop in (DistanceStop(0.35), SizeStop(3)):
+        cores, parts = [], []
+        for k, own in held.items():
+            for n in linkage.merge_tree(own, [e for e in wedges if own & set(e[1:])], stop):
+                cores += [(k, min(n.members), m, n.size, not n.counts or stop(n.size, n.nearest)) for m in n.members]
+                parts += [(min(p.members), m, p.size) for p in linkage.cut_tree(n) for m in p.members]
+        for rows in (1, 50, 200_000):
+            monkeypatch.setattr(linkage, "CLUSTER_ROWS", rows)
+            got = linkage.minimal_cores(attached, stop)
+            assert "MapInArrow" in got._jdf.queryExecution().toString()  # no call for each cluster
+            assert sorted(map(tuple, got.collect())) == sorted(cores)
+            assert sorted(map(tuple, linkage.split_wrong_merges(attached, stop).collect())) == sorted(parts)
