@@ -1,12 +1,15 @@
 """Single linkage: all methods give the cut of the merge tree; stop tests."""
 
+import inspect
 import random
 
 import pytest
 
+from componentry import workloads
 from componentry.operators import linkage
 from componentry.operators.components import min_owner
 from componentry.operators.stops import DistanceStop, LocalStop, NonLocalStopError, SizeStop, check_monotone, cluster_count_stop
+from componentry.plans.rounds import NotConverged
 
 
 def brute_cut(wedges, stop):
@@ -128,3 +131,15 @@ def test_many_clusters_a_worker_call(spark, monkeypatch):
             assert "MapInArrow" in got._jdf.queryExecution().toString()  # no call for each cluster
             assert sorted(map(tuple, got.collect())) == sorted(cores)
             assert sorted(map(tuple, linkage.split_wrong_merges(attached, stop).collect())) == sorted(parts)
+
+
+def test_no_run_of_the_clustering_table_ends_early(spark, monkeypatch):
+    """A run that stops short has no row of its own: the table fails."""
+    monkeypatch.setitem(workloads.GRAPHS, "chain", lambda spark, d: spark.range(40).selectExpr("id AS src", "id + 1 AS dst", "1.0D - id / 100 AS w"))
+    row = workloads.clustering(spark, "", ("all_members",), ("chain",), (SizeStop(50),)).first()
+    assert (row["v"], row["largest"], row["n_clusters"], row["dnf"], row["rounds_run"]) == (41, 41, 1, False, 7)
+    whole = linkage.slc_rounds
+    monkeypatch.setattr(linkage, "slc_rounds", lambda *a, **k: whole(*a, **k, max_rounds=2))
+    with pytest.raises(NotConverged):
+        workloads.clustering(spark, "", ("all_members",), ("chain",), (SizeStop(50),))
+    assert "member_cap" not in inspect.signature(whole).parameters
