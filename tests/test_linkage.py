@@ -143,3 +143,20 @@ def test_no_run_of_the_clustering_table_ends_early(spark, monkeypatch):
     with pytest.raises(NotConverged):
         workloads.clustering(spark, "", ("all_members",), ("chain",), (SizeStop(50),))
     assert "member_cap" not in inspect.signature(whole).parameters
+
+
+def test_small_components_take_no_rounds_of_joins(spark, monkeypatch):
+    """Falling weights: by joins a chain takes a round a vertex; larger components still go through them."""
+    chains = [(1.0 - i / 100 + c / 10_000, 100 * c + i, 100 * c + i + 1) for c, n in enumerate((12, 5, 30)) for i in range(n)]
+    df = spark.createDataFrame(chains, "w double, src long, dst long")
+    ids = {x for e in chains for x in e[1:]} | {5000}
+    lone = spark.createDataFrame([(i,) for i in sorted(ids)], "id long")
+    for stop in (DistanceStop(0.8), SizeStop(4)):
+        want = brute_cut(chains, stop) | {5000: 5000}
+        run = linkage.slc_dendrogram_cut(df, stop, vertices=lone)
+        assert run.rounds_run == 0
+        assert dict(map(tuple, run.components.select("id", "component").collect())) == want
+    monkeypatch.setattr(linkage, "CLUSTER_ROWS", 10)
+    run = linkage.slc_dendrogram_cut(df.where("src < 200"), SizeStop(4), vertices=lone.where("id < 200 or id = 5000"))
+    assert run.rounds_run > 0
+    assert dict(map(tuple, run.components.select("id", "component").collect())) == {i: c for i, c in want.items() if i < 200 or i == 5000}
